@@ -123,12 +123,11 @@ def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5
         runs, of = _mix(mixed[good]), owner[:m][good]
     short = np.flatnonzero((count > 0) & (count < width))
     if len(short):
-        whole = np.empty(len(short), np.uint64)
-        for k, t in enumerate(short):
-            h = np.uint64(count[t])
-            for x in hashes[first[t] : first[t] + count[t]]:
-                h = _mix(np.array([h]))[0] + x * factors[1]
-            whole[k] = _mix(np.array([h]))[0]
+        whole = count[short].astype(np.uint64)
+        for k in range(width - 1):
+            more = np.flatnonzero(count[short] > k)
+            whole[more] = _mix(whole[more]) + hashes[first[short[more]] + k] * factors[1]
+        whole = _mix(whole)
         runs, of = np.concatenate([runs, whole]), np.concatenate([of, short])
     return distinct(runs, of)
 

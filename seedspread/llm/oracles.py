@@ -56,3 +56,15 @@ o AS (SELECT d.*, source_size, target, floor(rate) AS whole, (rate - floor(rate)
   sum(size) OVER (PARTITION BY d.source ORDER BY h, size ROWS UNBOUNDED PRECEDING) - size / 2 AS middle
   FROM d JOIN s5 ON d.source IS NOT DISTINCT FROM s5.source)
 SELECT doc_id, size, source_size, target, (size * (whole + CASE WHEN middle <= wanted THEN 1 ELSE 0 END))::BIGINT AS taken, source FROM o"""
+
+
+NEAR_DUPLICATES = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all({FOLDED}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT doc_id, list_distinct([array_to_string(w[i:i + 4], ' ') FOR i IN range(1, greatest(len(w) - 4, 1) + 1)]) AS s FROM d WHERE len(w) > 0),
+n AS (SELECT doc_id, len(s)::BIGINT AS n FROM s),
+e AS (SELECT doc_id, unnest(s) AS x FROM s),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM e a JOIN e b ON a.x = b.x AND a.doc_id <> b.doc_id GROUP BY ALL),
+l AS (SELECT a, b FROM p JOIN n na ON a = na.doc_id JOIN n nb ON b = nb.doc_id WHERE 100 * k >= 75 * (na.n + nb.n - k)),
+r(v, c) AS (SELECT doc_id, doc_id FROM d UNION SELECT l.b, r.c FROM r JOIN l ON l.a = r.v)
+SELECT d.doc_id, coalesce(n, 0)::BIGINT AS n_shingles, min(c) AS component_id, d.doc_id = min(c) AS kept
+FROM d LEFT JOIN n USING (doc_id) JOIN r ON r.v = d.doc_id GROUP BY d.doc_id, n"""

@@ -28,6 +28,12 @@ def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     )
 
 
+def op8_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.minhash import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.mixing import mix, with_size_and_hash
     from seedspread.runtime import materialize
@@ -40,11 +46,13 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_license_scan": op1_license_scan,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
+    "op8_minhash_near_dedup": op8_minhash_near_dedup,
     "op9_source_mix": op9_source_mix,
 }
 
 ORACLES = {
     "op1_license_scan": oracles.licenses(),
     "op7_benchmark_decontamination": oracles.DECONTAMINATE,
+    "op8_minhash_near_dedup": oracles.NEAR_DUPLICATES,
     "op9_source_mix": oracles.MIX,
 }
