@@ -83,6 +83,31 @@ class Splitter:
         total = np.add.reduceat(weighted, starts)
         return _mix(total * self.inverse[starts]), np.searchsorted(cuts, starts, side="right") - 1
 
+    def words_and_prefixes(self, data: np.ndarray, cuts: np.ndarray, lengths: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray]:
+        """(hashes, texts) of all words and of their first ``lengths`` bytes, where a word is longer than that."""
+        hashes, owner = self.words(data, cuts)
+        if len(hashes) == 0:
+            return hashes, owner
+        inside = self.word[data]
+        first = inside.copy()
+        first[1:] &= ~inside[:-1]
+        inner = cuts[1:-1]
+        inner = inner[inner < len(data)]
+        first[inner] |= inside[inner]
+        starts = np.flatnonzero(first)
+        weighted = self.value[data] * self.power[: len(data)]
+        total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(weighted, dtype=np.uint64)])
+        limit = np.append(starts[1:], len(data))
+        stops = np.append(np.flatnonzero(~inside), len(data))
+        ends = np.minimum(stops[np.searchsorted(stops, starts)], limit)
+        out, of = [hashes], [owner]
+        for k in lengths:
+            long = ends - starts > k
+            at = starts[long]
+            out.append(_mix((total[at + k] - total[at]) * self.inverse[at] + np.uint64(k)))
+            of.append(owner[long])
+        return np.concatenate(out), np.concatenate(of)
+
 
 def pieces(column: pa.Array, limit: int = PIECE_BYTES) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, end row, bytes, offsets) of runs of texts of about ``limit`` bytes; nulls count as empty."""

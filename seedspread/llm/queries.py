@@ -15,6 +15,13 @@ def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op2_toxic_severity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.toxicity import fit, severity
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return severity(docs, fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.decontaminate import covered, scan
 
@@ -43,11 +50,22 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(sized).select("doc_id", F.col("_size").alias("size"), "source_size", "target", "taken", "source")
 
 
+def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.labelled import is_held_out
+    from seedspread.llm.quality import fit, score
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = score(docs, fit(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", is_held_out(F.col("doc_id")).alias("held_out"), "score", "predicted")
+
+
 QUERIES = {
     "op1_license_scan": op1_license_scan,
+    "op2_toxic_severity": op2_toxic_severity,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_minhash_near_dedup": op8_minhash_near_dedup,
     "op9_source_mix": op9_source_mix,
+    "op10_quality_classifier": op10_quality_classifier,
 }
 
 ORACLES = {
