@@ -5,7 +5,7 @@ presence is associated with the label (chi-square) enter one linear score; order
 score give P(grade >= k) = sigmoid(score - threshold k), and the sum of these is the expected severity.
 
 The labels only say toxic or not, so the grades used for fitting are derived: 0 for rows that are not toxic,
-and 1 to 3 for thirds of the toxic rows by the share of their words that are associated with the label. The
+and 1 to 3 for thirds of the toxic rows by the amount of features associated with the label. The
 fit uses at most ``PER_CLASS`` labelled texts of each class; all rows are scored. Cases: null and empty texts
 have no features and the severity of a text without any; without labels of both classes every severity is
 the share of toxic labels (0 without labels); repeated rows score alike.
@@ -73,7 +73,7 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
 
-def fit_ordinal(x: np.ndarray, grade: np.ndarray, n_grades: int, steps: int = 400, rate: float = 0.1, ridge: float = 1e-3) -> tuple[np.ndarray, np.ndarray]:
+def fit_ordinal(x: np.ndarray, grade: np.ndarray, n_grades: int, steps: int = 300, rate: float = 0.1, ridge: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
     """(weights, ordered thresholds) that maximise the penalised likelihood of the grades.
 
     Thresholds are a first value plus positive steps, so they stay in order; weights are shared by all of them.
@@ -114,11 +114,10 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
     texts = pa.array([r[1] for r in found], pa.large_string())
     vocabulary = select_features(texts, y)
     counts = _counts(texts, vocabulary)
-    words = np.array([max(1, len(r[1].split())) for r in found])
-    rate = counts.sum(1) / words
+    amount = np.log1p(counts).sum(1)
     grade = np.where(y == 1, 1, 0)
-    edges = np.quantile(rate[y == 1], [1 / 3, 2 / 3])
-    grade[y == 1] += np.searchsorted(edges, rate[y == 1], side="left")
+    edges = np.quantile(amount[y == 1], [1 / 3, 2 / 3])
+    grade[y == 1] += np.searchsorted(edges, amount[y == 1], side="left")
     w, theta = fit_ordinal(np.log1p(counts).astype(float), grade, GRADES)
     return {"vocabulary": vocabulary, "weights": w, "thresholds": theta}
 
