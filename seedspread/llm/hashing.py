@@ -12,6 +12,7 @@ import numpy as np
 import pyarrow as pa
 
 PIECE_BYTES = 1 << 20
+MAX_PIECE_TEXTS = 1 << 16
 _MASK = (1 << 64) - 1
 _ODD = 0x9E3779B97F4A7C15
 
@@ -124,7 +125,7 @@ def pieces(column: pa.Array, limit: int = PIECE_BYTES) -> Iterator[tuple[int, in
     row = 0
     while row < n:
         end = max(row + 1, int(np.searchsorted(offsets, offsets[row] + limit, side="right")) - 1)
-        end = min(end, n)
+        end = min(end, n, row + MAX_PIECE_TEXTS)
         yield row, end, data[offsets[row] : offsets[end]], offsets[row : end + 1] - offsets[row]
         row = end
 
@@ -158,16 +159,19 @@ def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5
 
 
 def distinct(values: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The distinct (text, value) pairs, sorted by text, then value."""
+    """The distinct (text, value) pairs, sorted by text, then value; a value keeps its upper 48 bits.
+
+    Text and value share one 64-bit sort key, so a piece may hold at most 2^16 texts.
+    """
     if len(values) == 0:
         return values, of
-    order = np.lexsort((values, of))
-    values, of = values[order], of[order]
-    new = np.empty(len(values), bool)
+    key = (of.astype(np.uint64) << np.uint64(48)) | (values >> np.uint64(16))
+    key.sort()
+    new = np.empty(len(key), bool)
     new[0] = True
-    np.not_equal(values[1:], values[:-1], out=new[1:])
-    new[1:] |= of[1:] != of[:-1]
-    return values[new], of[new]
+    np.not_equal(key[1:], key[:-1], out=new[1:])
+    key = key[new]
+    return key << np.uint64(16), (key >> np.uint64(48)).astype(np.int64)
 
 
 def set_digest(values: np.ndarray, of: np.ndarray, n_texts: int) -> tuple[np.ndarray, np.ndarray]:
