@@ -22,6 +22,24 @@ def op2_toxic_severity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return severity(docs, fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op6_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.warc import SCHEMA, archive, page_id_of, read_archive
+    from seedspread.runtime import scratch_path
+
+    path = scratch_path(spark, "warc")
+    archive(table(spark, sf_dir, "pages"), path)
+    stored = read_archive(spark, path, SCHEMA)
+    stated = F.regexp_replace("payload_digest", "^sha256:", "")
+    # a response's figures come from the payload that was read back, a revisit's from its headers
+    read_back = F.col("payload").isNotNull()
+    return stored.select(
+        page_id_of(F.col("record_id")).alias("page_id"),
+        F.when(read_back, F.octet_length("payload").cast("long")).otherwise(F.col("payload_length")).alias("payload_bytes"),
+        F.when(read_back, F.sha2("payload", 256)).otherwise(stated).alias("payload_digest"),
+        "record_type", page_id_of(F.col("refers_to")).alias("refers_to"),
+    )
+
+
 def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.decontaminate import covered, scan
 
@@ -62,6 +80,7 @@ def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_license_scan": op1_license_scan,
     "op2_toxic_severity": op2_toxic_severity,
+    "op6_warc_archive": op6_warc_archive,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_minhash_near_dedup": op8_minhash_near_dedup,
     "op9_source_mix": op9_source_mix,
@@ -70,6 +89,7 @@ QUERIES = {
 
 ORACLES = {
     "op1_license_scan": oracles.licenses(),
+    "op6_warc_archive": oracles.ARCHIVE,
     "op7_benchmark_decontamination": oracles.DECONTAMINATE,
     "op8_minhash_near_dedup": oracles.NEAR_DUPLICATES,
     "op9_source_mix": oracles.MIX,
