@@ -22,6 +22,12 @@ def op2_toxic_severity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return severity(docs, fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op3_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.embeddings import near_vectors
+
+    return near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op6_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.warc import SCHEMA, archive, page_id_of, read_archive
     from seedspread.runtime import scratch_path
@@ -80,6 +86,7 @@ def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_license_scan": op1_license_scan,
     "op2_toxic_severity": op2_toxic_severity,
+    "op3_embedding_near_dedup": op3_embedding_near_dedup,
     "op6_warc_archive": op6_warc_archive,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_minhash_near_dedup": op8_minhash_near_dedup,
@@ -89,6 +96,7 @@ QUERIES = {
 
 ORACLES = {
     "op1_license_scan": oracles.licenses(),
+    "op3_embedding_near_dedup": oracles.VECTORS,
     "op6_warc_archive": oracles.ARCHIVE,
     "op7_benchmark_decontamination": oracles.DECONTAMINATE,
     "op8_minhash_near_dedup": oracles.NEAR_DUPLICATES,
