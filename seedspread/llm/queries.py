@@ -28,6 +28,13 @@ def op3_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_vectors(table(spark, sf_dir, "embeddings"))
 
 
+def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.pii import find, fit
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return find(docs, fit(docs))
+
+
 def op6_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.warc import SCHEMA, archive, page_id_of, read_archive
     from seedspread.runtime import scratch_path
@@ -87,6 +94,7 @@ QUERIES = {
     "op1_license_scan": op1_license_scan,
     "op2_toxic_severity": op2_toxic_severity,
     "op3_embedding_near_dedup": op3_embedding_near_dedup,
+    "op4_personal_data": op4_personal_data,
     "op6_warc_archive": op6_warc_archive,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_minhash_near_dedup": op8_minhash_near_dedup,
