@@ -4,22 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seedspread.llm import stages
+from seedspread.llm.stages import STAGES
 from seedspread.runtime import materialize, table
 
-STAGES = stages.STAGES
-
-#: The classifier, both similarity joins and the minhash stage are not expressible in SQL; brute force tests cover them.
+#: SQL cannot train or run the compression classifier; the stages are tested against brute force instead.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every stage in order, each result written as Parquet and read again."""
+    """Every stage in order, each result written as Parquet and read again as the next one's input."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
         docs = materialize(stage(spark, docs, sf_dir), name)
-    return stage_last(spark, docs, sf_dir)
-
-
-def stage_last(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return STAGES[-1][1](spark, docs, sf_dir)
