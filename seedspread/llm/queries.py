@@ -35,6 +35,13 @@ def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find(docs, fit(docs))
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from seedspread.llm.lines import dedup_lines
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return dedup_lines(docs).select("doc_id", "n_removed", F.length("text").cast("long").alias("n_chars"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"), "text")
+
+
 def op6_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     from seedspread.llm.warc import SCHEMA, archive, page_id_of, read_archive
     from seedspread.runtime import scratch_path
@@ -95,6 +102,7 @@ QUERIES = {
     "op2_toxic_severity": op2_toxic_severity,
     "op3_embedding_near_dedup": op3_embedding_near_dedup,
     "op4_personal_data": op4_personal_data,
+    "op5_line_dedup": op5_line_dedup,
     "op6_warc_archive": op6_warc_archive,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_minhash_near_dedup": op8_minhash_near_dedup,
