@@ -13,6 +13,8 @@ import pyarrow as pa
 
 PIECE_BYTES = 1 << 20
 MAX_PIECE_TEXTS = 1 << 16
+#: Token groups by the upper 16 bits of a token, for rarity counts of a fixed size.
+RANK_GROUPS = 1 << 16
 _MASK = (1 << 64) - 1
 _ODD = 0x9E3779B97F4A7C15
 
@@ -182,3 +184,23 @@ def set_digest(values: np.ndarray, of: np.ndarray, n_texts: int) -> tuple[np.nda
         one[texts] = np.add.reduceat(_mix(values ^ np.uint64(0xA5A5)), at)
         two[texts] = np.add.reduceat(_mix(values * np.uint64(_ODD)), at)
     return one, two
+
+
+def count_groups(pieces: Iterator[np.ndarray]) -> pa.RecordBatch:
+    """``(group, n)`` of all token values of a task."""
+    total = np.zeros(RANK_GROUPS, np.int64)
+    for values in pieces:
+        total += np.bincount((values >> np.uint64(48)).astype(np.int64), minlength=RANK_GROUPS)
+    group = np.flatnonzero(total)
+    return pa.RecordBatch.from_arrays([pa.array(group.astype(np.int32)), pa.array(total[group])], names=["group", "n"])
+
+
+def prefixes(values: np.ndarray, of: np.ndarray, n: int, ranks: np.ndarray, percent: int) -> tuple[np.ndarray, pa.ListArray]:
+    """(size of each set, its prefix tokens rarest first) for sorted distinct tokens."""
+    size = np.bincount(of, minlength=n)
+    order = np.argsort((of << 16) | ranks[(values >> np.uint64(48)).astype(np.int64)], kind="stable")
+    take = np.where(size > 0, size - (-(-percent * size // 100)) + 1, 0)
+    within = np.arange(len(of)) - np.repeat(np.cumsum(size) - size, size)
+    tokens = values[order][within < np.repeat(take, size)].view(np.int64)
+    offsets = np.concatenate([[0], np.cumsum(take)]).astype(np.int32)
+    return size, pa.ListArray.from_arrays(pa.array(offsets), pa.array(tokens))

@@ -27,12 +27,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seedspread.llm import hashing
+from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
 from seedspread.runtime import materialize
 
 PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 4, 8192
-RANK_GROUPS = 1 << 16
 
 
 def _line_sets(texts: pa.Array, width: int, min_words: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -60,23 +59,12 @@ def _line_sets(texts: pa.Array, width: int, min_words: int) -> Iterator[tuple[np
 
 
 def token_ranks(docs: DataFrame, width: int = WIDTH, min_words: int = MIN_WORDS) -> np.ndarray:
-    """Rarity rank of each of the token groups, from counts over all lines."""
+    """Rarity rank of each token group, from counts over all lines."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(RANK_GROUPS, np.int64)
-        for batch in batches:
-            for _, _, values, _ in _line_sets(batch.column(0), width, min_words):
-                total += np.bincount((values >> np.uint64(48)).astype(np.int64), minlength=RANK_GROUPS)
-        group = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(group.astype(np.int32)), pa.array(total[group])], names=["group", "n"])
+        yield hashing.count_groups(values for batch in batches for _, _, values, _ in _line_sets(batch.column(0), width, min_words))
 
-    counts = docs.select("text").mapInArrow(run, "group int, n long").groupBy("group").agg(F.sum("n").alias("n"))
-    total = np.zeros(RANK_GROUPS, np.int64)
-    for r in counts.collect():  # at most RANK_GROUPS rows
-        total[r["group"]] = r["n"]
-    ranks = np.empty(RANK_GROUPS, np.int64)
-    ranks[np.lexsort((np.arange(RANK_GROUPS), total))] = np.arange(RANK_GROUPS)
-    return ranks
+    return setjoin.ranks_of(docs.select("text").mapInArrow(run, "group int, n long"))
 
 
 def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int, min_words: int) -> DataFrame:
@@ -87,109 +75,16 @@ def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int,
             for doc, number, values, of in _line_sets(batch.column(2), width, min_words):
                 n = len(doc)
                 one, two = hashing.set_digest(values, of, n)
-                size = np.bincount(of, minlength=n)
-                order = np.argsort((of << 16) | ranks[(values >> np.uint64(48)).astype(np.int64)], kind="stable")
-                take = size - (-(-percent * size // 100)) + 1
-                within = np.arange(len(of)) - np.repeat(np.cumsum(size) - size, size)
-                chosen = within < np.repeat(take, size)
-                tokens = values[order][chosen].view(np.int64)
-                offsets = np.concatenate([[0], np.cumsum(take)]).astype(np.int32)
+                size, tokens = hashing.prefixes(values, of, n, ranks, percent)
                 rows = pa.array(doc)
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(number.astype(np.int32)), pa.array(size.astype(np.int32)),
-                     pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(tokens))],
+                     pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), tokens],
                     names=["doc_id", "th", "line_no", "n", "d1", "d2", "prefix"])
 
     return docs.mapInArrow(run, "doc_id long, th long, line_no int, n int, d1 long, d2 long, prefix array<long>")
 
 
-def _candidates(percent: int, hot_group: int, every: bool):
-    """Rows ``(cell, lid, n, pos, side, open)`` sorted by (cell, lid) → kinds: 0 pair (earlier, later), 1 later line with more candidates, 2 hot cell (cell, rows).
-
-    ``every``: all candidates of open rows instead of the first one of each row.
-    """
-
-    def passing(n, pos, side, lo, hi):
-        """Matrix rows lo..hi × columns 0..hi of earlier candidates."""
-        a, b = n[:hi][None, :], n[lo:hi][:, None]
-        small, large = np.minimum(a, b), np.maximum(a, b)
-        good = 100 * small >= percent * large
-        left = np.minimum(a - pos[:hi][None, :], b - pos[lo:hi][:, None])
-        good &= left * (100 + percent) >= percent * (a + b) - (100 + percent) * np.minimum(pos[:hi][None, :], pos[lo:hi][:, None])
-        good &= np.arange(hi)[None, :] < np.arange(lo, hi)[:, None]
-        s = side[lo:hi][:, None]
-        return good & ((s < 0) | (s != side[:hi][None, :]))
-
-    def solve(lid, n, pos, side, open_):
-        for lo in range(0, len(lid), 512):
-            hi = min(lo + 512, len(lid))
-            good = passing(n, pos, side, lo, hi) & (lid[:hi][None, :] != lid[lo:hi][:, None])
-            if every:
-                good &= open_[lo:hi][:, None] > 0
-                r, c = np.nonzero(good)
-                yield 0, lid[c], lid[lo + r]
-            else:
-                count = good.sum(1)
-                rows = np.flatnonzero(count)
-                yield 0, lid[good[rows].argmax(1)], lid[lo + rows]
-                more = np.flatnonzero(count > 1)
-                yield 1, lid[lo + more], lid[lo + more]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list | None = None
-
-        def flush(cols):
-            """All complete groups of ``cols``."""
-            cell = cols[0]
-            new = np.concatenate([[True], cell[1:] != cell[:-1]])
-            at = np.append(np.flatnonzero(new), len(cell))
-            out = [(0, np.empty(0, np.int64), np.empty(0, np.int64))]
-            for k in np.flatnonzero(np.diff(at) > 1):
-                a, b = at[k], at[k + 1]
-                if hot_group and b - a > hot_group:
-                    out.append((2, cell[a : a + 1], np.array([b - a])))
-                else:
-                    out += solve(*(c[a:b] for c in cols[1:]))
-            kind = np.concatenate([np.full(len(x), k, np.int32) for k, x, _ in out])
-            return pa.RecordBatch.from_arrays([pa.array(kind), pa.array(np.concatenate([x for _, x, _ in out])), pa.array(np.concatenate([y for _, _, y in out]).astype(np.int64))], names=["kind", "x", "y"])
-
-        for batch in batches:
-            if batch.num_rows == 0:
-                continue
-            cols = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(6)]
-            if held is not None:
-                cols = [np.concatenate([h, c]) for h, c in zip(held, cols, strict=True)]
-            cut = int(np.searchsorted(cols[0], cols[0][-1], side="left"))
-            if cut:
-                yield flush([c[:cut] for c in cols])
-            held = [c[cut:] for c in cols]
-        if held is not None:
-            yield flush(held)
-
-    return run
-
-
-def _dealt(rows: DataFrame, percent: int, hot_group: int, every: bool) -> DataFrame:
-    cells = rows.repartition("cell").sortWithinPartitions("cell", "lid").select("cell", "lid", "n", "pos", "side", "open")
-    return cells.mapInArrow(_candidates(percent, hot_group, every), "kind int, x long, y long")
-
-
-def _chunked(rows: DataFrame, hot: DataFrame, hot_group: int) -> DataFrame:
-    """Rows of hot cells dealt to pairs of chunks, so that no task holds a whole cell."""
-    met = rows.join(hot, "cell").withColumn("chunks", F.ceil(2 * F.col("rows") / hot_group).cast("int")).withColumn("own", F.pmod(F.xxhash64("lid"), F.col("chunks")).cast("int"))
-    dealt = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    cell = F.xxhash64("cell", F.least("own", "other"), F.greatest("own", "other"))
-    return dealt.select(cell.alias("cell"), "lid", "n", "pos", F.when(F.col("own") == F.col("other"), F.lit(-1)).otherwise(F.col("own")).alias("side"), "open")
-
-
-def _pairs(rows: DataFrame, percent: int, hot_group: int, every: bool) -> DataFrame:
-    found = materialize(_dealt(rows, percent, hot_group, every), "candidates")
-    hot = found.filter("kind = 2").select(F.col("x").alias("cell"), F.col("y").alias("rows"))
-    if not hot.isEmpty():
-        found = found.filter("kind < 2").union(materialize(_dealt(_chunked(rows, hot, hot_group), percent, 0, every), "candidates"))
-    return found
-
-
 def _line_texts(docs: DataFrame, classes: DataFrame, lids: DataFrame) -> DataFrame:
     """``(doc_id = lid, text = the line)`` of the named classes."""
     need = classes.join(lids, "lid", "left_semi").select("lid", F.col("first.doc_id").alias("_d"), F.col("first.th").alias("_t"), F.col("first.line_no").alias("_n"))
@@ -208,8 +103,8 @@ def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH,
     classes = materialize(classes.repartitionByRange("first").sortWithinPartitions("first").withColumn("lid", F.monotonically_increasing_id()), "classes")
     same = ["d1", "d2", "n"]
     heads = lines.join(classes, same).filter(order.eqNullSafe(F.col("first")))
-    rows = heads.select("lid", "n", F.posexplode("prefix").alias("pos", "cell")).select("cell", "lid", "n", "pos", F.lit(-1).alias("side"), F.lit(0).alias("open"))
-    found = _pairs(rows, percent, hot_group, False)
+    rows = heads.select("lid", "n", F.posexplode("prefix").alias("pos", "cell")).select("cell", "lid", "n", "pos", F.lit(-1).alias("side"), F.lit(0).alias("open"), F.col("lid").alias("team"))
+    found = setjoin.candidate_pairs(rows, percent, hot_group, False)
     first = materialize(found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct(), "pairs")
     lids = first.select(F.col("a").alias("lid")).union(first.select(F.col("b").alias("lid"))).distinct()
     matched = materialize(confirm(first, _line_texts(keyed, classes, lids), percent, width).select(F.col("b").alias("lid")).distinct(), "matched")
@@ -217,8 +112,8 @@ def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH,
     if not more.isEmpty():
         cells = rows.join(more, "lid", "left_semi").select("cell").distinct()
         again = rows.drop("open").join(cells, "cell", "left_semi").join(more.withColumn("open", F.lit(1)), "lid", "left").withColumn("open", F.coalesce("open", F.lit(0)))
-        again = again.select("cell", "lid", "n", "pos", "side", "open")
-        rest = _pairs(again, percent, hot_group, True).filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
+        again = again.select("cell", "lid", "n", "pos", "side", "open", F.col("lid").alias("team"))
+        rest = setjoin.candidate_pairs(again, percent, hot_group, True).filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
         rest = materialize(rest.join(first, ["a", "b"], "left_anti"), "pairs")
         lids = rest.select(F.col("a").alias("lid")).union(rest.select(F.col("b").alias("lid"))).distinct()
         matched = matched.union(confirm(rest, _line_texts(keyed, classes, lids), percent, width).select(F.col("b").alias("lid"))).distinct()

@@ -8,8 +8,8 @@ misses all of A, or all of B, with probability (1 - 0.75³)^18 = 5e-5 each.
 Documents meet by A_i: one row per document and group carries all of B, and the tables (i, 1..groups) are
 formed inside the bucket of A_i, so no row per table is shuffled. Documents with equal shingle sets are
 collapsed first. Inside a table bucket each member is paired with the smallest one only; members of larger
-buckets that confirmed links leave in different components are then paired across components, so no link
-that a bucket shows is lost while groups of near copies never expand into all pairs. Buckets of more than
+buckets that confirmed links leave in different components then go through an exact prefix-filtered join
+across components, so no link that a bucket shows is lost while groups never expand into all pairs. Buckets of more than
 ``hot_bucket`` documents are formed by aggregates that combine on the map side instead of in one task.
 
 Cases: texts that are null or without words have an empty set and no links; documents of fewer than five
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seedspread.llm import hashing
+from seedspread.llm import hashing, setjoin
 from seedspread.operators.components import connected_components
 from seedspread.runtime import materialize
 
@@ -185,6 +185,39 @@ def confirm(pairs: DataFrame, docs: DataFrame, percent: int = 75, width: int = 5
     return dealt.mapInArrow(_verify(percent, width), "a long, b long").distinct()
 
 
+def across_components(open_: DataFrame, docs: DataFrame, percent: int, width: int) -> DataFrame:
+    """Candidate pairs (a, b) of different components among ``open_(doc_id, component)``, by the prefix filter.
+
+    Documents that share nothing but a common passage meet in many buckets although they are no near
+    duplicates. Shingles of such a passage are frequent and stand last in the order of rarity, so the rare
+    ends of the sets tell those documents apart before any pair is formed, and no pair at or above the
+    similarity is lost.
+    """
+    held = open_.join(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id").select("doc_id", "component", "text")
+    held = materialize(held.dropDuplicates(["doc_id"]), "open")
+
+    def sets(column):
+        splitter = hashing.Splitter()
+        for row, end, data, cuts in hashing.pieces(column):
+            yield row, end, *hashing.shingles(*splitter.words(data, cuts), end - row, width)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield hashing.count_groups(values for batch in batches for _, _, values, _ in sets(batch.column(2)))
+
+    ranks = setjoin.ranks_of(held.mapInArrow(count, "group int, n long"))
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row, end, values, of in sets(batch.column(2)):
+                size, tokens = hashing.prefixes(values, of, end - row, ranks, percent)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, end - row), batch.column(1).slice(row, end - row), pa.array(size.astype(np.int32)), tokens], names=["lid", "team", "n", "prefix"])
+
+    rows = held.mapInArrow(cut, "lid long, team long, n int, prefix array<long>").select("lid", "team", "n", F.posexplode("prefix").alias("pos", "cell"))
+    rows = rows.select("cell", "lid", "n", "pos", F.lit(-1).alias("side"), F.lit(1).alias("open"), "team")
+    found = setjoin.candidate_pairs(rows, percent, HOT_BUCKET, True)
+    return found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, groups: int = GROUPS, rows: int = ROWS, hot_bucket: int = HOT_BUCKET) -> DataFrame:
     """``docs(doc_id, text)`` → ``(doc_id, n_shingles, component_id, kept)``, one row per row of ``docs``."""
     docs = docs.select("doc_id", "text")
@@ -199,15 +232,9 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, groups:
     comps = materialize(connected_components(links).withColumnRenamed("v", "doc_id"), "components")
     labelled = members.join(comps, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     mixed = labelled.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("bucket")
-    open_ = materialize(labelled.join(mixed, "bucket").join(heads.select("doc_id", F.col("n_shingles").alias("n")), "doc_id"), "open")
-    left, right = (open_.select("bucket", *[F.col(c).alias(f"{c}{k}") for c in ("doc_id", "component", "n")]) for k in "12")
-    cross = (
-        left.join(right, "bucket").filter("doc_id1 < doc_id2 and component1 <> component2")
-        .filter(100 * F.least("n1", "n2") >= percent * F.greatest("n1", "n2"))
-        .select(F.col("doc_id1").alias("a"), F.col("doc_id2").alias("b")).distinct().join(stars, ["a", "b"], "left_anti")
-    )
-    cross = materialize(cross, "cross")
-    if not cross.isEmpty():
+    open_ = materialize(labelled.join(mixed, "bucket").select("doc_id", "component").distinct(), "open")
+    if not open_.isEmpty():
+        cross = materialize(across_components(open_, docs, percent, width).join(stars, ["a", "b"], "left_anti"), "cross")
         links = links.union(confirm(cross, docs, percent, width))
         comps = connected_components(links).withColumnRenamed("v", "doc_id")
     named = classes.join(comps.withColumnRenamed("doc_id", "rep"), "rep", "left").select("d1", "d2", "n_shingles", F.coalesce("component", "rep").alias("found"))
