@@ -109,7 +109,9 @@ def knn(vectors: DataFrame, k: int, blocks: int = 8) -> DataFrame:
 
     clean = vectors.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("e")).filter("id is not null and e is not null")
     held = clean.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)))
-    cells = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    dealt = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    left = dealt.select((F.col("block") * blocks + F.col("other")).alias("cell"), "id", "e")
+    right = dealt.select((F.col("other") * blocks + F.col("block")).alias("cell"), "id", "e")
 
     def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         if left.empty or right.empty:
@@ -123,8 +125,7 @@ def knn(vectors: DataFrame, k: int, blocks: int = 8) -> DataFrame:
         out = pd.DataFrame({"src": np.repeat(left.id.to_numpy(), order.shape[1]), "dst": right.id.to_numpy()[order].ravel(), "cosine": np.take_along_axis(s, order, 1).ravel()})
         return out[np.isfinite(out.cosine)]
 
-    right = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select(F.col("block").alias("other"), F.col("other").alias("block"), "id", "e")
-    near = cells.groupBy("block", "other").cogroup(right.groupBy("block", "other")).applyInPandas(best, "src long, dst long, cosine double")
+    near = left.groupBy("cell").cogroup(right.groupBy("cell")).applyInPandas(best, "src long, dst long, cosine double")
     place = F.row_number().over(Window.partitionBy("src").orderBy(F.col("cosine").desc(), "dst"))
     return near.withColumn("place", place).filter(F.col("place") <= k).drop("place")
 
