@@ -11,7 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-PIECE_BYTES = 1 << 20
+PIECE_BYTES = 1 << 17
 MAX_PIECE_TEXTS = 1 << 16
 #: Token groups by the upper 16 bits of a token, for rarity counts of a fixed size.
 RANK_GROUPS = 1 << 16
@@ -34,16 +34,6 @@ def seeds(n: int, seed: int) -> np.ndarray:
     return _mix(base) | np.uint64(1)
 
 
-def byte_classes(separators: bytes, lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """(is-word table, byte value table) for a separator set; A-Z fold to a-z when ``lower``."""
-    word = np.ones(256, bool)
-    word[list(separators)] = False
-    fold = np.arange(256)
-    if lower:
-        fold[65:91] += 32
-    return word, _mix(fold.astype(np.uint64) + np.uint64(0x51ED))
-
-
 SPACE_SEPARATORS = bytes([0x20, *range(0x09, 0x0E)])
 _INVERSE = pow(_ODD, -1, 1 << 64)
 
@@ -52,10 +42,24 @@ class Splitter:
     """Splits pieces of text into words and hashes each word."""
 
     def __init__(self, separators: bytes = SPACE_SEPARATORS):
-        self.word, self.value = byte_classes(separators)
+        marks = sorted(separators)
+        self.ranges = [(x, x) for x in marks[:1]]
+        for x in marks[1:]:
+            if x == self.ranges[-1][1] + 1:
+                self.ranges[-1] = (self.ranges[-1][0], x)
+            else:
+                self.ranges.append((x, x))
         self.power = np.ones(1, np.uint64)
         self.inverse = np.ones(1, np.uint64)
 
+    def _scan(self, data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(is in a word, folded byte with 0 for separators), by whole-array comparisons."""
+        inside = np.ones(len(data), bool)
+        for lo, hi in self.ranges:
+            inside &= (data - np.uint8(lo)) > np.uint8(hi - lo)
+        folded = data + (((data - np.uint8(65)) < np.uint8(26)).view(np.uint8) << np.uint8(5))
+        return inside, folded * inside.view(np.uint8)
+
     def _grow(self, n: int) -> None:
         if len(self.power) < n:
             steps = np.full(n, _ODD, np.uint64)
@@ -63,47 +67,44 @@ class Splitter:
             steps[0] = back[0] = 1
             self.power, self.inverse = np.multiply.accumulate(steps), np.multiply.accumulate(back)
 
-    def words(self, data: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(word hashes, index of the text each word is in). ``cuts``: offsets of the texts, n + 1 of them."""
+    def _words(self, data: np.ndarray, cuts: np.ndarray):
+        """(word starts, running weighted sums, is in a word)."""
         n = len(data)
-        if n == 0:
-            return np.empty(0, np.uint64), np.empty(0, np.int64)
         self._grow(n + 1)
-        inside = self.word[data]
+        inside, folded = self._scan(data)
         first = np.empty(n, bool)
         first[0] = True
         np.logical_not(inside[:-1], out=first[1:])
         inner = cuts[1:-1]
-        inner = inner[inner < n]
-        first[inner] = True
+        first[inner[inner < n]] = True
         first &= inside
-        starts = np.flatnonzero(first)
-        if len(starts) == 0:
+        total = np.empty(n + 1, np.uint64)
+        total[0] = 0
+        np.cumsum(folded.astype(np.uint64) * self.power[:n], out=total[1:])
+        return np.flatnonzero(first), total, inside
+
+    def words(self, data: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(word hashes, index of the text each word is in). ``cuts``: offsets of the texts, n + 1 of them.
+
+        A word's hash is the polynomial of its folded bytes, mixed; separators weigh nothing, so the sum up to
+        the next word's start is the word's own.
+        """
+        if len(data) == 0:
             return np.empty(0, np.uint64), np.empty(0, np.int64)
-        weighted = self.value[data]
-        weighted *= self.power[:n]
-        weighted[~inside] = 0
-        total = np.add.reduceat(weighted, starts)
-        return _mix(total * self.inverse[starts]), np.searchsorted(cuts, starts, side="right") - 1
+        starts, total, _ = self._words(data, cuts)
+        sums = np.diff(total[np.append(starts, len(data))])
+        return _mix(sums * self.inverse[starts]), np.searchsorted(cuts, starts, side="right") - 1
 
     def words_and_prefixes(self, data: np.ndarray, cuts: np.ndarray, lengths: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray]:
         """(hashes, texts) of all words and of their first ``lengths`` bytes, where a word is longer than that."""
-        hashes, owner = self.words(data, cuts)
-        if len(hashes) == 0:
-            return hashes, owner
-        inside = self.word[data]
-        first = inside.copy()
-        first[1:] &= ~inside[:-1]
-        inner = cuts[1:-1]
-        inner = inner[inner < len(data)]
-        first[inner] |= inside[inner]
-        starts = np.flatnonzero(first)
-        weighted = self.value[data] * self.power[: len(data)]
-        total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(weighted, dtype=np.uint64)])
-        limit = np.append(starts[1:], len(data))
+        if len(data) == 0:
+            return np.empty(0, np.uint64), np.empty(0, np.int64)
+        starts, total, inside = self._words(data, cuts)
+        bounds = np.append(starts, len(data))
+        owner = np.searchsorted(cuts, starts, side="right") - 1
         stops = np.append(np.flatnonzero(~inside), len(data))
-        ends = np.minimum(stops[np.searchsorted(stops, starts)], limit)
-        out, of = [hashes], [owner]
+        ends = np.minimum(stops[np.searchsorted(stops, starts)], bounds[1:])
+        out, of = [_mix(np.diff(total[bounds]) * self.inverse[starts])], [owner]
         for k in lengths:
             long = ends - starts > k
             at = starts[long]
@@ -132,10 +133,11 @@ def pieces(column: pa.Array, limit: int = PIECE_BYTES) -> Iterator[tuple[int, in
         row = end
 
 
-def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5) -> tuple[np.ndarray, np.ndarray]:
+def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5, unique: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """(hashes of the distinct ``width``-word runs of each text, index of the text), sorted by text.
 
-    A text of fewer words, but not none, gives its whole sequence as one run.
+    A text of fewer words, but not none, gives its whole sequence as one run. Without ``unique`` repeats stay
+    and the order is arbitrary.
     """
     factors = seeds(width, 77)
     count = np.bincount(owner, minlength=n_texts)
@@ -157,7 +159,7 @@ def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5
             whole[more] = _mix(whole[more]) + hashes[first[short[more]] + k] * factors[1]
         whole = _mix(whole)
         runs, of = np.concatenate([runs, whole]), np.concatenate([of, short])
-    return distinct(runs, of)
+    return distinct(runs, of) if unique else (runs, of)
 
 
 def distinct(values: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -8,8 +8,8 @@ misses all of A, or all of B, with probability (1 - 0.75³)^18 = 5e-5 each.
 Documents meet by A_i: one row per document and group carries all of B, and the tables (i, 1..groups) are
 formed inside the bucket of A_i, so no row per table is shuffled. Documents with equal shingle sets are
 collapsed first. Inside a table bucket each member is paired with the smallest one only; members of larger
-buckets that confirmed links leave in different components then go through an exact prefix-filtered join
-across components, so no link that a bucket shows is lost while groups never expand into all pairs. Buckets of more than
+buckets that confirmed links leave in different components are then compared in blocks that hold
+whole chains of such buckets, so no link that a bucket shows is lost and groups never expand into all pairs. Buckets of more than
 ``hot_bucket`` documents are formed by aggregates that combine on the map side instead of in one task.
 
 Cases: texts that are null or without words have an empty set and no links; documents of fewer than five
@@ -26,13 +26,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seedspread.llm import hashing, setjoin
+from seedspread.llm import hashing
 from seedspread.operators.components import connected_components
 from seedspread.runtime import materialize
 
 GROUPS, ROWS = 18, 3
 HOT_BUCKET = 20_000
 HUB_SLICE = 256
+#: Ids up to which the documents of any candidate pair are broadcast to pick their texts (8 bytes each).
+MAX_BROADCAST_IDS = 2_000_000
+CELL_DOCS = 1_500
 
 
 def signatures(docs: DataFrame, groups: int = GROUPS, rows: int = ROWS, width: int = 5) -> DataFrame:
@@ -185,37 +188,84 @@ def confirm(pairs: DataFrame, docs: DataFrame, percent: int = 75, width: int = 5
     return dealt.mapInArrow(_verify(percent, width), "a long, b long").distinct()
 
 
-def across_components(open_: DataFrame, docs: DataFrame, percent: int, width: int) -> DataFrame:
-    """Candidate pairs (a, b) of different components among ``open_(doc_id, component)``, by the prefix filter.
+def few(df: DataFrame, limit: int = MAX_BROADCAST_IDS) -> DataFrame:
+    """``df`` written out, with a broadcast hint if it has at most ``limit`` rows of one id."""
+    held = materialize(df, "few")
+    return F.broadcast(held) if held.count() <= limit else held
 
-    Documents that share nothing but a common passage meet in many buckets although they are no near
-    duplicates. Shingles of such a passage are frequent and stand last in the order of rarity, so the rare
-    ends of the sets tell those documents apart before any pair is formed, and no pair at or above the
-    similarity is lost.
+
+def _links_in_cells(percent: int, width: int):
+    """Rows sorted by cell → confirmed links across components, one per pair of components and cell.
+
+    Shared shingles are counted through inverted lists, so no candidate pair is formed. Members of the largest
+    component of a cell are only looked up, never looked from.
     """
-    held = open_.join(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "doc_id").select("doc_id", "component", "text")
-    held = materialize(held.dropDuplicates(["doc_id"]), "open")
 
-    def sets(column):
-        splitter = hashing.Splitter()
-        for row, end, data, cuts in hashing.pieces(column):
-            yield row, end, *hashing.shingles(*splitter.words(data, cuts), end - row, width)
+    def solve(ids, team, side, sets):
+        sizes = np.array([len(x) for x in sets])
+        codes = np.concatenate(sets)
+        owner = np.repeat(np.arange(len(ids)), sizes)
+        order = np.argsort(codes, kind="stable")
+        who = owner[order]
+        new = np.concatenate([[True], codes[order][1:] != codes[order][:-1]])
+        token = np.empty(len(codes), np.int64)
+        token[order] = np.cumsum(new) - 1
+        first = np.append(np.flatnonzero(new), len(codes))
+        at = np.concatenate([[0], np.cumsum(sizes)])
+        names, back, count = np.unique(team, return_inverse=True, return_counts=True)
+        found = {}
+        for x in np.flatnonzero(back != count.argmax()):
+            t = token[at[x] : at[x + 1]]
+            lo, n = first[t], first[t + 1] - first[t]
+            spots = np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+            both = np.bincount(who[spots], minlength=len(ids))
+            good = (100 * both >= percent * (sizes[x] + sizes - both)) & (team != team[x]) & ((side < 0) | (side != side[x]))
+            for y in np.flatnonzero(good):
+                found.setdefault((min(team[x], team[y]), max(team[x], team[y])), (min(ids[x], ids[y]), max(ids[x], ids[y])))
+        return list(found.values())
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        yield hashing.count_groups(values for batch in batches for _, _, values, _ in sets(batch.column(2)))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        splitter, held, cell = hashing.Splitter(), [], None
 
-    ranks = setjoin.ranks_of(held.mapInArrow(count, "group int, n long"))
+        def close():
+            links = solve(*(np.array([h[k] for h in held]) for k in range(3)), [h[3] for h in held]) if len(held) > 1 else []
+            return pa.RecordBatch.from_arrays([pa.array(np.array([x[k] for x in links], np.int64)) for k in (0, 1)], names=["a", "b"])
 
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row, end, values, of in sets(batch.column(2)):
-                size, tokens = hashing.prefixes(values, of, end - row, ranks, percent)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, end - row), batch.column(1).slice(row, end - row), pa.array(size.astype(np.int32)), tokens], names=["lid", "team", "n", "prefix"])
+            key, ids, team, side = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(4))
+            for row, end, data, cuts in hashing.pieces(batch.column(4)):
+                values, of = hashing.shingles(*splitter.words(data, cuts), end - row, width)
+                at = np.searchsorted(of, np.arange(end - row + 1))
+                for k in range(end - row):
+                    if cell is not None and key[row + k] != cell:
+                        yield close()
+                        held = []
+                    cell = key[row + k]
+                    held.append((ids[row + k], team[row + k], side[row + k], values[at[k] : at[k + 1]]))
+        yield close()
+
+    return run
 
-    rows = held.mapInArrow(cut, "lid long, team long, n int, prefix array<long>").select("lid", "team", "n", F.posexplode("prefix").alias("pos", "cell"))
-    rows = rows.select("cell", "lid", "n", "pos", F.lit(-1).alias("side"), F.lit(1).alias("open"), "team")
-    found = setjoin.candidate_pairs(rows, percent, HOT_BUCKET, True)
-    return found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
+
+def across_components(open_: DataFrame, texts: DataFrame, percent: int, width: int, chunk: int = CELL_DOCS) -> DataFrame:
+    """Confirmed links (a, b) between different components among ``open_(bucket, doc_id, component)``.
+
+    Documents that share much but not enough meet in many buckets, and each pair would have to be formed and
+    checked there. Instead documents that are joined by chains of such buckets form one block, each goes to
+    its block once, and blocks of over ``chunk`` documents are dealt in pairs of chunks. Within a block all
+    pairs across components are decided by counting, and only links leave it.
+    """
+    heads = open_.groupBy("bucket").agg(F.min("doc_id").alias("low"))
+    ties = open_.join(heads, "bucket").filter("doc_id <> low").select(F.col("doc_id").alias("a"), F.col("low").alias("b"))
+    blocks = materialize(connected_components(ties).select(F.col("v").alias("doc_id"), F.col("component").alias("block")), "blocks")
+    teams = open_.select("doc_id", "component").distinct()
+    sizes = blocks.groupBy("block").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
+    dealt = blocks.join(sizes, "block").join(teams, "doc_id").withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    cell = F.xxhash64("block", F.least("own", "other"), F.greatest("own", "other"))
+    rows = dealt.select(cell.alias("cell"), "doc_id", "component", F.when(F.col("own") == F.col("other"), F.lit(-1)).otherwise(F.col("own")).alias("side"))
+    held = rows.join(texts, "doc_id").select("cell", "doc_id", "component", "side", "text")
+    return held.repartition("cell").sortWithinPartitions("cell").mapInArrow(_links_in_cells(percent, width), "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, groups: int = GROUPS, rows: int = ROWS, hot_bucket: int = HOT_BUCKET) -> DataFrame:
@@ -228,15 +278,18 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, groups:
     reps = usable.join(heads, ["d1", "d2", "n_shingles", "doc_id"], "left_semi")
     stars, members = candidate_pairs(reps, groups, hot_bucket, percent)
     stars = materialize(stars, "stars")
-    links = materialize(confirm(stars, docs, percent, width), "links")
+    met = stars.select(F.col("a").alias("doc_id")).union(stars.select(F.col("b").alias("doc_id"))).union(members.select("doc_id")).distinct()
+    numbered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    texts = materialize(numbered.join(few(met), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
+    links = materialize(confirm(stars, texts, percent, width), "links")
     comps = materialize(connected_components(links).withColumnRenamed("v", "doc_id"), "components")
     labelled = members.join(comps, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     mixed = labelled.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("bucket")
-    open_ = materialize(labelled.join(mixed, "bucket").select("doc_id", "component").distinct(), "open")
+    open_ = materialize(labelled.join(mixed, "bucket", "left_semi"), "open")
     if not open_.isEmpty():
-        cross = materialize(across_components(open_, docs, percent, width).join(stars, ["a", "b"], "left_anti"), "cross")
-        links = links.union(confirm(cross, docs, percent, width))
-        comps = connected_components(links).withColumnRenamed("v", "doc_id")
+        more = materialize(across_components(open_, texts, percent, width), "links")
+        if not more.isEmpty():
+            comps = connected_components(links.union(more)).withColumnRenamed("v", "doc_id")
     named = classes.join(comps.withColumnRenamed("doc_id", "rep"), "rep", "left").select("d1", "d2", "n_shingles", F.coalesce("component", "rep").alias("found"))
     out = sigs.join(named, ["d1", "d2", "n_shingles"], "left")
     component = F.when(F.col("n_shingles") > 0, F.when(F.col("doc_id").isNotNull(), F.col("found"))).otherwise(F.col("doc_id"))
