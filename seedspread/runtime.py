@@ -61,6 +61,11 @@ def release(df: DataFrame) -> None:
             discard(df.sparkSession, root)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Ask the driver's JVM to collect garbage, so that shuffle files of finished plans leave the disks now rather than at the next periodic collection."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def _sweep_scratch() -> None:
     for spark, path in _WRITTEN:
         try:
