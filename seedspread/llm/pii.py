@@ -249,8 +249,8 @@ def _decode(tagger: Tagger, x: np.ndarray) -> np.ndarray:
 def redact(docs: DataFrame, parameters: dict | None) -> DataFrame:
     """``docs`` with every found span of ``text`` replaced by its kind in brackets; other columns stay."""
 
-    @F.udf("string")
-    def cut(text: str | None, spans: str | None) -> str | None:
+    @F.udf("string", useArrow=False)
+    def cut(text, spans):
         if not text or not spans:
             return text
         marks = [(int(s), int(e), k) for k, s, e in (x.split(":") for x in spans.split(","))]

@@ -30,17 +30,17 @@ ASSOCIATED = 40.0
 SEPARATORS = bytes([*range(0x00, 0x30), *range(0x3A, 0x41), *range(0x5B, 0x61), *range(0x7B, 0x80)])
 
 
-def _features(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+def _features(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     splitter = hashing.Splitter(SEPARATORS)
     for row, end, data, cuts in hashing.pieces(texts):
         codes, of = splitter.words_and_prefixes(data, cuts, PREFIXES)
-        yield row, end, codes, of, np.array([])
+        yield row, end, codes >> np.uint64(16) << np.uint64(16), of  # as many bits as distinct() keeps
 
 
 def _counts(texts: pa.Array, vocabulary: np.ndarray) -> np.ndarray:
     """Texts × features matrix of counts."""
     out = np.zeros((len(texts), len(vocabulary)), np.float32)
-    for row, _, codes, of, _ in _features(texts):
+    for row, _, codes, of in _features(texts):
         if len(codes) == 0 or len(vocabulary) == 0:
             continue
         place = np.searchsorted(vocabulary, codes)
@@ -53,7 +53,7 @@ def _counts(texts: pa.Array, vocabulary: np.ndarray) -> np.ndarray:
 def select_features(texts: pa.Array, y: np.ndarray) -> np.ndarray:
     """Sorted hashes of the features most associated with label 1."""
     seen, label = [], []
-    for row, end, codes, of, _ in _features(texts):
+    for row, end, codes, of in _features(texts):
         values, owner = hashing.distinct(codes, of)
         seen.append(values)
         label.append(y[row + owner])
@@ -133,7 +133,7 @@ def severity(docs: DataFrame, model: dict) -> DataFrame:
             else:
                 eta = np.zeros(n)
                 vocabulary, weights = model["vocabulary"], model["weights"]
-                for row, end, codes, of, _ in _features(batch.column(1)):
+                for row, end, codes, of in _features(batch.column(1)):
                     if len(codes) == 0 or len(vocabulary) == 0:
                         continue
                     place = np.searchsorted(vocabulary, codes)
