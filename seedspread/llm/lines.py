@@ -29,12 +29,14 @@ from pyspark.sql import functions as F
 
 from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
-from seedspread.runtime import materialize
+from seedspread.runtime import materialize, release, tidy
 
 PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 4, 8192
+#: Documents and line numbers up to which the lists of lines to fetch or to cut are broadcast (about 20 bytes an item).
+MAX_BROADCAST_ITEMS = 2_000_000
 
 
-def _line_sets(texts: pa.Array, width: int, min_words: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def _line_sets(texts: pa.Array, width: int, min_words: int, unique: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """(row of each line, line number, token values, line of each token) of lines with enough words."""
     splitter = hashing.Splitter()
     for row, _, data, cuts in hashing.pieces(texts, hashing.PIECE_BYTES // 2):
@@ -52,7 +54,7 @@ def _line_sets(texts: pa.Array, width: int, min_words: int) -> Iterator[tuple[np
         for lo in range(0, len(lines), hashing.MAX_PIECE_TEXTS):
             part = lines[lo : lo + hashing.MAX_PIECE_TEXTS]
             a, b = np.searchsorted(of, [lo, lo + len(part)])
-            values, owner = hashing.shingles(codes[a:b], of[a:b] - lo, len(part), width)
+            values, owner = hashing.shingles(codes[a:b], of[a:b] - lo, len(part), width, unique)
             doc = np.searchsorted(cuts, starts[part], side="right") - 1
             number = np.searchsorted(breaks, starts[part]) - np.searchsorted(breaks, cuts[doc])
             yield row + doc, number, values, owner
@@ -62,7 +64,7 @@ def token_ranks(docs: DataFrame, width: int = WIDTH, min_words: int = MIN_WORDS)
     """Rarity rank of each token group, from counts over all lines."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        yield hashing.count_groups(values for batch in batches for _, _, values, _ in _line_sets(batch.column(0), width, min_words))
+        yield hashing.count_groups(values for batch in batches for _, _, values, _ in _line_sets(batch.column(0), width, min_words, unique=False))
 
     return setjoin.ranks_of(docs.select("text").mapInArrow(run, "group int, n long"))
 
@@ -88,43 +90,65 @@ def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int,
 def _line_texts(docs: DataFrame, classes: DataFrame, lids: DataFrame) -> DataFrame:
     """``(doc_id = lid, text = the line)`` of the named classes."""
     need = classes.join(lids, "lid", "left_semi").select("lid", F.col("first.doc_id").alias("_d"), F.col("first.th").alias("_t"), F.col("first.line_no").alias("_n"))
-    by_doc = need.groupBy("_d", "_t").agg(F.collect_list(F.struct("lid", "_n")).alias("need"))
+    by_doc = small(need.groupBy("_d", "_t").agg(F.collect_list(F.struct("lid", "_n")).alias("need")), "need")
     held = docs.join(by_doc, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("th") == F.col("_t"))).withColumn("lines", F.split("text", "\n", -1))
     return held.select(F.inline(F.transform("need", lambda x: F.struct(x["lid"].alias("doc_id"), F.get("lines", x["_n"]).alias("text"))))).dropDuplicates(["doc_id"])
 
 
+def small(df: DataFrame, lists: str, limit: int = MAX_BROADCAST_ITEMS) -> DataFrame:
+    """``df`` written out, with a broadcast hint if its rows and the items of its list column are at most ``limit`` together."""
+    held = materialize(df, "small")
+    items = held.agg(F.count("*") + F.coalesce(F.sum(F.size(lists)), F.lit(0))).first()[0]
+    return F.broadcast(held) if items <= limit else held
+
+
 def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, min_words: int = MIN_WORDS, hot_group: int = HOT_GROUP) -> DataFrame:
     """``(doc_id, th, gone)``: the numbers of the lines to remove from each document that has any; ``th`` is xxhash64 of the text."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
     ranks = token_ranks(keyed, width, min_words)
-    lines = materialize(line_prefixes(keyed, ranks, percent, width, min_words), "lines")
+    wide = materialize(line_prefixes(keyed, ranks, percent, width, min_words), "lines")
+    lines = materialize(wide.drop("prefix"), "lines")
     order = F.struct("doc_id", "th", "line_no")
-    classes = lines.groupBy("d1", "d2", "n").agg(F.min(order).alias("first"))
-    classes = materialize(classes.repartitionByRange("first").sortWithinPartitions("first").withColumn("lid", F.monotonically_increasing_id()), "classes")
     same = ["d1", "d2", "n"]
-    heads = lines.join(classes, same).filter(order.eqNullSafe(F.col("first")))
-    rows = heads.select("lid", "n", F.posexplode("prefix").alias("pos", "cell")).select("cell", "lid", "n", "pos", F.lit(-1).alias("side"), F.lit(0).alias("open"), F.col("lid").alias("team"))
+    grouped = materialize(wide.groupBy(*same).agg(F.min(order).alias("first"), F.any_value("prefix").alias("prefix")), "classes")
+    release(wide)
+    tidy(docs.sparkSession)
+    classes = materialize(_numbered(grouped.drop("prefix")), "classes")
+    with_prefix = grouped.select(*same, "prefix").join(classes.select(*same, "lid"), same)
+    rows = with_prefix.select("lid", "n", F.posexplode("prefix").alias("pos", "cell")).select("cell", "lid", setjoin.place(F.col("n"), F.col("pos")).alias("place"))
     found = setjoin.candidate_pairs(rows, percent, hot_group, False)
+    release(grouped)
+    tidy(docs.sparkSession)
     first = materialize(found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct(), "pairs")
-    lids = first.select(F.col("a").alias("lid")).union(first.select(F.col("b").alias("lid"))).distinct()
-    matched = materialize(confirm(first, _line_texts(keyed, classes, lids), percent, width).select(F.col("b").alias("lid")).distinct(), "matched")
-    more = materialize(found.filter("kind = 1").select(F.col("x").alias("lid")).distinct().join(matched, "lid", "left_anti"), "more")
-    if not more.isEmpty():
-        cells = rows.join(more, "lid", "left_semi").select("cell").distinct()
-        again = rows.drop("open").join(cells, "cell", "left_semi").join(more.withColumn("open", F.lit(1)), "lid", "left").withColumn("open", F.coalesce("open", F.lit(0)))
-        again = again.select("cell", "lid", "n", "pos", "side", "open", F.col("lid").alias("team"))
+    matched = _confirmed(first, keyed, classes, percent, width)
+    members = found.filter("kind = 1").select(F.col("x").alias("cell"), F.col("y").alias("lid"), F.col("z").alias("place")).distinct()
+    open_ = materialize(members.join(matched, "lid", "left_anti"), "open")
+    if not open_.isEmpty():
+        marked = members.join(open_.select("cell").distinct(), "cell", "left_semi").join(open_.select("lid").distinct().withColumn("open", F.lit(1).cast("long")), "lid", "left")
+        again = marked.select("cell", "lid", "place", F.lit(-1).cast("long").alias("side"), F.coalesce("open", F.lit(0).cast("long")).alias("open"), F.col("lid").alias("team"))
         rest = setjoin.candidate_pairs(again, percent, hot_group, True).filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
         rest = materialize(rest.join(first, ["a", "b"], "left_anti"), "pairs")
-        lids = rest.select(F.col("a").alias("lid")).union(rest.select(F.col("b").alias("lid"))).distinct()
-        matched = matched.union(confirm(rest, _line_texts(keyed, classes, lids), percent, width).select(F.col("b").alias("lid"))).distinct()
+        matched = materialize(matched.union(_confirmed(rest, keyed, classes, percent, width)).distinct(), "matched")
     status = classes.join(matched.withColumn("hit", F.lit(True)), "lid", "left").select(*same, "first", F.coalesce("hit", F.lit(False)).alias("hit"))
-    gone = lines.drop("prefix").join(status, same).filter(F.col("hit") | ~order.eqNullSafe(F.col("first")))
+    gone = lines.join(status, same).filter(F.col("hit") | ~order.eqNullSafe(F.col("first")))
     return gone.groupBy("doc_id", "th").agg(F.collect_set("line_no").alias("gone"))
 
 
+def _numbered(classes: DataFrame) -> DataFrame:
+    """``classes`` with ``lid``, a number in the order of ``first``."""
+    return classes.repartitionByRange("first").sortWithinPartitions("first").withColumn("lid", F.monotonically_increasing_id())
+
+
+def _confirmed(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, width: int) -> DataFrame:
+    """``(lid)`` of the later lines of the pairs that hold on the full lines."""
+    lids = pairs.select(F.col("a").alias("lid")).union(pairs.select(F.col("b").alias("lid"))).distinct()
+    texts = materialize(_line_texts(docs, classes, lids), "line_texts")
+    return materialize(confirm(pairs, texts, percent, width).select(F.col("b").alias("lid")).distinct(), "matched")
+
+
 def dedup_lines(docs: DataFrame, **settings) -> DataFrame:
     """``docs`` with repeated lines cut from ``text``, plus ``n_removed``; every row and column stays."""
-    gone = repeated_lines(docs, **settings).select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), F.col("gone").alias("_gone"))
+    gone = small(repeated_lines(docs, **settings), "gone").select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), F.col("gone").alias("_gone"))
     joined = docs.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_t")), "left")
     left = F.filter(F.split("text", "\n", -1), lambda line, i: ~F.array_contains("_gone", i))
     cut = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))

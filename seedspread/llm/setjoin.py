@@ -1,7 +1,7 @@
 """Candidates of an exact set-similarity join from ordered prefixes.
 
-A set has one row per token of its prefix: the token (``cell``), the set's id, size and the token's place in
-the global order. Sets that share a prefix token meet; the length filter and the positional filter thin the
+A set has one row per token of its prefix: the token (``cell``), the set's id (``lid``), and its size with
+the token's rank in the global order (``place``). Sets that share a prefix token meet; the length filter and the positional filter thin the
 pairs, and what is left still needs verification on the full sets. Cells above a limit are dealt in pairs of
 chunks, so no task holds a whole hot cell.
 """
@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from seedspread.llm.hashing import RANK_GROUPS
@@ -29,9 +29,11 @@ def ranks_of(counted: DataFrame) -> np.ndarray:
     return ranks
 
 
-def _candidates(percent: int, hot_group: int, every: bool):
-    """Rows ``(cell, lid, n, pos, side, open, team)`` sorted by (cell, lid) → kinds: 0 pair (earlier, later), 1 later set with more candidates, 2 hot cell (cell, rows).
+def _candidates(percent: int, hot_group: int, every: bool, wide: bool):
+    """Rows ``(cell, lid, place)`` sorted by (cell, lid) → kinds: 0 pair (earlier, later), 1 member (cell, lid, place) of a cell in which a set has several candidates, 2 hot cell (cell, rows).
 
+    ``place`` packs the set's size and the token's rank in it. ``wide`` rows also carry ``side`` (chunk, -1 for
+    none), ``open`` and ``team``; else no row has a chunk, all are open and each set is its own team.
     ``every``: all candidates of open rows instead of the first one of each row. Sets of one team never meet.
     """
 
@@ -40,26 +42,64 @@ def _candidates(percent: int, hot_group: int, every: bool):
         a, b = n[:hi][None, :], n[lo:hi][:, None]
         small, large = np.minimum(a, b), np.maximum(a, b)
         good = 100 * small >= percent * large
+        # at the first token two sets share, all they share stands from there on in both
         left = np.minimum(a - pos[:hi][None, :], b - pos[lo:hi][:, None])
-        good &= left * (100 + percent) >= percent * (a + b) - (100 + percent) * np.minimum(pos[:hi][None, :], pos[lo:hi][:, None])
+        good &= left * (100 + percent) >= percent * (a + b)
         good &= np.arange(hi)[None, :] < np.arange(lo, hi)[:, None]
-        s = side[lo:hi][:, None]
-        return good & ((s < 0) | (s != side[:hi][None, :]))
-
-    def solve(lid, n, pos, side, open_, team):
+        if side is not None:
+            s = side[lo:hi][:, None]
+            good &= (s < 0) | (s != side[:hi][None, :])
+        return good
+
+    def solve(cell, lid, place, side=None, open_=None, team=None):
+        """One large group, in blocks of rows against all earlier ones."""
+        n, pos, team = place >> 32, place & 0xFFFFFFFF, lid if team is None else team
         for lo in range(0, len(lid), 512):
             hi = min(lo + 512, len(lid))
             good = passing(n, pos, side, lo, hi) & (team[:hi][None, :] != team[lo:hi][:, None])
             if every:
-                good &= open_[lo:hi][:, None] > 0
+                if open_ is not None:
+                    good &= open_[lo:hi][:, None] > 0
                 r, c = np.nonzero(good)
-                yield 0, lid[c], lid[lo + r]
+                yield 0, lid[c], lid[lo + r], place[lo + r]
             else:
                 count = good.sum(1)
                 rows = np.flatnonzero(count)
-                yield 0, lid[good[rows].argmax(1)], lid[lo + rows]
-                more = np.flatnonzero(count > 1)
-                yield 1, lid[lo + more], lid[lo + more]
+                yield 0, lid[good[rows].argmax(1)], lid[lo + rows], place[lo + rows]
+                if (count > 1).any():
+                    yield 1, cell, lid, place
+
+    def solve_small(group, before, cols):
+        """All groups of at most ``SMALL`` rows at once: each row against the one ``d`` before it, for every d."""
+        cell, lid, place, *rest = cols
+        n, pos = place >> 32, place & 0xFFFFFFFF
+        side, open_, team = rest if rest else (None, None, lid)
+        count, first = np.zeros(len(lid), np.int64), np.zeros(len(lid), np.int64)
+        for d in range(1, SMALL):
+            later = np.flatnonzero(before >= d)
+            if len(later) == 0:
+                break
+            early = later - d
+            a, b = n[early], n[later]
+            good = 100 * np.minimum(a, b) >= percent * np.maximum(a, b)
+            good &= np.minimum(a - pos[early], b - pos[later]) * (100 + percent) >= percent * (a + b)
+            good &= team[early] != team[later]
+            if side is not None:
+                good &= (side[later] < 0) | (side[early] != side[later])
+            if every and open_ is not None:
+                good &= open_[later] > 0
+            later, early = later[good], early[good]
+            if every:
+                yield 0, lid[early], lid[later], place[later]
+            else:
+                count[later] += 1
+                first[later] = early
+        if not every:
+            rows = np.flatnonzero(count)
+            yield 0, lid[first[rows]], lid[rows], place[rows]
+            crowded = np.bincount(group[count > 1], minlength=group[-1] + 1 if len(group) else 0) > 0
+            held = crowded[group]
+            yield 1, cell[held], lid[held], place[held]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list | None = None
@@ -69,20 +109,27 @@ def _candidates(percent: int, hot_group: int, every: bool):
             cell = cols[0]
             new = np.concatenate([[True], cell[1:] != cell[:-1]])
             at = np.append(np.flatnonzero(new), len(cell))
-            out = [(0, np.empty(0, np.int64), np.empty(0, np.int64))]
-            for k in np.flatnonzero(np.diff(at) > 1):
+            size = np.diff(at)
+            group = np.cumsum(new) - 1
+            few = (size[group] > 1) & (size[group] <= SMALL)
+            out = [(0, np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64))]
+            if few.any():
+                before = (np.arange(len(cell)) - at[group])[few]
+                out += solve_small(group[few], before, [c[few] for c in cols])
+            for k in np.flatnonzero(size > SMALL):
                 a, b = at[k], at[k + 1]
                 if hot_group and b - a > hot_group:
-                    out.append((2, cell[a : a + 1], np.array([b - a])))
+                    out.append((2, cell[a : a + 1], np.array([b - a]), np.array([0])))
                 else:
-                    out += solve(*(c[a:b] for c in cols[1:]))
-            kind = np.concatenate([np.full(len(x), k, np.int32) for k, x, _ in out])
-            return pa.RecordBatch.from_arrays([pa.array(kind), pa.array(np.concatenate([x for _, x, _ in out])), pa.array(np.concatenate([y for _, _, y in out]).astype(np.int64))], names=["kind", "x", "y"])
+                    out += solve(*(c[a:b] for c in cols))
+            kind = np.concatenate([np.full(len(x), k, np.int32) for k, x, _, _ in out])
+            columns = [np.concatenate([o[j] for o in out]).astype(np.int64) for j in (1, 2, 3)]
+            return pa.RecordBatch.from_arrays([pa.array(kind), *map(pa.array, columns)], names=["kind", "x", "y", "z"])
 
         for batch in batches:
             if batch.num_rows == 0:
                 continue
-            cols = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(7)]
+            cols = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(6 if wide else 3)]
             if held is not None:
                 cols = [np.concatenate([h, c]) for h, c in zip(held, cols, strict=True)]
             cut = int(np.searchsorted(cols[0], cols[0][-1], side="left"))
@@ -95,21 +142,34 @@ def _candidates(percent: int, hot_group: int, every: bool):
     return run
 
 
+#: Rows up to which groups are handled together.
+SMALL = 24
+WIDE = ("cell", "lid", "place", "side", "open", "team")
+
+
+def place(size: Column, rank: Column) -> Column:
+    """Size of a set and rank of a token in one number."""
+    return F.shiftleft(size.cast("long"), 32).bitwiseOR(rank.cast("long"))
+
+
 def _dealt(rows: DataFrame, percent: int, hot_group: int, every: bool) -> DataFrame:
-    cells = rows.repartition("cell").sortWithinPartitions("cell", "lid").select("cell", "lid", "n", "pos", "side", "open", "team")
-    return cells.mapInArrow(_candidates(percent, hot_group, every), "kind int, x long, y long")
+    columns = WIDE if "team" in rows.columns else WIDE[:3]
+    cells = rows.select(*columns).repartition("cell").sortWithinPartitions("cell", "lid")
+    return cells.mapInArrow(_candidates(percent, hot_group, every, len(columns) > 3), "kind int, x long, y long, z long")
 
 
 def _chunked(rows: DataFrame, hot: DataFrame, hot_group: int) -> DataFrame:
     """Rows of hot cells dealt to pairs of chunks, so that no task holds a whole cell."""
+    if "team" not in rows.columns:
+        rows = rows.withColumns({"side": F.lit(-1).cast("long"), "open": F.lit(1).cast("long"), "team": F.col("lid")})
     met = rows.join(hot, "cell").withColumn("chunks", F.ceil(2 * F.col("rows") / hot_group).cast("int")).withColumn("own", F.pmod(F.xxhash64("lid"), F.col("chunks")).cast("int"))
     dealt = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     cell = F.xxhash64("cell", F.least("own", "other"), F.greatest("own", "other"))
-    return dealt.select(cell.alias("cell"), "lid", "n", "pos", F.when(F.col("own") == F.col("other"), F.lit(-1)).otherwise(F.col("own")).alias("side"), "open", "team")
+    return dealt.select(cell.alias("cell"), "lid", "place", F.when(F.col("own") == F.col("other"), F.lit(-1)).otherwise(F.col("own")).cast("long").alias("side"), "open", "team")
 
 
 def candidate_pairs(rows: DataFrame, percent: int, hot_group: int, every: bool) -> DataFrame:
-    """Candidates of the sets whose prefix rows ``(cell, lid, n, pos, side, open, team)`` are given; ``side`` is -1."""
+    """Candidates of the sets whose prefix rows ``(cell, lid, place)`` are given, with ``side`` -1, ``open`` and ``team`` where needed."""
     found = materialize(_dealt(rows, percent, hot_group, every), "candidates")
     hot = found.filter("kind = 2").select(F.col("x").alias("cell"), F.col("y").alias("rows"))
     if not hot.isEmpty():
