@@ -45,8 +45,10 @@ def test_components(spark):
     edges = spark.createDataFrame([(1, 2), (2, 3), (9, 8), (5, 5), (None, 3), (8, 7), (3, 1)], "a long, b long")
     assert {tuple(r) for r in connected_components(edges).collect()} == {(1, 1), (2, 1), (3, 1), (7, 7), (8, 7), (9, 7)}
     assert connected_components(edges.filter("a = 5")).count() == 0
-    chain = spark.range(200).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
+    chain = spark.range(60).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
     assert connected_components(chain).filter("component <> 0").count() == 0
+    shared = connected_components(chain.union(edges.filter("a > 5").selectExpr("a + 100", "b + 100")), finish_edges=0)
+    assert shared.filter("v <= 60 and component <> 0").count() == 0 and shared.count() == 64
 
 
 def test_two_pass_scan_and_relabel(spark):
