@@ -170,7 +170,12 @@ def _altered(text: str, marks: list[tuple[int, int, int]], rng) -> tuple[str, li
 def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> dict | None:
     """Tagger parameters from the base spans of at most ``train_docs`` texts; None where there are none."""
     has = docs.filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= TRAIN_CHARS))
-    texts = [r["text"] for r in has.select("doc_id", "text").orderBy(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), "text").limit(train_docs).collect()]
+    # ids first, so that a task sends ids and not texts to be ranked
+    order = [F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.col("_th")]
+    marked = has.select("doc_id", F.xxhash64("text").alias("_th"), "text")
+    picked = marked.select("doc_id", "_th").orderBy(*order).limit(train_docs).select(F.col("doc_id").alias("_id"), F.col("_th").alias("_t"))
+    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_th") == F.col("_t"))
+    texts = sorted({r["text"]: None for r in marked.join(F.broadcast(picked), same, "left_semi").select("text").distinct().collect()})
     rng, xs, ys = np.random.default_rng(5), [], []
     for text in texts:
         marks = base_spans(text)
