@@ -492,3 +492,35 @@ def jaccard_methods_geo(spark, sf):
     a, b = (profile.local_cluster(g, s, m, **kw).members().select(F.col("run_id").alias("set_id"), "v") for m, kw in (("push", {"alpha": 0.05, "eps": 1e-4}), ("walk", {"T": 10, "eps": 1e-5})))
     return measures.set_scores(a, b)
 
+
+
+@register("gen_torus_degree", "SELECT i AS v, 6::BIGINT AS deg FROM range(125) AS r(i)")
+def gen_torus_degree(spark, sf):
+    from seedspread.sources import datasource
+
+    datasource.register(spark)
+    return spark.read.format("seed_graph").option("k", 5).load().groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg"))
+
+
+@register("store_neighbours_geo", f"WITH {graph_sql('geo')} SELECT dst::BIGINT AS v FROM e WHERE src = 2")
+def store_neighbours_geo(spark, sf):
+    from seedspread.runtime import scratch_path
+    from seedspread.sources.store import AdjacencyStore
+
+    store = AdjacencyStore.write(builders.geo(spark, sf), scratch_path(spark, "store"), 16)
+    return store.lists_of(spark.createDataFrame([(2,)], "v long")).select(F.inline("nbrs")).select("v")
+
+
+def _workload(name, **settings):
+    def query(spark, sf):
+        from seedspread.plans import workloads
+
+        return workloads.WORKLOADS[name](spark, sf, **settings)
+    register(f"work_{name}")(query)
+
+
+_workload("rule_ablation", eps=1e-4, graphs=("geo", "page_path"))
+_workload("push_counts", eps=1e-4, graphs=("geo", "page_path"))
+_workload("beta_study", eps=1e-4)
+_workload("no_good_cluster")
+_workload("local_against_dense", rounds=3)
