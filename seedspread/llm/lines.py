@@ -2,7 +2,7 @@
 
 The tokens of a line are its distinct runs of five words (its whole word sequence where it has fewer). A line
 goes when an earlier line, in order of doc_id and line number, has a Jaccard similarity of at least
-``percent`` percent with it. Lines of fewer than ``MIN_WORDS`` words are neither removed nor compared.
+``percent`` percent with it. Every line that holds a word takes part (``MIN_WORDS``).
 
 Tokens are put in one global order, rarest first, by counts over the whole corpus kept for 65,536 groups of
 tokens; ties go by the token itself, so the order is total and the filters are exact however tokens share a
@@ -31,7 +31,7 @@ from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
 from seedspread.runtime import materialize, release, tidy
 
-PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 4, 8192
+PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 1, 8192
 #: Documents and line numbers up to which the lists of lines to fetch or to cut are broadcast (about 20 bytes an item).
 MAX_BROADCAST_ITEMS = 2_000_000
 

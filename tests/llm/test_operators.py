@@ -123,6 +123,22 @@ def test_line_dedup_matches_brute_force(spark, hot):
     assert lines.dedup_lines(spark.createDataFrame([], DOCS)).count() == 0
 
 
+def test_line_dedup_takes_short_lines(spark):
+    texts = ["All rights reserved.\nok\na b c d e f", "all  rights reserved.\nrights reserved.\n\nok", "ok\nAll rights reserved.", "rights\nok then", None, "ok\n \n"]
+    seen, want = [], []
+    for t in texts:
+        kept = []
+        for line in [] if t is None else t.split("\n"):
+            s = shingle_set(line)
+            if not s or not any(100 * len(s & o) >= 75 * len(s | o) for o in seen):
+                kept.append(line)
+            seen += [s] if s else []
+        want.append(None if t is None else "\n".join(kept))
+    rows = {r["doc_id"]: (r["text"], r["n_removed"]) for r in lines.dedup_lines(documents(spark, texts)).collect()}
+    assert [rows[k][0] for k in range(len(texts))] == want
+    assert [rows[k][1] for k in range(len(texts))] == [0, 2, 2, 0, 0, 1]
+
+
 def test_decontamination_matches_brute_force(spark):
     rng = np.random.default_rng(4)
     items = [prose(rng, 30, 50), prose(rng, 12, 50), "Tiny ITEM", "", None, "w1 w1"]
