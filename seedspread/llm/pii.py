@@ -4,10 +4,14 @@ The patterns give the base spans. The tagger is trained on the base spans of a b
 (``TRAIN_DOCS`` texts) and on altered copies of them that the patterns do not cover (a phone number with 00
 for +, a spelled-out at sign, separators inside an address), and adds spans that overlap no base span.
 
-Every kind needs a digit or an at sign, so only stretches within ``REACH`` characters
-of one can hold a span; these stretches, wherever they lie in the whole text, are covered by overlapping
-windows. Each window is decoded on its own, and a character's tag comes from the window in whose interior it
-lies deepest, so spans that cross window borders come out once.
+Overlapping windows lie on a fixed grid over the whole text. Each window is decoded on its own, and a
+character's tag comes from the window in whose interior it lies deepest, so spans that cross window borders
+come out once. A span counts only if it is ``plausible``, so it holds a digit, an at sign or a spelled-out one
+(``TRIGGER``): the windows that judge those are decoded, then their neighbours for as long as a tagged run
+reaches the border. The result is that of decoding every window of the text.
+
+Training takes a seeded choice of the windows of all sampled texts: up to 1.5 ``TRAIN_DOCS`` with a mark, and as
+many without (64 at least).
 
 Cases: null and empty texts have no spans; repeated rows give repeated results; offsets count code points.
 """
@@ -16,7 +20,7 @@ from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +30,7 @@ from pyspark.sql import functions as F
 from seedspread.llm.tagger import Tagger, symbols
 
 KINDS = ("email", "ip", "card", "phone")
-TRAIN_DOCS, TRAIN_CHARS, REACH, WIDTH, STRIDE = 600, 20_000, 24, 96, 48
+TRAIN_DOCS, TRAIN_CHARS, WIDTH, STRIDE = 600, 20_000, 96, 48
 
 # The base patterns. Their first character class is guarded against being entered in mid-run, which changes no match and keeps the scan linear.
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -34,7 +38,8 @@ DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-TRIGGER = re.compile(r"[0-9@]")
+#: Where alone what ``plausible`` accepts can stand.
+TRIGGER = re.compile(r"[0-9@]| at(?= )")
 
 
 def luhn(digits: str) -> bool:
@@ -78,24 +83,20 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return out
 
 
+def owner(at: int, n: int) -> int:
+    """The grid window, of a text of ``n`` characters, in which the character lies deepest."""
+    last = max(0, -((WIDTH - n) // STRIDE))
+    return min(max(0, (at - (WIDTH - STRIDE) // 2) // STRIDE), last)
+
+
+def window(k: int, n: int) -> tuple[int, int]:
+    return k * STRIDE, min(k * STRIDE + WIDTH, n)
+
+
 def windows(text: str) -> list[tuple[int, int]]:
-    """Overlapping (start, end) windows that cover every stretch near a trigger."""
-    zones: list[list[int]] = []
-    for m in TRIGGER.finditer(text):
-        lo, hi = max(0, m.start() - REACH), min(len(text), m.end() + REACH)
-        if zones and lo <= zones[-1][1]:
-            zones[-1][1] = hi
-        else:
-            zones.append([lo, hi])
-    out = []
-    for lo, hi in zones:
-        at = lo
-        while True:
-            out.append((at, min(at + WIDTH, hi)))
-            if at + WIDTH >= hi:
-                break
-            at += STRIDE
-    return out
+    """The (start, end) of the grid windows that judge a trigger."""
+    n = len(text)
+    return [window(k, n) for k in sorted({owner(m.start(), n) for m in TRIGGER.finditer(text)})]
 
 
 def encode_windows(text: str, spans: list[tuple[int, int]]) -> np.ndarray:
@@ -139,6 +140,34 @@ def reconcile(spans: list[tuple[int, int]], tags: np.ndarray) -> list[tuple[int,
     return [tuple(x) for x in out]
 
 
+def tagged_spans(texts: list[str], decode: Callable[[np.ndarray], np.ndarray]) -> list[list[tuple[int, int, int]]]:
+    """The plausible (kind, start, end) of each text, as if every window of it were decoded."""
+    held: list[dict[int, np.ndarray]] = [{} for _ in texts]
+    todo = [(i, lo // STRIDE) for i, text in enumerate(texts) for lo, _ in windows(text)]
+    while todo:
+        for at in range(0, len(todo), 512):
+            part = todo[at : at + 512]
+            tags = decode(np.concatenate([encode_windows(texts[i], [window(k, len(texts[i]))]) for i, k in part]))
+            for (i, k), row in zip(part, tags.astype(np.int8), strict=True):
+                held[i][k] = row
+        more = set()
+        for i, k in todo:
+            n, last = len(texts[i]), owner(len(texts[i]) - 1, len(texts[i]))
+            lo, hi = window(k, n)
+            first, end = lo + (WIDTH - STRIDE) // 2 if k else 0, lo + (WIDTH + STRIDE) // 2 if k < last else hi
+            if k and k - 1 not in held[i] and held[i][k][first - lo]:
+                more.add((i, k - 1))
+            if k < last and k + 1 not in held[i] and held[i][k][end - 1 - lo]:
+                more.add((i, k + 1))
+        todo = sorted(more)
+    out = []
+    for text, rows in zip(texts, held, strict=True):
+        keys = sorted(rows)
+        found = reconcile([window(k, len(text)) for k in keys], np.array([rows[k] for k in keys]))
+        out.append([f for f in found if plausible(f[0], text[f[1] : f[2]])])
+    return out
+
+
 def plausible(kind: int, s: str) -> bool:
     """What any span of the kind must hold, however it is written."""
     n = len(_digits(s))
@@ -168,7 +197,7 @@ def _altered(text: str, marks: list[tuple[int, int, int]], rng) -> tuple[str, li
 
 
 def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> dict | None:
-    """Tagger parameters from the base spans of at most ``train_docs`` texts; None where there are none."""
+    """Tagger parameters from the base spans of at most ``train_docs`` of the texts that can hold one; None where there are none."""
     has = docs.filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= TRAIN_CHARS))
     # ids first, so that a task sends ids and not texts to be ranked
     order = [F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.col("_th")]
@@ -176,23 +205,24 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> dict | None:
     picked = marked.select("doc_id", "_th").orderBy(*order).limit(train_docs).select(F.col("doc_id").alias("_id"), F.col("_th").alias("_t"))
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_th") == F.col("_t"))
     texts = sorted({r["text"]: None for r in marked.join(F.broadcast(picked), same, "left_semi").select("text").distinct().collect()})
-    rng, xs, ys = np.random.default_rng(5), [], []
+    rng, marked_at, plain_at = np.random.default_rng(5), [], []
     for text in texts:
         marks = base_spans(text)
         versions = [(text, marks)] + ([_altered(text, marks, rng)] if marks else [])
         for body, spans in versions:
-            at = windows(body)
-            if len(at) > 12:
-                at = at[:12]
-            xs.append(encode_windows(body, at))
-            ys.append(tag_rows(at, spans))
-    if not xs or not any((y > 0).any() for y in ys):
+            for at in windows(body):
+                near = [m for m in spans if m[1] < at[1] and m[2] > at[0]]
+                (marked_at if near else plain_at).append((body, at, near))
+    if not marked_at:
         return None
-    x, y = np.concatenate(xs), np.concatenate(ys)
-    plain = np.flatnonzero(~(y > 0).any(1))
-    keep = np.sort(np.concatenate([np.flatnonzero((y > 0).any(1)), plain[: max(64, (y > 0).any(1).sum())]]))[: 3 * train_docs]
+    choice = np.random.default_rng(6)
+    most = 3 * train_docs // 2
+    chosen = [marked_at[k] for k in np.sort(choice.permutation(len(marked_at))[:most])]
+    chosen += [plain_at[k] for k in np.sort(choice.permutation(len(plain_at))[: max(64, len(chosen))])]
+    x = np.concatenate([encode_windows(body, [at]) for body, at, _ in chosen])
+    y = np.concatenate([tag_rows([at], near) for _, at, near in chosen])
     tagger = Tagger(1 + 2 * len(KINDS))
-    tagger.fit(x[keep], y[keep], epochs=max(4, min(30, 6_000 // max(len(keep), 1))))
+    tagger.fit(x, y, epochs=max(4, min(30, 6_000 // len(x))))
     return tagger.p
 
 
@@ -213,27 +243,19 @@ def find(docs: DataFrame, parameters: dict | None) -> DataFrame:
         for batch in batches:
             out: list[list] = [[] for _ in range(6)]
             base: list[list] = []
-            todo: list[tuple[int, str, list[tuple[int, int]]]] = []
+            extra: dict[int, list] = {}
+            group: list[tuple[int, str]] = []
+            size = 0
             for k in range(batch.num_rows):
                 text = batch.column(1)[k].as_py() or ""
-                spans = base_spans(text) if TRIGGER.search(text) else []
-                base.append(spans)
-                if tagger is not None and (at := windows(text)):
-                    todo.append((k, text, at))
-            extra: dict[int, list] = {}
-            group, size = [], 0
-            for item in [*todo, None]:
-                if item is not None:
-                    group.append(item)
-                    size += len(item[2])
-                if group and (item is None or size >= 512):
-                    tags = _decode(tagger, np.concatenate([encode_windows(t, at) for _, t, at in group]))
-                    done = 0
-                    for k, text, at in group:
-                        found = reconcile(at, tags[done : done + len(at)])
-                        done += len(at)
-                        taken = base[k]
-                        extra[k] = [f for f in found if plausible(f[0], text[f[1] : f[2]]) and all(f[2] <= s or f[1] >= e for _, s, e in taken)]
+                near = TRIGGER.search(text) is not None
+                base.append(base_spans(text) if near else [])
+                if tagger is not None and near:
+                    group.append((k, text))
+                    size += len(text)
+                if group and (k == batch.num_rows - 1 or size >= 1_000_000):
+                    for (i, _), found in zip(group, tagged_spans([t for _, t in group], lambda x: _decode(tagger, x)), strict=True):
+                        extra[i] = [f for f in found if all(f[2] <= s or f[1] >= e for _, s, e in base[i])]
                     group, size = [], 0
             for k, spans in enumerate(base):
                 for kind in range(4):

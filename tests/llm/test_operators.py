@@ -263,6 +263,37 @@ def test_tagger_learns_and_windows_reconcile():
     assert pii.reconcile(spans, pii.tag_rows(spans, [(2, 10, 290)])) == [(2, 10, 290)]
 
 
+def test_tagged_spans_are_those_of_the_whole_text():
+    def decode(x):
+        """Emails wherever letters e and x or separators run between spaces, or a long run of one letter."""
+        code = lambda c: x == ord(c) + 2
+        return np.where(code("e") | code("x") | code("@") | code("5") | code("a") | code("t") | code(" "), np.where(code("x"), 1, 2), 0)
+
+    rng = np.random.default_rng(12)
+    kinds = [*"eeeexbbb", "e" * 60, " at ", "@", "5", " "]
+    texts = ["".join(rng.choice(kinds, int(rng.integers(0, 120)))) for _ in range(300)]
+    texts += ["b" * 500 + "e" * 130 + " at " + "e" * 200 + "b", "write to anna at example.org", "", "b" * 97]
+    n_found = 0
+    for text, got in zip(texts, pii.tagged_spans(texts, decode), strict=True):
+        grid = [pii.window(k, len(text)) for k in range(pii.owner(len(text) - 1, len(text)) + 1)] if text else []
+        every = pii.reconcile(grid, decode(pii.encode_windows(text, grid)))
+        assert got == [f for f in every if pii.plausible(f[0], text[f[1] : f[2]])], text
+        n_found += len(got)
+    assert n_found > 100
+    assert (0, 500, 834) in pii.tagged_spans(texts[300:301], decode)[0]
+
+
+def test_pii_finds_spelled_out_email_without_digit(spark):
+    rng = np.random.default_rng(13)
+    names = lambda n: "".join(rng.choice(list("abcdefghijklmnop"), n))
+    texts = [f"{prose(rng, 30, 40).translate(str.maketrans('', '', '0123456789'))} they met at noon, write to {names(5)}@{names(6)}.org now" for _ in range(150)]
+    model = pii.fit(documents(spark, texts).select("doc_id", "text"))
+    new = [f"please write to {names(5)} at {names(6)}.org now" for _ in range(20)] + ["they met at noon, all of them"]
+    rows = {r["doc_id"]: r["spans"] for r in pii.find(documents(spark, new).select("doc_id", "text"), model).collect()}
+    assert sum(rows[k] == f"email:16:{len(new[k]) - 4}" for k in range(20)) >= 15
+    assert rows[20] == ""
+
+
 def test_pii_find_cases(spark):
     docs = documents(spark, ["mail a@b.co x", None, "", "no", "a@b.co"])
     rows = {r["doc_id"]: r for r in pii.find(docs, None).collect()}
