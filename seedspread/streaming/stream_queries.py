@@ -81,7 +81,7 @@ def stream_cluster_queries(spark, sf):
 
     graph = geo(spark, sf).persist()
     schema = table(spark, sf, "customer").schema
-    arriving = spark.readStream.schema(schema).option("pathGlobFilter", "customer.parquet*").parquet(sf).filter("c_nationkey = 0 and c_custkey <= 200")
+    arriving = spark.readStream.schema(schema).option("pathGlobFilter", "customer.parquet*").parquet(sf).filter("c_nationkey = 0")
 
     def answer(batch: DataFrame) -> DataFrame:
         start = batch.select(F.col("c_custkey").alias("run_id"), (F.col("c_custkey") * 4).alias("v"), F.lit(1.0).alias("w"))

@@ -32,3 +32,10 @@ def test_same_rows(spark, sf, duck, name):
     assert sorted(theirs.columns) == columns
     want = tidy(duck.sql(f"SELECT {', '.join(chr(34) + c + chr(34) for c in columns)} FROM ({oracles[name]})").fetchall())
     assert tidy(map(tuple, mine.select(*columns).collect())) == want
+
+
+def test_stream_answers_every_customer_of_the_nation(spark):
+    sf = "/root/testdata/sf0.01"
+    asked = spark.read.parquet(f"{sf}/customer.parquet").filter("c_nationkey = 0").select("c_custkey")
+    answered = stream_queries.QUERIES["stream_cluster_queries"](spark, sf)
+    assert sorted(r[0] for r in answered.select("run_id").collect()) == sorted(r[0] for r in asked.collect())
