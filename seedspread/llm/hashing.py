@@ -13,6 +13,10 @@ import pyarrow as pa
 
 PIECE_BYTES = 1 << 17
 MAX_PIECE_TEXTS = 1 << 16
+#: Bytes of one text that are split into words at once.
+PART_BYTES = 1 << 24
+#: Lower half of a digest.
+DIGEST = 0xFFFFFFFF
 #: Token groups by the upper 16 bits of a token, for rarity counts of a fixed size.
 RANK_GROUPS = 1 << 16
 _MASK = (1 << 64) - 1
@@ -87,8 +91,29 @@ class Splitter:
         """(word hashes, index of the text each word is in). ``cuts``: offsets of the texts, n + 1 of them.
 
         A word's hash is the polynomial of its folded bytes, mixed; separators weigh nothing, so the sum up to
-        the next word's start is the word's own.
+        the next word's start is the word's own. Long inputs go in parts that end at a separator, so the
+        working arrays stay a bounded multiple of ``PART_BYTES`` whatever the length of a text.
         """
+        if len(data) <= PART_BYTES:
+            return self._part(data, cuts)
+        found, lo = [], 0
+        while lo < len(data):
+            hi = self._boundary(data, lo + PART_BYTES)
+            a, b = np.searchsorted(cuts, lo, side="right") - 1, np.searchsorted(cuts, hi, side="left")
+            codes, of = self._part(data[lo:hi], np.clip(cuts[a : b + 1] - lo, 0, hi - lo))
+            found.append((codes, of + a))
+            lo = hi
+        return np.concatenate([x[0] for x in found]), np.concatenate([x[1] for x in found])
+
+    def _boundary(self, data: np.ndarray, at: int) -> int:
+        """The first separator from ``at`` on, or the end."""
+        for lo in range(at, len(data), PIECE_BYTES):
+            inside, _ = self._scan(data[lo : lo + PIECE_BYTES])
+            if not inside.all():
+                return lo + int(np.argmin(inside))
+        return len(data)
+
+    def _part(self, data: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if len(data) == 0:
             return np.empty(0, np.uint64), np.empty(0, np.int64)
         starts, total, _ = self._words(data, cuts)
@@ -163,19 +188,20 @@ def shingles(hashes: np.ndarray, owner: np.ndarray, n_texts: int, width: int = 5
 
 
 def distinct(values: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The distinct (text, value) pairs, sorted by text, then value; a value keeps its upper 48 bits.
+    """The distinct (text, value) pairs, sorted by text, then value.
 
-    Text and value share one 64-bit sort key, so a piece may hold at most 2^16 texts.
+    Values are sorted first and texts second by a counting sort, so a piece may hold at most 2^16 texts.
     """
     if len(values) == 0:
         return values, of
-    key = (of.astype(np.uint64) << np.uint64(48)) | (values >> np.uint64(16))
-    key.sort()
-    new = np.empty(len(key), bool)
+    order = np.argsort(values)
+    order = order[np.argsort(of[order].astype(np.uint16), kind="stable")]
+    values, of = values[order], of[order]
+    new = np.empty(len(values), bool)
     new[0] = True
-    np.not_equal(key[1:], key[:-1], out=new[1:])
-    key = key[new]
-    return key << np.uint64(16), (key >> np.uint64(48)).astype(np.int64)
+    np.not_equal(values[1:], values[:-1], out=new[1:])
+    new[1:] |= of[1:] != of[:-1]
+    return values[new], of[new]
 
 
 def set_digest(values: np.ndarray, of: np.ndarray, n_texts: int) -> tuple[np.ndarray, np.ndarray]:
@@ -206,3 +232,8 @@ def prefixes(values: np.ndarray, of: np.ndarray, n: int, ranks: np.ndarray, perc
     tokens = values[order][within < np.repeat(take, size)].view(np.int64)
     offsets = np.concatenate([[0], np.cumsum(take)]).astype(np.int32)
     return size, pa.ListArray.from_arrays(pa.array(offsets), pa.array(tokens))
+
+
+def line_name(number: np.ndarray, digest: np.ndarray) -> np.ndarray:
+    """Line number and lower half of the digest: with doc_id, the name and the order of a line."""
+    return (number.astype(np.int64) << 32) | (digest & np.uint64(DIGEST)).astype(np.int64)

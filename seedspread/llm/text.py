@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -26,3 +26,15 @@ def words(text: Column) -> Column:
 def n_blank_words(text: Column) -> Column:
     """Number of runs of non-blank characters; 0 for null."""
     return F.size(F.array_remove(F.split(F.coalesce(text, F.lit("")), BLANKS, -1), "")).cast("long")
+
+
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Column names like ``names`` that ``df`` has not (names are compared without case, as Spark does)."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out

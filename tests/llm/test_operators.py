@@ -74,12 +74,44 @@ def test_near_duplicates_match_brute_force(spark, corpus, hot):
         assert (got[k]["component_id"], got[k]["kept"]) == (want[k], want[k] == k), k
 
 
-def test_links_across_components_in_chunks(spark, corpus):
+@pytest.mark.parametrize(("cell_docs", "apart"), [(10_000, 1), (7, 1), (4, 9)])
+def test_links_across_components(spark, corpus, cell_docs, apart):
+    """One hub tied to every document: in one cell, by prefixes where much is outside the main team, in chunks where little is."""
     links = brute_links(corpus)
+    want = components(len(corpus), links)
     ids = [k for k, t in enumerate(corpus) if shingle_set(t)]
-    open_ = spark.createDataFrame([(1, k, k) for k in ids], "bucket long, doc_id long, component long")
-    found = minhash.across_components(open_, documents(spark, corpus).select("doc_id", "text"), 75, 5, chunk=7)
-    assert {tuple(sorted(r)) for r in found.collect()} == {tuple(sorted(x)) for x in links}
+    # with ``apart`` 9, all but three documents are already in their component or in one large team
+    team = {k: k if apart == 1 or k in (26, 30, 33) else 0 for k in ids}
+    ties = spark.createDataFrame([(ids[0], k) for k in ids[1:]], "a long, b long")
+    comps = spark.createDataFrame([(k, team[k]) for k in ids], "node long, component long")
+    sizes = spark.createDataFrame([(k, len(shingle_set(corpus[k]))) for k in ids], "node long, n_shingles long")
+    texts = documents(spark, corpus).select(F.col("doc_id").alias("node"), "text")
+    found = [tuple(r) for r in minhash.across_components(ties, comps, sizes, texts, 75, 5, cell_docs=cell_docs).collect()]
+    assert {tuple(sorted(x)) for x in found} <= {tuple(sorted(x)) for x in links}
+    inside = [(k, next(o for o in ids if team[o] == team[k])) for k in ids]
+    assert components(len(corpus), inside + found) == components(len(corpus), inside + links)
+    if apart == 1:
+        assert components(len(corpus), found) == want
+
+
+def test_one_doc_id_with_two_texts(spark):
+    rng = np.random.default_rng(5)
+    one, two = prose(rng, 80), prose(rng, 80)
+    rows = [(7, one), (7, two), (3, two + " end"), (9, one), (9, one)]
+    docs = spark.createDataFrame([(k, t, "en", "s", 1) for k, t in rows], DOCS)
+    got = sorted((r["doc_id"], r["component_id"], r["kept"]) for r in minhash.near_duplicates(docs).collect())
+    assert got == [(3, 3, True), (7, 3, False), (7, 7, True), (9, 7, False), (9, 7, False)]
+    assert sorted(r["doc_id"] for r in minhash.keep_one(docs.withColumn("th", F.lit(1)).withColumn("node", F.lit(2))).collect()) == [3, 7]
+
+
+def test_long_text_is_split_in_parts(monkeypatch):
+    data = ("alpha beta  gamma delta " * 50 + "x" * 300 + " end").encode()
+    column = pa.array([data.decode(), "two words", data.decode() + " more"])
+    (row, end, raw, cuts), = hashing.pieces(column)
+    whole = hashing.Splitter().words(raw, cuts)
+    monkeypatch.setattr(hashing, "PART_BYTES", 97)
+    parts = hashing.Splitter().words(raw, cuts)
+    assert np.array_equal(whole[0], parts[0]) and np.array_equal(whole[1], parts[1])
 
 
 def test_near_duplicates_empty_null_and_repeated(spark):
