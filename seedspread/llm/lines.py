@@ -10,12 +10,17 @@ group. A line of n tokens can only match through its first ``n - ceil(t n) + 1``
 with lines of n t to n / t tokens (length filter), and only if the tokens left after the shared one could
 still reach the needed overlap (positional filter). What is left is verified on the lines themselves.
 
-Equal token sets are collapsed first. A line then needs one earlier match, so each group of lines that share
-a prefix token gives every line its first candidate only; lines for which none of those is confirmed get
-their other candidates in a second pass. Groups above ``hot_group`` lines are dealt in pairs of chunks.
-
-Cases: null texts stay null and blank lines stay; rows with equal doc_id and text are one document; a null
-doc_id comes first in the order; an empty table gives an empty result; other columns are kept.
+Texts are read three times (counts, line digests, prefixes), so that prefixes are shuffled once, by token, and
+never written. Equal token sets are found by their digests; a task passes on the prefix of the first of each
+only, and the rest are dropped where a token's lines meet. A line then needs one earlier match, so each group
+of lines that share a prefix token gives every line its first candidate only; lines for which none of those is
+confirmed get their other candidates in a second pass. Groups above ``hot_group`` lines are dealt in pairs of
+chunks.
+
+Cases: null texts stay null and blank lines stay; rows with equal doc_id and text are one document; in rows of
+one doc_id with different texts, equal lines of one number count as one line; a null doc_id comes first in the
+order; an empty table gives an empty result; other columns are kept, whatever their names, and the count of
+removed lines takes a free name (``n_removed``, with an underscore for each clash).
 """
 
 from __future__ import annotations
@@ -29,11 +34,14 @@ from pyspark.sql import functions as F
 
 from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
-from seedspread.runtime import materialize, release, tidy
+from seedspread.llm.sizes import small
+from seedspread.llm.text import fresh
+from seedspread.runtime import materialize, release
 
 PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 1, 8192
-#: Documents and line numbers up to which the lists of lines to fetch or to cut are broadcast (about 20 bytes an item).
-MAX_BROADCAST_ITEMS = 2_000_000
+#: Prefix tokens that a task gathers before it passes on the first line of each token set.
+GATHERED = 1 << 21
+NO_ID = -(1 << 63)
 
 
 def _line_sets(texts: pa.Array, width: int, min_words: int, unique: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -69,87 +77,123 @@ def token_ranks(docs: DataFrame, width: int = WIDTH, min_words: int = MIN_WORDS)
     return setjoin.ranks_of(docs.select("text").mapInArrow(run, "group int, n long"))
 
 
-def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int, min_words: int) -> DataFrame:
-    """``docs(doc_id, th, text)`` → one row per compared line with its size, set digest and ordered prefix."""
+def line_sets(docs: DataFrame, width: int, min_words: int) -> DataFrame:
+    """``docs(doc, th, text)`` → one row per compared line: its number, size and set digest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for doc, number, values, of in _line_sets(batch.column(2), width, min_words):
-                n = len(doc)
-                one, two = hashing.set_digest(values, of, n)
-                size, tokens = hashing.prefixes(values, of, n, ranks, percent)
-                rows = pa.array(doc)
+            for row, number, values, of in _line_sets(batch.column(2), width, min_words):
+                one, two = hashing.set_digest(values, of, len(row))
+                rows = pa.array(row)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(number.astype(np.int32)), pa.array(size.astype(np.int32)),
-                     pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), tokens],
-                    names=["doc_id", "th", "line_no", "n", "d1", "d2", "prefix"])
+                    [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(hashing.line_name(number, one)), pa.array(np.bincount(of, minlength=len(row)).astype(np.int32)),
+                     pa.array(one.view(np.int64)), pa.array(two.view(np.int64))],
+                    names=["doc", "th", "tail", "n", "d1", "d2"])
+
+    return docs.mapInArrow(run, "doc long, th long, tail long, n int, d1 long, d2 long")
+
+
+def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int, min_words: int) -> DataFrame:
+    """``docs(doc, text)`` → prefix rows ``(cell, doc, tail, place)`` of the first of each task's equal lines."""
+
+    def firsts(parts):
+        doc, tail, one, two, size, take, tokens = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.lexsort((tail, doc, size, two, one))
+        again = (one[order][1:] == one[order][:-1]) & (two[order][1:] == two[order][:-1]) & (size[order][1:] == size[order][:-1])
+        only = np.zeros(len(doc), bool)
+        only[order[np.concatenate([[True], ~again])]] = True
+        line = np.repeat(np.arange(len(doc)), take)
+        pos = np.arange(len(tokens)) - np.repeat(np.cumsum(take) - take, take)
+        held = only[line]
+        line, pos = line[held], pos[held]
+        columns = [tokens[held], doc[line], tail[line], (size[line] << 32) | pos]
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["cell", "doc", "tail", "place"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, gathered = [], 0
+        for batch in batches:
+            ids = batch.column(0).to_numpy(zero_copy_only=False)
+            for row, number, values, of in _line_sets(batch.column(1), width, min_words):
+                one, two = hashing.set_digest(values, of, len(row))
+                size, tokens = hashing.prefixes(values, of, len(row), ranks, percent)
+                take = np.diff(tokens.offsets.to_numpy(zero_copy_only=False)).astype(np.int64)
+                parts.append((ids[row], hashing.line_name(number, one), one, two, size, take, tokens.values.to_numpy(zero_copy_only=False)))
+                gathered += len(parts[-1][-1])
+                if gathered > GATHERED:
+                    yield firsts(parts)
+                    parts, gathered = [], 0
+        if parts:
+            yield firsts(parts)
+
+    return docs.mapInArrow(run, "cell long, doc long, tail long, place long")
+
+
+def _line_texts(docs: DataFrame, spots: DataFrame, width: int) -> DataFrame:
+    """``(node, text)`` of the lines named by ``spots(node, doc, tail)``."""
+    by_doc = small(spots.groupBy("doc").agg(F.collect_list(F.struct("node", "tail")).alias("need")), "need")
+    held = docs.join(by_doc, "doc").withColumn("lines", F.split("text", "\n", -1))
+    line = lambda x: F.struct(x["node"].alias("node"), x["tail"].bitwiseAND(F.lit(hashing.DIGEST)).alias("digest"), F.get("lines", F.shiftright(x["tail"], 32).cast("int")).alias("text"))
 
-    return docs.mapInArrow(run, "doc_id long, th long, line_no int, n int, d1 long, d2 long, prefix array<long>")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # rows of one doc_id may differ in text: the digest tells which line was meant
+        splitter = hashing.Splitter()
+        for batch in batches:
+            meant = [np.empty(0, np.int64)]
+            for row, end, data, cuts in hashing.pieces(batch.column(2)):
+                values, of = hashing.shingles(*splitter.words(data, cuts), end - row, width)
+                one, _ = hashing.set_digest(values, of, end - row)
+                digest = batch.column(1).slice(row, end - row).to_numpy(zero_copy_only=False)
+                meant.append(row + np.flatnonzero((one & np.uint64(hashing.DIGEST)).astype(np.int64) == digest))
+            yield batch.take(pa.array(np.concatenate(meant))).select(["node", "text"])
 
+    return held.select(F.inline(F.transform("need", line))).mapInArrow(run, "node long, text string").dropDuplicates(["node"])
 
-def _line_texts(docs: DataFrame, classes: DataFrame, lids: DataFrame) -> DataFrame:
-    """``(doc_id = lid, text = the line)`` of the named classes."""
-    need = classes.join(lids, "lid", "left_semi").select("lid", F.col("first.doc_id").alias("_d"), F.col("first.th").alias("_t"), F.col("first.line_no").alias("_n"))
-    by_doc = small(need.groupBy("_d", "_t").agg(F.collect_list(F.struct("lid", "_n")).alias("need")), "need")
-    held = docs.join(by_doc, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("th") == F.col("_t"))).withColumn("lines", F.split("text", "\n", -1))
-    return held.select(F.inline(F.transform("need", lambda x: F.struct(x["lid"].alias("doc_id"), F.get("lines", x["_n"]).alias("text"))))).dropDuplicates(["doc_id"])
 
+def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, width: int) -> DataFrame:
+    """``(node)`` of the later lines of the candidate pairs that hold on the full lines."""
+    ends = pairs.select(F.col("a_doc").alias("doc"), F.col("a_tail").alias("tail")).union(pairs.select("b_doc", "b_tail")).distinct()
+    texts = materialize(_line_texts(docs, ends.select(_node("doc", "tail").alias("node"), "doc", "tail"), width), "line_texts")
+    named = pairs.select(_node("a_doc", "a_tail").alias("a"), _node("b_doc", "b_tail").alias("b"))
+    return materialize(confirm(named, texts, percent, width).select(F.col("b").alias("node")).distinct(), "matched")
 
-def small(df: DataFrame, lists: str, limit: int = MAX_BROADCAST_ITEMS) -> DataFrame:
-    """``df`` written out, with a broadcast hint if its rows and the items of its list column are at most ``limit`` together."""
-    held = materialize(df, "small")
-    items = held.agg(F.count("*") + F.coalesce(F.sum(F.size(lists)), F.lit(0))).first()[0]
-    return F.broadcast(held) if items <= limit else held
+
+def _node(doc, tail):
+    return F.xxhash64(doc, tail)
 
 
 def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, min_words: int = MIN_WORDS, hot_group: int = HOT_GROUP) -> DataFrame:
-    """``(doc_id, th, gone)``: the numbers of the lines to remove from each document that has any; ``th`` is xxhash64 of the text."""
-    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
+    """``(doc, th, gone)``: the numbers of the lines to remove from each document that has any; ``doc`` is doc_id, or ``NO_ID``, ``th`` xxhash64 of the text."""
+    keyed = docs.select(_doc(), F.xxhash64("text").alias("th"), "text")
     ranks = token_ranks(keyed, width, min_words)
-    wide = materialize(line_prefixes(keyed, ranks, percent, width, min_words), "lines")
-    lines = materialize(wide.drop("prefix"), "lines")
-    order = F.struct("doc_id", "th", "line_no")
+    lines = materialize(line_sets(keyed, width, min_words), "lines")
     same = ["d1", "d2", "n"]
-    grouped = materialize(wide.groupBy(*same).agg(F.min(order).alias("first"), F.any_value("prefix").alias("prefix")), "classes")
-    release(wide)
-    tidy(docs.sparkSession)
-    classes = materialize(_numbered(grouped.drop("prefix")), "classes")
-    with_prefix = grouped.select(*same, "prefix").join(classes.select(*same, "lid"), same)
-    rows = with_prefix.select("lid", "n", F.posexplode("prefix").alias("pos", "cell")).select("cell", "lid", setjoin.place(F.col("n"), F.col("pos")).alias("place"))
-    found = setjoin.candidate_pairs(rows, percent, hot_group, False)
-    release(grouped)
-    tidy(docs.sparkSession)
-    first = materialize(found.filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct(), "pairs")
-    matched = _confirmed(first, keyed, classes, percent, width)
-    members = found.filter("kind = 1").select(F.col("x").alias("cell"), F.col("y").alias("lid"), F.col("z").alias("place")).distinct()
-    open_ = materialize(members.join(matched, "lid", "left_anti"), "open")
+    found = setjoin.candidate_pairs(line_prefixes(keyed.select("doc", "text"), ranks, percent, width, min_words), percent, hot_group, False)
+    first = materialize(setjoin.pairs_of(found), "pairs")
+    matched = _confirmed(first, keyed, percent, width)
+    members = setjoin.members_of(found).withColumn("node", _node("doc", "tail"))
+    open_ = materialize(members.join(matched, "node", "left_anti"), "open")
     if not open_.isEmpty():
-        marked = members.join(open_.select("cell").distinct(), "cell", "left_semi").join(open_.select("lid").distinct().withColumn("open", F.lit(1).cast("long")), "lid", "left")
-        again = marked.select("cell", "lid", "place", F.lit(-1).cast("long").alias("side"), F.coalesce("open", F.lit(0).cast("long")).alias("open"), F.col("lid").alias("team"))
-        rest = setjoin.candidate_pairs(again, percent, hot_group, True).filter("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
-        rest = materialize(rest.join(first, ["a", "b"], "left_anti"), "pairs")
-        matched = materialize(matched.union(_confirmed(rest, keyed, classes, percent, width)).distinct(), "matched")
-    status = classes.join(matched.withColumn("hit", F.lit(True)), "lid", "left").select(*same, "first", F.coalesce("hit", F.lit(False)).alias("hit"))
-    gone = lines.join(status, same).filter(F.col("hit") | ~order.eqNullSafe(F.col("first")))
-    return gone.groupBy("doc_id", "th").agg(F.collect_set("line_no").alias("gone"))
-
-
-def _numbered(classes: DataFrame) -> DataFrame:
-    """``classes`` with ``lid``, a number in the order of ``first``."""
-    return classes.repartitionByRange("first").sortWithinPartitions("first").withColumn("lid", F.monotonically_increasing_id())
+        marked = members.join(open_.select("cell").distinct(), "cell", "left_semi").join(open_.select("node").distinct().withColumn("open", F.lit(1).cast("long")), "node", "left")
+        again = marked.select(*setjoin.BASE, F.lit(-1).cast("long").alias("side"), F.coalesce("open", F.lit(0).cast("long")).alias("open"), F.col("node").alias("team"))
+        rest = setjoin.pairs_of(setjoin.candidate_pairs(again, percent, hot_group, True))
+        rest = materialize(rest.join(first, rest.columns, "left_anti"), "pairs")
+        matched = materialize(matched.union(_confirmed(rest, keyed, percent, width)).distinct(), "matched")
+    release(found)
+    classes = lines.groupBy(*same).agg(F.min(F.struct("doc", "tail")).alias("first"))
+    status = classes.withColumn("node", _node("first.doc", "first.tail")).join(matched.withColumn("hit", F.lit(True)), "node", "left").select(*same, "first", F.coalesce("hit", F.lit(False)).alias("hit"))
+    gone = lines.join(status, same).filter(F.col("hit") | (F.struct("doc", "tail") != F.col("first")))
+    return gone.groupBy("doc", "th").agg(F.collect_set(F.shiftright("tail", 32).cast("int")).alias("gone"))
 
 
-def _confirmed(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, width: int) -> DataFrame:
-    """``(lid)`` of the later lines of the pairs that hold on the full lines."""
-    lids = pairs.select(F.col("a").alias("lid")).union(pairs.select(F.col("b").alias("lid"))).distinct()
-    texts = materialize(_line_texts(docs, classes, lids), "line_texts")
-    return materialize(confirm(pairs, texts, percent, width).select(F.col("b").alias("lid")).distinct(), "matched")
+def _doc():
+    return F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc")
 
 
 def dedup_lines(docs: DataFrame, **settings) -> DataFrame:
-    """``docs`` with repeated lines cut from ``text``, plus ``n_removed``; every row and column stays."""
-    gone = small(repeated_lines(docs, **settings), "gone").select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), F.col("gone").alias("_gone"))
-    joined = docs.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_t")), "left")
-    left = F.filter(F.split("text", "\n", -1), lambda line, i: ~F.array_contains("_gone", i))
-    cut = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
-    return joined.withColumns({"text": cut, "n_removed": F.coalesce(F.size("_gone"), F.lit(0)).cast("long")}).drop("_d", "_t", "_gone")
+    """``docs`` with repeated lines cut from ``text``, plus their number; every row and column stays."""
+    doc, th, out, count = fresh(docs, "doc", "th", "gone", "n_removed")
+    gone = small(repeated_lines(docs, **settings), "gone").toDF(doc, th, out)
+    joined = docs.join(gone, (_doc() == F.col(doc)) & (F.xxhash64("text") == F.col(th)), "left")
+    left = F.filter(F.split("text", "\n", -1), lambda line, i: ~F.array_contains(out, i))
+    cut = F.when(F.col(out).isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
+    return joined.withColumns({"text": cut, count: F.coalesce(F.size(out), F.lit(0)).cast("long")}).drop(doc, th, out)

@@ -20,8 +20,9 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Cuts later copies of lines out of the texts; a document goes only when nothing but blanks is left of it."""
     cut = lines.dedup_lines(docs)
-    left = (F.col("n_removed") == 0) | (F.length(F.regexp_replace("text", BLANKS, "")) > 0)
-    size = F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
+    removed = F.col(cut.columns[-1])
+    left = (removed == 0) | (F.length(F.regexp_replace("text", BLANKS, "")) > 0)
+    size = F.when(removed > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
     return cut.filter(left).withColumn("n_chars", size).select(*docs.columns)
 
 
