@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
-from seedspread.llm.sizes import small
+from seedspread.llm.sizes import few, small
 from seedspread.llm.text import fresh
 from seedspread.runtime import materialize, release
 
@@ -136,7 +136,7 @@ def _line_texts(docs: DataFrame, spots: DataFrame, width: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # rows of one doc_id may differ in text: the digest tells which line was meant
-        splitter = hashing.Splitter()
+        splitter, seen = hashing.Splitter(), np.empty(0, np.int64)
         for batch in batches:
             meant = [np.empty(0, np.int64)]
             for row, end, data, cuts in hashing.pieces(batch.column(2)):
@@ -144,9 +144,14 @@ def _line_texts(docs: DataFrame, spots: DataFrame, width: int) -> DataFrame:
                 one, _ = hashing.set_digest(values, of, end - row)
                 digest = batch.column(1).slice(row, end - row).to_numpy(zero_copy_only=False)
                 meant.append(row + np.flatnonzero((one & np.uint64(hashing.DIGEST)).astype(np.int64) == digest))
-            yield batch.take(pa.array(np.concatenate(meant))).select(["node", "text"])
+            meant = np.concatenate(meant)
+            # rows that repeat doc_id and text: one line of each is enough, and a few more do no harm
+            nodes, at = np.unique(batch.column(0).to_numpy(zero_copy_only=False)[meant], return_index=True)
+            new = ~np.isin(nodes, seen, assume_unique=True)
+            seen = np.union1d(seen, nodes[new])
+            yield batch.take(pa.array(meant[at[new]])).select(["node", "text"])
 
-    return held.select(F.inline(F.transform("need", line))).mapInArrow(run, "node long, text string").dropDuplicates(["node"])
+    return held.select(F.inline(F.transform("need", line))).mapInArrow(run, "node long, text string")
 
 
 def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, width: int) -> DataFrame:
@@ -154,7 +159,7 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, percent: int, width: int) -> D
     ends = pairs.select(F.col("a_doc").alias("doc"), F.col("a_tail").alias("tail")).union(pairs.select("b_doc", "b_tail")).distinct()
     texts = materialize(_line_texts(docs, ends.select(_node("doc", "tail").alias("node"), "doc", "tail"), width), "line_texts")
     named = pairs.select(_node("a_doc", "a_tail").alias("a"), _node("b_doc", "b_tail").alias("b"))
-    return materialize(confirm(named, texts, percent, width).select(F.col("b").alias("node")).distinct(), "matched")
+    return few(confirm(named, texts, percent, width).select(F.col("b").alias("node")).distinct())
 
 
 def _node(doc, tail):
@@ -173,11 +178,12 @@ def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH,
     members = setjoin.members_of(found).withColumn("node", _node("doc", "tail"))
     open_ = materialize(members.join(matched, "node", "left_anti"), "open")
     if not open_.isEmpty():
-        marked = members.join(open_.select("cell").distinct(), "cell", "left_semi").join(open_.select("node").distinct().withColumn("open", F.lit(1).cast("long")), "node", "left")
+        wanted = few(open_.select("node").distinct().withColumn("open", F.lit(1).cast("long")))
+        marked = members.join(few(open_.select("cell").distinct()), "cell", "left_semi").join(wanted, "node", "left")
         again = marked.select(*setjoin.BASE, F.lit(-1).cast("long").alias("side"), F.coalesce("open", F.lit(0).cast("long")).alias("open"), F.col("node").alias("team"))
         rest = setjoin.pairs_of(setjoin.candidate_pairs(again, percent, hot_group, True))
         rest = materialize(rest.join(first, rest.columns, "left_anti"), "pairs")
-        matched = materialize(matched.union(_confirmed(rest, keyed, percent, width)).distinct(), "matched")
+        matched = few(matched.union(_confirmed(rest, keyed, percent, width)).distinct())
     release(found)
     classes = lines.groupBy(*same).agg(F.min(F.struct("doc", "tail")).alias("first"))
     status = classes.withColumn("node", _node("first.doc", "first.tail")).join(matched.withColumn("hit", F.lit(True)), "node", "left").select(*same, "first", F.coalesce("hit", F.lit(False)).alias("hit"))

@@ -190,7 +190,7 @@ def _verify(percent: int, width: int):
 
 
 def confirm(pairs: DataFrame, texts: DataFrame, percent: int = 75, width: int = 5) -> DataFrame:
-    """The pairs ``(a, b)`` whose full shingle sets meet the similarity; ``texts(node, text)``, one row a node.
+    """The pairs ``(a, b)`` whose full shingle sets meet the similarity; ``texts(node, text)``; a repeated row of it changes nothing.
 
     A hub's text travels once per slice of ``HUB_SLICE`` of its pairs, so one with many pairs is shared out.
     """
@@ -199,7 +199,7 @@ def confirm(pairs: DataFrame, texts: DataFrame, percent: int = 75, width: int =
     side = dealt.select("a", F.pmod(F.xxhash64("b"), F.col("slices")).cast("int").alias("slice"), F.lit(1).alias("role"), F.col("b").alias("id"))
     hubs = side.groupBy("a", "slice").agg(F.lit(0).alias("role")).select("a", "slice", "role", F.col("a").alias("id"))
     need = side.union(hubs)
-    texts = need.join(texts.withColumnRenamed("node", "id"), "id")
+    texts = few(need).join(texts.withColumnRenamed("node", "id"), "id")
     dealt = texts.repartition("a", "slice").sortWithinPartitions("a", "slice", "role").select("a", "role", "id", "text")
     return dealt.mapInArrow(_verify(percent, width), "a long, b long").distinct()
 
