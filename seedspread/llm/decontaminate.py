@@ -15,7 +15,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seedspread.llm.text import RAW_SEPARATORS, words
+from seedspread.llm.sizes import few
+from seedspread.llm.text import RAW_SEPARATORS, shielded, words
 from seedspread.runtime import materialize
 
 WINDOW = 10
@@ -56,11 +57,24 @@ def scan(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW) -> DataFram
         each = F.array(*[F.struct(F.lit(n).alias("len"), F.when(fit(n), code[n]).alias("code_")) for n in sizes])
         at = at.select("doc_id", "text_hash", "n_words", "w", "pos", F.inline(each))
     windows = table.select("code", "phrase", F.col("items").alias("found"))
-    probe = F.broadcast(windows) if bounded else windows
-    probed = at.join(probe, F.col("code") == F.col("code_"), "left")
+    if bounded:
+        probed = at.join(F.broadcast(windows), F.col("code") == F.col("code_"), "left")
+    else:
+        # ids, places and codes alone are shuffled; only places that meet a window fetch its words again
+        spots = at.filter("code_ is not null").select("doc_id", "text_hash", F.col("pos").alias("at_pos"), F.col("len").alias("at_len"), "code_")
+        met = spots.join(windows, F.col("code") == F.col("code_")).drop("code_").distinct().withColumnsRenamed({"doc_id": "at_doc", "text_hash": "at_hash"})
+        same = F.col("doc_id").eqNullSafe(F.col("at_doc")) & F.col("text_hash").eqNullSafe(F.col("at_hash"))
+        by_doc = met.groupBy("at_doc", "at_hash").agg(F.collect_list(F.struct("at_pos", "at_len", "code", "phrase", "found")).alias("met"))
+        head = F.array(F.struct(F.lit(0).alias("at_pos"), F.lit(sizes[0]).alias("at_len"), F.lit(None).cast("long").alias("code"), F.lit(None).cast("string").alias("phrase"), F.lit(None).cast("array<string>").alias("found")))
+        found = base.join(by_doc, same, "left").select("doc_id", "text_hash", "n_words", "w", F.inline(F.concat(head, F.coalesce("met", F.slice(head, 2, 1)))))
+        probed = found.withColumnsRenamed({"at_pos": "pos", "at_len": "len"})
     true_hit = F.col("phrase") == F.array_join(F.slice("w", F.col("pos") + 1, F.col("len")), " ")
-    kept = probed.filter("pos is null or pos = 0 or code is not null").withColumn("hit", F.coalesce(F.col("code").isNotNull() & true_hit, F.lit(False)))
-    first = F.coalesce(F.col("pos") == 0, F.lit(True)) & (F.col("len") == sizes[0])
+    kept = probed.withColumn("hit", F.coalesce(F.col("code").isNotNull() & true_hit, F.lit(False)))
+    if bounded:
+        kept = kept.filter("pos is null or pos = 0 or code is not null")
+        first = F.coalesce(F.col("pos") == 0, F.lit(True)) & (F.col("len") == sizes[0])
+    else:
+        first = F.col("code").isNull()
     # one long line of hits per document: positions are gathered as a set, so a window held by several items counts once
     per_doc = kept.groupBy("doc_id", "text_hash", "n_words").agg(
         F.sum(F.when(first, 1).otherwise(0)).alias("copies_"),
@@ -79,6 +93,7 @@ def covered(spans, end=lambda s: s["pos"] + s["len"]):
     return F.aggregate(spans, zero, step, lambda acc: acc["total"])
 
 
+@shielded
 def decontaminate(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, remove: str = "documents") -> DataFrame:
     """``docs`` without its contaminated documents, or with the hit words cut out (``remove="spans"``).
 
@@ -86,6 +101,8 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, re
     """
     hits = scan(docs.select("doc_id", "text"), benchmark, width).filter(F.size("spans") > 0).select(
         F.col("doc_id").alias("_hit_id"), F.col("text_hash").alias("_hit_hash"), F.col("spans").alias("_spans"))
+    if remove == "documents":
+        hits = few(hits.drop("_spans"))
     same = F.col("doc_id").eqNullSafe(F.col("_hit_id")) & (F.xxhash64("text") == F.col("_hit_hash"))
     if remove == "documents":
         return docs.join(hits, same, "left_anti")

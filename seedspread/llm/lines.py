@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from seedspread.llm import hashing, setjoin
 from seedspread.llm.minhash import confirm
 from seedspread.llm.sizes import few, small
-from seedspread.llm.text import fresh
+from seedspread.llm.text import shielded
 from seedspread.runtime import materialize, release
 
 PERCENT, WIDTH, MIN_WORDS, HOT_GROUP = 75, 5, 1, 8192
@@ -195,11 +195,11 @@ def _doc():
     return F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc")
 
 
+@shielded
 def dedup_lines(docs: DataFrame, **settings) -> DataFrame:
-    """``docs`` with repeated lines cut from ``text``, plus their number; every row and column stays."""
-    doc, th, out, count = fresh(docs, "doc", "th", "gone", "n_removed")
-    gone = small(repeated_lines(docs, **settings), "gone").toDF(doc, th, out)
-    joined = docs.join(gone, (_doc() == F.col(doc)) & (F.xxhash64("text") == F.col(th)), "left")
-    left = F.filter(F.split("text", "\n", -1), lambda line, i: ~F.array_contains(out, i))
-    cut = F.when(F.col(out).isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
-    return joined.withColumns({"text": cut, count: F.coalesce(F.size(out), F.lit(0)).cast("long")}).drop(doc, th, out)
+    """``docs`` with repeated lines cut from ``text``, plus their number as last column; every row and column stays."""
+    gone = small(repeated_lines(docs, **settings), "gone")
+    joined = docs.join(gone, (_doc() == F.col("doc")) & (F.xxhash64("text") == F.col("th")), "left")
+    left = F.filter(F.split("text", "\n", -1), lambda line, i: ~F.array_contains("gone", i))
+    cut = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
+    return joined.withColumns({"text": cut, "n_removed": F.coalesce(F.size("gone"), F.lit(0)).cast("long")}).drop("doc", "th", "gone")

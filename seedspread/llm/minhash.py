@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from seedspread.llm import hashing, setjoin
 from seedspread.llm.sizes import few
-from seedspread.llm.text import fresh
+from seedspread.llm.text import shielded
 from seedspread.operators.components import connected_components
 from seedspread.runtime import materialize
 
@@ -364,9 +364,8 @@ def near_duplicates(docs: DataFrame, **settings) -> DataFrame:
     return decided(docs, **settings).drop("th")
 
 
+@shielded
 def keep_one(docs: DataFrame, **settings) -> DataFrame:
     """``docs`` with the document of the smallest doc_id of each group of near duplicates; all columns as they were."""
-    gone = decided(docs, **settings).filter("not kept").select("doc_id", "th").distinct()
-    theirs, hashed = fresh(docs, "doc_id", "th")
-    gone = few(gone.toDF(theirs, hashed))
-    return docs.join(gone, (F.col("doc_id").cast("long") == F.col(theirs)) & (F.xxhash64("text") == F.col(hashed)), "left_anti")
+    gone = few(decided(docs, **settings).filter("not kept").select(F.col("doc_id").alias("gone_id"), "th").distinct())
+    return docs.join(gone, (F.col("doc_id").cast("long") == F.col("gone_id")) & (F.xxhash64("text") == F.col("th")), "left_anti")

@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from seedspread.llm.text import n_blank_words
+from seedspread.llm.text import n_blank_words, shielded
 from seedspread.runtime import materialize
 
 #: Per-source rows up to which the source table is broadcast (about 60 bytes a row).
@@ -90,3 +90,13 @@ def mix(sized: DataFrame, max_epochs: int = 3, weights: DataFrame | None = None)
     middle = F.col("_end_from") + F.sum("_size").over(order) - F.col("_size") / 2
     edge = rows.filter("_slice = _end").withColumn("_middle", middle).select(*rows.columns, takes(F.col("_middle") <= F.col("_wanted")))
     return clear.union(edge).drop("_hash", "_slice", "_whole", "_wanted", "_end", "_end_from")
+
+
+@shielded
+def mixed(docs: DataFrame, seed: int = 0, max_epochs: int = 3, weights: DataFrame | None = None) -> DataFrame:
+    """``docs(doc_id, text, source, ...)`` plus ``source_size, weight, target, taken`` and ``times``, how often the mix takes a row.
+
+    Any other column may have any name: the operator's own columns take free names, ``times`` the last.
+    """
+    out = mix(with_size_and_hash(docs, seed), max_epochs, weights)
+    return out.withColumn("times", F.when(F.col("taken") > 0, (F.col("taken") / F.col("_size")).cast("int")).otherwise(0)).drop("_size")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from seedspread.llm.licenses import PHRASES, TEMPLATES, THRESHOLD, _needed
+from seedspread.llm.licenses import PHRASES, TEMPLATES
 from seedspread.llm.text import LOWER, UPPER
 
 FOLDED = f"translate(coalesce(text, ''), '{UPPER}', '{LOWER}')"
@@ -14,20 +14,21 @@ def licenses() -> str:
         f"[i FOR i IN range(len(w)) IF w[i+1:i+{len(p.split(' '))}] = {p.split(' ')}] AS p{k}" for k, p in enumerate(PHRASES))
     labels = ", ".join(f"CASE WHEN len(p{k}) > 0 THEN '{label}' END" for k, label in enumerate(PHRASES.values()))
     every = " || ".join(f"p{k}" for k in range(len(PHRASES)))
-    templates = ", ".join(f"({n}, '{label}', {sorted(set(s.split(' ')))}, {_needed(len(set(s.split(' '))), THRESHOLD)})" for n, (label, s) in enumerate(TEMPLATES))
+    templates = ", ".join(f"({n}, '{label}', string_split('{s}', ' '), string_split('{marks}', ' '), string_split('{bars}', ' '))" for n, (label, s, marks, bars) in enumerate(TEMPLATES))
     return rf"""
-WITH d AS (SELECT doc_id, coalesce(text, '') AS text, {WORDS} AS w FROM documents),
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, {WORDS} AS w FROM documents),
 b AS (SELECT *, {places} FROM d),
-t(id, label, words, need) AS (VALUES {templates}),
-lines AS (SELECT doc_id, text, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS n FROM (SELECT DISTINCT doc_id, text FROM d)),
-sets AS (SELECT doc_id, text AS whole, n, list_distinct({WORDS.replace('text', 'line')}) AS s FROM lines),
-hits AS (SELECT doc_id, whole, n, label, len(list_intersect(words, s)) / len(words) AS c FROM sets, t WHERE len(list_intersect(words, s)) >= need),
-more AS (SELECT doc_id, whole, list(DISTINCT label) AS more, max(c) AS best, count(DISTINCT n) AS n_blocks FROM hits GROUP BY ALL)
+t(id, label, sentence, marks, bars) AS (VALUES {templates}),
+spots AS (SELECT r, w, unnest(range(1, len(w) + 1)) AS i FROM d),
+blocks AS (SELECT r, id, label, sentence, list_distinct(sentence) AS words, marks, bars, list_distinct(w[greatest(1, i - len(sentence)):i + len(sentence)]) AS s FROM spots JOIN t ON w[i] = marks[1]),
+hits AS (SELECT r, id, label, len(list_intersect(words, s)) / len(words) AS c FROM blocks
+  WHERE list_has_all(s, marks) AND NOT list_has_any(s, bars) AND 100 * len(list_intersect(words, s)) >= 80 * len(words)),
+more AS (SELECT r, list(DISTINCT label) AS more, max(c) AS best, count(DISTINCT id) AS n_templates FROM hits GROUP BY r)
 SELECT b.doc_id, len(w)::BIGINT AS n_words, len({every})::BIGINT AS n_base, list_min({every})::BIGINT AS first_word, list_max({every})::BIGINT AS last_word,
   coalesce(array_to_string(list_sort(list_distinct([{labels}])), ','), '') AS base_labels,
   coalesce(array_to_string(list_sort(list_distinct([{labels}] || coalesce(more, []))), ','), '') AS labels,
-  CASE WHEN len({every}) > 0 THEN 1.0 ELSE coalesce(best, 0.0) END::DOUBLE AS score, coalesce(n_blocks, 0)::BIGINT AS n_blocks
-FROM b LEFT JOIN more ON b.doc_id IS NOT DISTINCT FROM more.doc_id AND b.text = more.whole"""
+  CASE WHEN len({every}) > 0 THEN 1.0 ELSE coalesce(best, 0.0) END::DOUBLE AS score, coalesce(n_templates, 0)::BIGINT AS n_templates
+FROM b LEFT JOIN more USING (r)"""
 
 
 DECONTAMINATE = rf"""

@@ -1,8 +1,9 @@
 """Personal data: exact patterns with checks, plus spans decoded by a character BiLSTM-CRF.
 
 The patterns give the base spans. The tagger is trained on the base spans of a bounded sample of the corpus
-(``TRAIN_DOCS`` texts) and on altered copies of them that the patterns do not cover (a phone number with 00
-for +, a spelled-out at sign, separators inside an address), and adds spans that overlap no base span.
+(``TRAIN_DOCS`` texts), on the keys and tokens beside them (kind ``secret``, which has no base pattern), and on
+altered copies of both that the patterns do not cover (a phone number with 00 for +, a spelled-out at sign,
+separators inside an address, other secrets); it adds spans that overlap no base span.
 
 Overlapping windows lie on a fixed grid over the whole text. Each window is decoded on its own, and a
 character's tag comes from the window in whose interior it lies deepest, so spans that cross window borders
@@ -30,6 +31,9 @@ from pyspark.sql import functions as F
 from seedspread.llm.tagger import Tagger, symbols
 
 KINDS = ("email", "ip", "card", "phone")
+#: Kinds that no pattern gives and the tagger alone finds.
+TAGGED = ("secret",)
+ALL = KINDS + TAGGED
 TRAIN_DOCS, TRAIN_CHARS, WIDTH, STRIDE = 600, 20_000, 96, 48
 
 # The base patterns. Their first character class is guarded against being entered in mid-run, which changes no match and keeps the scan linear.
@@ -42,6 +46,16 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 TRIGGER = re.compile(r"[0-9@]| at(?= )")
 
 
+#: Labels of the tagger's own kind for training: long unbroken runs that mix letters and several digits, as keys and tokens do.
+SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]*[0-9][A-Za-z+/_-]*[0-9][A-Za-z+/_-]*[0-9])(?=[0-9+/_-]*[A-Za-z][0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{20,80}(?![A-Za-z0-9+/_@.-])")
+
+
+def training_spans(text: str) -> list[tuple[int, int, int]]:
+    """The base spans and the secrets beside them."""
+    base = base_spans(text)
+    return base + [(len(KINDS), *m.span()) for m in SECRET.finditer(text) if all(m.end() <= s or m.start() >= e for _, s, e in base)]
+
+
 def luhn(digits: str) -> bool:
     total = 0
     for k, c in enumerate(reversed(digits)):
@@ -171,7 +185,7 @@ def tagged_spans(texts: list[str], decode: Callable[[np.ndarray], np.ndarray]) -
 def plausible(kind: int, s: str) -> bool:
     """What any span of the kind must hold, however it is written."""
     n = len(_digits(s))
-    return (kind == 0 and ("@" in s or " at " in s) and len(s) >= 6) or (kind == 1 and 4 <= n <= 12 and len(s) >= 7) or (kind == 2 and 13 <= n <= 19) or (kind == 3 and 8 <= n <= 15)
+    return (kind == 0 and ("@" in s or " at " in s) and len(s) >= 6) or (kind == 1 and 4 <= n <= 12 and len(s) >= 7) or (kind == 2 and 13 <= n <= 19) or (kind == 3 and 8 <= n <= 15) or (kind == 4 and n >= 3 and len(s) >= 16 and not any(c in s for c in " \n\t"))
 
 
 def _altered(text: str, marks: list[tuple[int, int, int]], rng) -> tuple[str, list[tuple[int, int, int]]]:
@@ -186,6 +200,9 @@ def _altered(text: str, marks: list[tuple[int, int, int]], rng) -> tuple[str, li
             span = span.replace("@", " at ", 1)
         elif kind == 3:
             span = "00" + span[1:] if rng.random() < 0.5 else span[1:].replace(" ", "-")
+        elif kind == len(KINDS):
+            alphabet = "0123456789abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ"[: int(rng.choice([16, 36, 62]))]
+            span = "".join(alphabet[x] for x in rng.integers(0, len(alphabet), int(rng.integers(20, 50))))
         elif kind == 1 and rng.random() < 0.5:
             span = span.replace(".", " . ", 1)
         out += [text[done:s], span]
@@ -207,7 +224,7 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> dict | None:
     texts = sorted({r["text"]: None for r in marked.join(F.broadcast(picked), same, "left_semi").select("text").distinct().collect()})
     rng, marked_at, plain_at = np.random.default_rng(5), [], []
     for text in texts:
-        marks = base_spans(text)
+        marks = training_spans(text)
         versions = [(text, marks)] + ([_altered(text, marks, rng)] if marks else [])
         for body, spans in versions:
             for at in windows(body):
@@ -221,51 +238,61 @@ def fit(docs: DataFrame, train_docs: int = TRAIN_DOCS) -> dict | None:
     chosen += [plain_at[k] for k in np.sort(choice.permutation(len(plain_at))[: max(64, len(chosen))])]
     x = np.concatenate([encode_windows(body, [at]) for body, at, _ in chosen])
     y = np.concatenate([tag_rows([at], near) for _, at, near in chosen])
-    tagger = Tagger(1 + 2 * len(KINDS))
+    tagger = Tagger(1 + 2 * len(ALL))
     tagger.fit(x, y, epochs=max(4, min(30, 6_000 // len(x))))
     return tagger.p
 
 
 def render(spans: list[tuple[int, int, int]]) -> str:
-    return ",".join(f"{KINDS[k]}:{s}:{e}" for k, s, e in sorted(spans))
+    return ",".join(f"{ALL[k]}:{s}:{e}" for k, s, e in sorted(spans))
+
+
+def _scanned(texts: list[str], tagger: Tagger | None) -> Iterator[tuple[list, list]]:
+    """(base spans, further spans of the tagger) of each text, texts of about a megabyte at a time."""
+
+    def close(group):
+        near = [k for k, t in enumerate(group) if TRIGGER.search(t)]
+        base = {k: base_spans(group[k]) for k in near}
+        more: dict[int, list] = {}
+        if tagger is not None and near:
+            for k, found in zip(near, tagged_spans([group[k] for k in near], lambda x: _decode(tagger, x)), strict=True):
+                more[k] = [f for f in found if all(f[2] <= s or f[1] >= e for _, s, e in base[k])]
+        return [(base.get(k, []), more.get(k, [])) for k in range(len(group))]
+
+    group, size = [], 0
+    for text in texts:
+        group.append(text or "")
+        size += len(group[-1])
+        if size >= 1_000_000:
+            yield from close(group)
+            group, size = [], 0
+    yield from close(group)
+
+
+def _tagger(parameters: dict | None) -> Tagger | None:
+    if parameters is None:
+        return None
+    tagger = Tagger(1 + 2 * len(ALL))
+    tagger.p = parameters
+    return tagger
 
 
 def find(docs: DataFrame, parameters: dict | None) -> DataFrame:
-    """``docs(doc_id, text)`` → counts and digest of base spans, and all spans with the tagger's."""
+    """``docs(doc_id, text)`` → counts and digest of base spans, all spans with the tagger's, their number and whether there is one."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tagger = None
-        if parameters is not None:
-            tagger = Tagger(1 + 2 * len(KINDS))
-            tagger.p = parameters
-        names = ["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans"]
-        empty = hashlib.sha256(b"").hexdigest()
+        tagger = _tagger(parameters)
+        names = ["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans", "n_spans", "private"]
         for batch in batches:
-            out: list[list] = [[] for _ in range(6)]
-            base: list[list] = []
-            extra: dict[int, list] = {}
-            group: list[tuple[int, str]] = []
-            size = 0
-            for k in range(batch.num_rows):
-                text = batch.column(1)[k].as_py() or ""
-                near = TRIGGER.search(text) is not None
-                base.append(base_spans(text) if near else [])
-                if tagger is not None and near:
-                    group.append((k, text))
-                    size += len(text)
-                if group and (k == batch.num_rows - 1 or size >= 1_000_000):
-                    for (i, _), found in zip(group, tagged_spans([t for _, t in group], lambda x: _decode(tagger, x)), strict=True):
-                        extra[i] = [f for f in found if all(f[2] <= s or f[1] >= e for _, s, e in base[i])]
-                    group, size = [], 0
-            for k, spans in enumerate(base):
-                for kind in range(4):
-                    out[kind].append(sum(s[0] == kind for s in spans))
-                out[4].append(hashlib.sha256(render(spans).encode()).hexdigest() if spans else empty)
-                out[5].append(render(spans + extra.get(k, [])))
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.string()), pa.array(out[5], pa.string())], names=names)
+            found = list(_scanned(batch.column(1).to_pylist(), tagger))
+            counts = [pa.array([sum(s[0] == kind for s in base) for base, _ in found], pa.int64()) for kind in range(4)]
+            digests = pa.array([hashlib.sha256(render(base).encode()).hexdigest() for base, _ in found], pa.string())
+            total = [len(base) + len(more) for base, more in found]
+            rest = [digests, pa.array([render(base + more) for base, more in found], pa.string()), pa.array(total, pa.int64()), pa.array([n > 0 for n in total], pa.bool_())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *counts, *rest], names=names)
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return rows.mapInArrow(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return rows.mapInArrow(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long, private boolean")
 
 
 def _decode(tagger: Tagger, x: np.ndarray) -> np.ndarray:
@@ -274,16 +301,18 @@ def _decode(tagger: Tagger, x: np.ndarray) -> np.ndarray:
 
 
 def redact(docs: DataFrame, parameters: dict | None) -> DataFrame:
-    """``docs`` with every found span of ``text`` replaced by its kind in brackets; other columns stay."""
-
-    @F.udf("string", useArrow=False)
-    def cut(text, spans):
-        if not text or not spans:
-            return text
-        marks = [(int(s), int(e), k) for k, s, e in (x.split(":") for x in spans.split(","))]
-        for s, e, k in sorted(marks, reverse=True):
-            text = text[:s] + f"[{k}]" + text[e:]
-        return text
-
-    spans = find(docs, parameters).select(F.col("doc_id").alias("_id"), F.col("spans").alias("_spans")).dropDuplicates()
-    return docs.join(spans, docs["doc_id"].eqNullSafe(spans["_id"]), "left").withColumn("text", cut("text", "_spans")).drop("_id", "_spans")
+    """``docs`` with every found span of ``text`` replaced by its kind in brackets, row by row in one pass; other columns stay."""
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tagger = _tagger(parameters)
+        for batch in batches:
+            texts = batch.column(at).to_pylist()
+            out = []
+            for text, (base, more) in zip(texts, _scanned(texts, tagger), strict=True):
+                for kind, s, e in sorted(base + more, key=lambda x: -x[1]):
+                    text = text[:s] + f"[{ALL[kind]}]" + text[e:]
+                out.append(text)
+            yield batch.set_column(at, batch.schema.field(at), pa.array(out, batch.schema.field(at).type))
+
+    return docs.mapInArrow(run, docs.schema)

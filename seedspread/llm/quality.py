@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seedspread.llm.labelled import is_held_out, sample
+from seedspread.llm.text import shielded
 
 PER_CLASS, BLOCK, DICTIONARY, LEVEL, ACCEPT = 1_600, 512, 112_640, 3, 0.3
 
@@ -87,8 +88,9 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
     return model
 
 
+@shielded
 def score(docs: DataFrame, model: dict, accept: float = ACCEPT) -> DataFrame:
-    """``docs`` with ``score`` (0 to 1) and ``predicted`` for every row; other columns stay."""
+    """``docs`` with ``score`` (0 to 1) and ``predicted`` added last, under free names; other columns stay."""
 
     @F.pandas_udf("double")
     def probability(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:

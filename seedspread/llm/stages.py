@@ -7,14 +7,15 @@ from pyspark.sql import functions as F
 
 from seedspread.llm import decontaminate as contamination
 from seedspread.llm import lines, minhash, mixing, quality
-from seedspread.llm.text import BLANKS
+from seedspread.llm.text import BLANKS, fresh
 from seedspread.runtime import table
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops the documents that the compression classifier rejects."""
     model = quality.fit(docs, table(spark, sf_dir, "labels"))
-    return quality.score(docs, model).filter("predicted = 1").select(*docs.columns)
+    scored = quality.score(docs, model)
+    return scored.filter(F.col(scored.columns[-1]) == 1).select(*docs.columns)
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,10 +38,10 @@ def benchmark_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row per time that the mix takes a document, numbered by ``epoch``."""
-    mixed = mixing.mix(mixing.with_size_and_hash(docs)).filter("taken > 0")
-    repeats = (F.col("taken") / F.col("_size")).cast("int")
-    return mixed.select(*docs.columns, F.explode(F.sequence(F.lit(1), repeats)).alias("epoch"))
+    """One row per time that the mix takes a document, numbered by ``epoch`` (with an underscore for each clash)."""
+    mixed = mixing.mixed(docs)
+    times = F.col(mixed.columns[-1])
+    return mixed.filter(times > 0).select(*docs.columns, F.explode(F.sequence(F.lit(1), times)).alias(fresh(docs, "epoch")[0]))
 
 
 STAGES = [

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import wraps
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -38,3 +41,28 @@ def fresh(df: DataFrame, *names: str) -> list[str]:
         taken.add(name.lower())
         out.append(name)
     return out
+
+
+#: The columns of documents that operators read by name.
+DOCUMENT = ("doc_id", "text", "lang", "source", "n_chars")
+PACK = "others_"
+
+
+def shielded(operator: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """Any further columns of the input travel in one struct, so their names cannot meet an operator's own.
+
+    They come back untouched and in place; a column that the operator adds takes a free name, by underscores.
+    """
+
+    @wraps(operator)
+    def run(docs: DataFrame, *args, **settings) -> DataFrame:
+        further = [c for c in docs.columns if c not in DOCUMENT]
+        if not further:
+            return operator(docs, *args, **settings)
+        known = [c for c in docs.columns if c in DOCUMENT]
+        out = operator(docs.select(*known, F.struct(*[F.col(f"`{c}`") for c in further]).alias(PACK)), *args, **settings)
+        added = [c for c in out.columns if c not in known and c != PACK]
+        back = [F.col(PACK).getField(c).alias(c) if c in further else F.col(c) for c in docs.columns]
+        return out.select(*back, *[F.col(c).alias(n) for c, n in zip(added, fresh(docs, *added), strict=True)])
+
+    return run

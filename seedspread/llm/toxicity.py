@@ -5,7 +5,8 @@ presence is associated with the label (chi-square) enter one linear score; order
 score give P(grade >= k) = sigmoid(score - threshold k), and the sum of these is the expected severity.
 
 The labels only say toxic or not, so the grades used for fitting are derived: 0 for rows that are not toxic,
-and 1 to 3 for thirds of the toxic rows by the amount of features associated with the label. The
+and 1 to 3 for thirds of the toxic rows by the score that two-grade models, fitted on the other two folds of the
+sample, give them; no row's grade comes from a model that saw it. The
 fit uses at most ``PER_CLASS`` labelled texts of each class; all rows are scored. Cases: null and empty texts
 have no features and the severity of a text without any; without labels of both classes every severity is
 the share of toxic labels (0 without labels); repeated rows score alike.
@@ -104,6 +105,23 @@ def fit_ordinal(x: np.ndarray, grade: np.ndarray, n_grades: int, steps: int = 30
     return w, raw[0] + np.concatenate([[0.0], np.cumsum(np.exp(raw[1:]))])
 
 
+def _grades(texts: pa.Array, y: np.ndarray, folds: int = 3) -> np.ndarray:
+    """0 for label 0; 1 to ``GRADES - 1`` for label 1, by thirds of the score that models of the other folds give the text."""
+    part = np.arange(len(y)) % folds  # rows come in hash order within each class
+    score = np.zeros(len(y))
+    for k in range(folds):
+        own, others = np.flatnonzero(part == k), np.flatnonzero(part != k)
+        if len(set(y[others].tolist())) < 2:
+            continue
+        vocabulary = select_features(texts.take(pa.array(others)), y[others])
+        w, _ = fit_ordinal(np.log1p(_counts(texts.take(pa.array(others)), vocabulary)).astype(float), y[others], 2, steps=100)
+        score[own] = np.log1p(_counts(texts.take(pa.array(own)), vocabulary)) @ w
+    grade = np.where(y == 1, 1, 0)
+    edges = np.quantile(score[y == 1], [k / (GRADES - 1) for k in range(1, GRADES - 1)])
+    grade[y == 1] += np.searchsorted(edges, score[y == 1], side="left")
+    return grade
+
+
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
     """Vocabulary, weights and thresholds from a bounded labelled sample."""
     found = sample(docs, labels, "toxic", per_class)
@@ -112,12 +130,9 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
         share = labels.agg(F.avg("toxic")).first()[0]
         return {"constant": float(share or 0.0)}
     texts = pa.array([r[1] for r in found], pa.large_string())
+    grade = _grades(texts, y)
     vocabulary = select_features(texts, y)
     counts = _counts(texts, vocabulary)
-    amount = np.log1p(counts).sum(1)
-    grade = np.where(y == 1, 1, 0)
-    edges = np.quantile(amount[y == 1], [1 / 3, 2 / 3])
-    grade[y == 1] += np.searchsorted(edges, amount[y == 1], side="left")
     w, theta = fit_ordinal(np.log1p(counts).astype(float), grade, GRADES)
     return {"vocabulary": vocabulary, "weights": w, "thresholds": theta}
 

@@ -7,7 +7,7 @@ rest of the record, by the skip lengths that the writer leaves in each gzip memb
 archives that lack them, by inflating without decoding).
 
 Writing gives each task its own files of at most about ``roll_bytes``, one gzip member per record. A file
-counts only once the commit has listed it in the manifest, so what a lost or repeated task left behind is
+counts only once a commit has listed it in a manifest of its own (overwriting drops the older ones), so what a lost or repeated task left behind is
 never read. Paths are in storage that executors share; anything pyarrow has a file system for will do.
 
 Options: ``path``; ``partition_bytes`` (files are packed into partitions up to it); ``roll_bytes``.
@@ -30,6 +30,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, EqualTo, In, InputPartition, WriterCommitMessage
 
+from seedspread.llm.sizes import few
+
 # Fixed values of the WARC/1.1 format.
 VERSION = b"WARC/1.1"
 IDENTICAL_PAYLOAD = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -188,9 +190,8 @@ class _Reader(DataSourceReader):
 
         system, root = filesystem(self.options["path"])
         infos = {i.path.rsplit("/", 1)[-1]: i for i in system.get_file_info(fs.FileSelector(root, recursive=False)) if i.is_file}
-        if "_manifest.json" in infos:
-            with system.open_input_stream(infos["_manifest.json"].path) as f:
-                names = json.loads(f.read())["files"]
+        if lists := [n for n in infos if _is_manifest(n)]:
+            names = sorted({x for n in lists for x in _listed(system, infos[n].path)})
         else:
             names = sorted(n for n in infos if n.endswith((".warc.gz", ".warc")))
         limit, plan, size = int(self.options.get("partition_bytes", 64 << 20)), [], 0
@@ -228,14 +229,30 @@ class _Reader(DataSourceReader):
 
 
 def _squeezed(f) -> io.BytesIO:
-    """An archive that is not compressed, as gzip members, so that one reader serves both."""
-    data, out, at = f.read(), [], 0
-    while at < len(data):
-        fields, start = parse_header(data[at:])
-        end = at + start + int(fields["content-length"]) + 4
-        out.append(gzip.compress(data[at:end], 1))
-        at = end
-    return io.BytesIO(b"".join(out))
+    """An archive that is not compressed, as gzip members, so that one reader serves both. Each byte is read once."""
+    out, held = io.BytesIO(), b""
+    while True:
+        while (head := parse_header(held)) is None:
+            more = f.read(1 << 16)
+            if not more:
+                return io.BytesIO(out.getvalue())
+            held += more
+        end = head[1] + int(head[0]["content-length"]) + 4
+        body = [held[:end]]
+        missing = end - len(held)
+        if missing > 0:
+            body.append(f.read(missing))
+        out.write(gzip.compress(b"".join(body), 1))
+        held = held[end:]
+
+
+def _is_manifest(name: str) -> bool:
+    return name.startswith("_manifest") and name.endswith(".json")
+
+
+def _listed(system, path: str) -> list[str]:
+    with system.open_input_stream(path) as f:
+        return json.loads(f.read())["files"]
 
 
 def _field(fields: dict[str, str], name: str) -> str | None:
@@ -248,8 +265,8 @@ class _Written(WriterCommitMessage):
 
 
 class _Writer(DataSourceArrowWriter):
-    def __init__(self, options):
-        self.options = options
+    def __init__(self, options, overwrite: bool):
+        self.options, self.overwrite = options, overwrite
 
     def write(self, iterator: Iterator[pa.RecordBatch]) -> WriterCommitMessage:
         system, root = filesystem(self.options["path"])
@@ -270,11 +287,21 @@ class _Writer(DataSourceArrowWriter):
         return _Written(files)
 
     def commit(self, messages):
+        from pyarrow import fs
+
         system, root = filesystem(self.options["path"])
         system.create_dir(root, recursive=True)
         files = sorted(f for m in messages if m is not None for f in m.files)
-        with system.open_output_stream(f"{root}/_manifest.json", compression=None) as f:
+        older = [i.path for i in system.get_file_info(fs.FileSelector(root, recursive=False)) if i.is_file and _is_manifest(i.path.rsplit("/", 1)[-1])]
+        # each commit has a list of its own, so an append leaves the records before it readable
+        with system.open_output_stream(f"{root}/_manifest-{uuid.uuid4().hex}.json", compression=None) as f:
             f.write(json.dumps({"files": files}).encode())
+        if self.overwrite:
+            for path in older:
+                gone = _listed(system, path)
+                system.delete_file(path)
+                for name in gone:
+                    system.delete_file(f"{root}/{name}")
 
     def abort(self, messages):
         system, root = filesystem(self.options["path"])
@@ -297,7 +324,7 @@ class WarcSource(DataSource):
         return _Reader(schema, dict(self.options))
 
     def writer(self, schema, overwrite):
-        return _Writer(dict(self.options))
+        return _Writer(dict(self.options), overwrite)
 
 
 def register(spark: SparkSession) -> None:
@@ -307,6 +334,8 @@ def register(spark: SparkSession) -> None:
 
 
 MIN_REVISIT_BYTES = 100
+#: Repeated payloads up to which their table is broadcast (about 150 bytes a row); beyond it payloads are shuffled by digest.
+MAX_BROADCAST_DIGESTS = 300_000
 
 
 def page_records(pages: DataFrame) -> DataFrame:
@@ -321,6 +350,7 @@ def page_records(pages: DataFrame) -> DataFrame:
         rows.filter(F.col("payload_length") >= MIN_REVISIT_BYTES).groupBy("payload_digest").agg(F.min("page_id").alias("first"), many.alias("many"))
         .filter("many and first is not null").select("payload_digest", "first")
     )
+    firsts = few(firsts, MAX_BROADCAST_DIGESTS)
     again = F.coalesce(F.col("first") < F.coalesce(F.col("page_id"), F.col("first") + 1), F.lit(False))
     urn = lambda c: F.concat(F.lit("<urn:page:"), c.cast("string"), F.lit(">"))
     return rows.join(firsts, "payload_digest", "left").select(

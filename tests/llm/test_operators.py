@@ -171,7 +171,9 @@ def test_line_dedup_takes_short_lines(spark):
     assert [rows[k][1] for k in range(len(texts))] == [0, 2, 2, 0, 0, 1]
 
 
-def test_decontamination_matches_brute_force(spark):
+@pytest.mark.parametrize("limit", [1_000_000, 0])
+def test_decontamination_matches_brute_force(spark, limit, monkeypatch):
+    monkeypatch.setattr(decontaminate, "MAX_BROADCAST_WINDOWS", limit)
     rng = np.random.default_rng(4)
     items = [prose(rng, 30, 50), prose(rng, 12, 50), "Tiny ITEM", "", None, "w1 w1"]
     texts = [prose(rng, 80, 50) for _ in range(10)] + [prose(rng, 9) + " " + items[0].upper() + "! " + items[0], "a tiny,item b", None, "", "w1 w1 w1", "É tiny item"]
@@ -198,13 +200,22 @@ def test_decontamination_matches_brute_force(spark):
 
 
 def test_license_scan(spark):
-    texts = ["Released under the MIT License.", "mit license mit LICENSE", "CC-BY", "gnu general public", None, "", "x\nThis work is licensed under the GNU General Public License, version 3.\ny", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation, to deal in the software without restriction"]
+    grant = "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation, to deal in the software without restriction"
+    wrapped = grant.replace("free of charge, to", "free of charge,\n to").replace("of this software", "of this\nsoftware")
+    gpl = "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation"
+    texts = [
+        "Released under the MIT License.", "mit license mit LICENSE", "CC-BY", "gnu general public", None, "", "x\nThis work is licensed under the GNU General Public License, version 3.\ny", grant,
+        "Released under the GNU General Public License.", "licensed under CC BY SA 4.0", "Licensed under the BSD license, version 2.0", gpl, wrapped, "released " + "filler " * 40 + "under the license", gpl.replace("General", "Lesser General"),
+    ]
     rows = {r["doc_id"]: r for r in licenses.license_scan(documents(spark, texts)).collect()}
     assert (rows[1]["n_words"], rows[1]["n_base"], rows[1]["first_word"], rows[1]["last_word"]) == (4, 2, 0, 2)
     assert [rows[k]["base_labels"] for k in range(8)] == ["mit", "mit", "cc-by", "", "", "", "gpl", ""]
     assert rows[7]["labels"] == "mit" and 0.8 <= rows[7]["score"] < 1
+    assert [rows[k]["labels"] for k in range(8, 15)] == ["gpl", "cc-by,cc-by-sa", "", "gpl", "mit", "", "lgpl"]
+    assert rows[12]["score"] == rows[7]["score"] and rows[13]["score"] == 0
     assert rows[4]["n_words"] == 0 and rows[4]["first_word"] is None and rows[5]["score"] == 0
     assert licenses.license_scan(spark.createDataFrame([], DOCS)).count() == 0
+    assert licenses.license_scan(documents(spark, ["word " * 300_000 + "released under the mit license"])).first()["labels"] == "mit"
 
 
 def test_mixing_targets(spark):
@@ -284,7 +295,7 @@ def test_tagger_learns_and_windows_reconcile():
     parts = [(t, pii.windows(t), pii.base_spans(t)) for t in texts]
     x = np.concatenate([pii.encode_windows(t, w) for t, w, _ in parts])
     y = np.concatenate([pii.tag_rows(w, s) for _, w, s in parts])
-    model = tagger.Tagger(9)
+    model = tagger.Tagger(1 + 2 * len(pii.ALL))
     history = model.fit(x, y, epochs=12)
     assert history[-1] < history[0] / 5
     good = sum(pii.reconcile(w, model.decode(pii.encode_windows(t, w))) == s for t, w, s in parts)
@@ -332,9 +343,36 @@ def test_pii_find_cases(spark):
     assert rows[0]["spans"] == "email:5:11" and rows[0]["n_email"] == 1
     assert rows[1]["base_sha256"] == hashlib.sha256(b"").hexdigest() and rows[1]["spans"] == ""
     assert {r["doc_id"]: r["text"] for r in pii.redact(docs, None).collect()}[0] == "mail [email] x"
+    twice = spark.createDataFrame([(1, "mail a@b.co"), (1, "call x@y.org"), (None, None)], "doc_id long, text string").withColumn("spans", F.lit(3))
+    assert sorted((r["text"] or "", r["spans"]) for r in pii.redact(twice, None).collect()) == [("", 3), ("call [email]", 3), ("mail [email]", 3)]
+    assert pii.find(docs.filter("false"), None).count() == 0 and pii.redact(docs.filter("false"), None).count() == 0
     assert pii.fit(docs.filter("doc_id = 3")) is None
 
 
+def test_tagger_finds_secrets_that_no_pattern_gives(spark):
+    rng = np.random.default_rng(14)
+    key = lambda: "".join(rng.choice(list("0123456789abcdef"), 40))
+    plain = lambda n: prose(rng, n, 40).translate(str.maketrans("0123456789", "abcdefghij"))
+    train = [f"{plain(25)} token = \"{key()}\" {plain(9)}" for _ in range(200)] + [plain(30) + " year 1999 and 2004" for _ in range(100)]
+    model = pii.fit(documents(spark, train).select("doc_id", "text"))
+    new = [f"{plain(int(rng.integers(3, 30)))} api_key: {key()} {plain(5)}" for _ in range(40)] + [plain(40) + " in 1987 or 12 of 2005" for _ in range(40)]
+    rows = {r["doc_id"]: r for r in pii.find(documents(spark, new).select("doc_id", "text"), model).collect()}
+    assert sum("secret:" in rows[k]["spans"] for k in range(40)) >= 34
+    assert sum(rows[k]["private"] for k in range(40, 80)) <= 2
+
+
+def test_warc_append_and_overwrite(spark, tmp_path):
+    page = lambda k: spark.createDataFrame([(k, "http://h", "<p>" + "y" * 150)], "page_id long, url string, html string")
+    path = f"file://{tmp_path}/a"
+    warc.archive(page(1), path)
+    warc.archive(page(2), path)
+    assert sorted(warc_id(r["record_id"]) for r in warc.read_archive(spark, path).collect()) == [1, 2]
+    warc.page_records(page(3)).write.format("warc").mode("overwrite").save(path)
+    assert [warc_id(r["record_id"]) for r in warc.read_archive(spark, path).collect()] == [3]
+    warc.archive(page(4).filter("false"), f"file://{tmp_path}/none")
+    assert warc.read_archive(spark, f"file://{tmp_path}/none").count() == 0
+
+
 def test_warc_round_trip(spark, tmp_path):
     html = ["<p>" + "x" * 200, None, "short", "short", "<p>" + "x" * 200, "é" * 60, "<p>" + "x" * 200]
     pages = spark.createDataFrame([(k, None if k == 2 else f"http://h/{k}\r\nX: y", h) for k, h in enumerate(html)], "page_id long, url string, html string")
