@@ -19,7 +19,7 @@ from seedspread.operators import kernels
 from seedspread.operators.frontier import edge_map, until_empty
 from seedspread.operators.graph import Graph
 from seedspread.plans import planner
-from seedspread.runtime import materialize
+from seedspread.runtime import materialize, release
 
 VECTOR = "run_id long, v long, deg long, p double, r double"
 STATS = "run_id long, round int, frontier long, edges long, mass_p double, mass_r double"
@@ -58,29 +58,45 @@ def seeds_frame(spark: SparkSession, seeds: dict[int, list[int]] | list[int]) ->
     return spark.createDataFrame(rows, "run_id long, v long, w double")
 
 
-def ball(graph: Graph, seeds: DataFrame, hops: int, max_volume: int | None = None) -> DataFrame:
-    """``(v)`` within ``hops`` of the seeds; growth stops early once the ball's volume passes ``max_volume``."""
-    held = materialize(seeds.select("v").distinct(), "ball")
-    ring = held
-    for _ in range(hops):
-        near = graph.edges.join(F.broadcast(ring.withColumnRenamed("v", "src")) if ring.count() <= 200_000 else ring.withColumnRenamed("v", "src"), "src").select(F.col("dst").alias("v")).distinct()
-        ring = materialize(near.join(held, "v", "left_anti"), "ball")
-        if ring.isEmpty():
-            break
-        held = materialize(held.union(ring), "ball")
-        if max_volume is not None and held.join(graph.degrees, "v").agg(F.sum("deg")).first()[0] > max_volume:
+class TooLarge(Exception):
+    """The ball that a run needs exceeds what one task may hold."""
+
+
+def ball(graph: Graph, seeds: DataFrame, hops: int, max_volume: int | None = None) -> tuple[DataFrame, bool]:
+    """(``(v)`` within ``hops`` of the seeds, whether it was cut short).
+
+    A ring that would take the ball's volume past ``max_volume`` is left out whole, whatever its size.
+    """
+    held = materialize(seeds.select("v").distinct().join(graph.degrees, "v"), "ball")
+    ring, volume = held, 0
+    for hop in range(hops + 1):
+        row = ring.agg(F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("vol")).first()
+        if row["n"] == 0:
             break
-    return held
+        if max_volume is not None and volume + row["vol"] > max_volume:
+            return (held if hop else held.filter("false")).select("v"), True
+        volume += row["vol"]
+        if hop:
+            held = materialize(held.union(ring), "ball")
+        if hop < hops:
+            side = ring.select(F.col("v").alias("src"))
+            near = graph.edges.join(F.broadcast(side) if row["n"] <= 200_000 else side, "src").select(F.col("dst").alias("v")).distinct()
+            ring = materialize(near.join(held, "v", "left_anti").join(graph.degrees, "v").select(*held.columns), "ball")
+    return held.select("v"), False
 
 
 def _in_task(graph: Graph, seeds: DataFrame, kernel: Callable, batches: int = 8, hops: int = 6) -> tuple[DataFrame, DataFrame]:
-    """Run ``kernel(ball, seeds)`` for each run in a task that holds the ball; widen the ball while any run leaves it."""
-    ends = graph.edges
-    degrees = graph.degrees
+    """Run ``kernel(ball, seeds, run)`` for each run in a task that holds the ball; widen the ball while any run leaves it.
+
+    Raises ``TooLarge`` where a run leaves the largest ball that a task may hold.
+    """
+    ends, degrees = graph.edges, graph.degrees
+    seeds = materialize(seeds, "seeds")
+    batches = max(1, min(batches, seeds.select("run_id").distinct().limit(batches).count()))
     while True:
-        inside = None
+        inside, cut = None, False
         if graph.total_volume > planner.IN_TASK_EDGES:
-            inside = ball(graph, seeds, hops, planner.IN_TASK_EDGES)
+            inside, cut = ball(graph, seeds, hops, planner.IN_TASK_EDGES)
             ends = graph.edges.join(inside.withColumnRenamed("v", "src"), "src", "left_semi")
         both = ends.join(degrees.select(F.col("v").alias("src"), F.col("deg").alias("ds")), "src").join(degrees.select(F.col("v").alias("dst"), F.col("deg").alias("dd")), "dst")
         # the ball is bounded by IN_TASK_EDGES, its copies by the number of batches
@@ -90,11 +106,13 @@ def _in_task(graph: Graph, seeds: DataFrame, kernel: Callable, batches: int = 8,
         def solve(runs: pd.DataFrame, edges: pd.DataFrame) -> pd.DataFrame:
             columns = {"run_id": [], "kind": [], "v": [], "deg": [], "p": [], "r": [], "frontier": [], "edges": []}
             out = [pd.DataFrame(columns)]
-            if len(runs) and len(edges):
+            if len(runs) and not len(edges) and cut:
+                out.append(pd.DataFrame({"run_id": runs.run_id.unique(), "kind": 2}))
+            elif len(runs) and len(edges):
                 held = kernels.Ball.of(*(edges[c].to_numpy(np.int64) for c in ("src", "dst", "ds", "dd")))
                 for run, own in runs.groupby("run_id"):
                     try:
-                        done = kernel(held, list(zip(own.v, own.w, strict=True)))
+                        done = kernel(held, list(zip(own.v, own.w, strict=True)), int(run))
                     except kernels.Escaped:
                         out.append(pd.DataFrame({"run_id": [run], "kind": [2]}))
                         continue
@@ -109,6 +127,8 @@ def _in_task(graph: Graph, seeds: DataFrame, kernel: Callable, batches: int = 8,
         found = materialize(dealt.groupBy("batch").cogroup(copies.groupBy("batch")).applyInPandas(solve, schema), "in_task")
         if inside is None or found.filter("kind = 2").isEmpty():
             break
+        if cut:
+            raise TooLarge(f"a run leaves a ball of {planner.IN_TASK_EDGES} edges")
         hops *= 2
     stats = found.filter("kind = 1").select("run_id", F.col("v").cast("int").alias("round"), "frontier", "edges", F.col("p").alias("mass_p"), F.col("r").alias("mass_r"))
     return found.filter("kind = 0").select("run_id", "v", "deg", "p", "r"), stats
@@ -139,7 +159,10 @@ def residual_push(graph: Graph, seeds: DataFrame, alpha: float, eps: float, rule
     """
     mode = mode or planner.choose(planner.work_bound("push", alpha=alpha, eps=eps), graph.total_volume)
     if mode == "in_task":
-        return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.push_bulk(b, s, alpha, eps, rule, beta, force_seed, max_rounds, blocks)))
+        try:
+            return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.push_bulk(b, s, alpha, eps, rule, beta, force_seed, max_rounds, blocks)))
+        except TooLarge:
+            pass  # the rounds below need no ball
     gain, send, stay = kernels.coefficients(rule, alpha)
     over = (F.col("r") >= eps * F.col("deg")) & (F.col("r") > 0)
     state = _start(graph, seeds).select("run_id", "v", "deg", F.lit(0.0).alias("p"), F.col("w").alias("r"), F.lit(force_seed).alias("forced"))
@@ -165,12 +188,12 @@ def residual_push(graph: Graph, seeds: DataFrame, alpha: float, eps: float, rule
 
 def residual_push_fifo(graph: Graph, seeds: DataFrame, alpha: float, eps: float, rule: str = "aggressive") -> Diffusion:
     """Baseline: one vertex at a time from a queue, one task per batch of runs."""
-    return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.push_queue(b, s, alpha, eps, rule)))
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.push_queue(b, s, alpha, eps, rule)))
 
 
 def residual_push_priority(graph: Graph, seeds: DataFrame, alpha: float, eps: float, rule: str = "aggressive") -> Diffusion:
     """Baseline variant: the queue is a heap keyed by r / deg at insertion."""
-    return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.push_queue(b, s, alpha, eps, rule, priority=True)))
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.push_queue(b, s, alpha, eps, rule, priority=True)))
 
 
 def residual_push_dense(graph: Graph, seeds: DataFrame, alpha: float, eps: float, rule: str = "aggressive", max_rounds: int = 1000) -> Diffusion:
@@ -203,9 +226,13 @@ def truncated_walk(graph: Graph, seeds: DataFrame, T: int, eps: float, target_ph
     also drops small entries of the result.
     """
     mode = mode or ("frames" if target_phi is not None else planner.choose(planner.work_bound("walk", T=T, eps=eps), graph.total_volume))
+    out = None
     if mode == "in_task":
-        out = _result(graph, _in_task(graph, seeds, lambda b, s: kernels.walk_bulk(b, s, T, eps)))
-    else:
+        try:
+            out = _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.walk_bulk(b, s, T, eps)))
+        except TooLarge:
+            pass  # the rounds need no ball
+    if out is None:
         out = _walk_frames(graph, seeds, T, eps, target_phi)
     if truncate_output:
         out.p = out.p.filter(F.col("p") >= eps * F.col("deg"))
@@ -235,13 +262,16 @@ def _walk_frames(graph: Graph, seeds: DataFrame, steps: int, eps: float, target_
 
             best = best_prefix(sweep_profile(graph, kept.select("run_id", "v", "p"))).filter(F.col("phi") < target_phi).select("run_id", F.col("phi").alias("phi_"))
             kept = kept.join(best, "run_id", "left").select("run_id", "v", "deg", "p", F.col("phi_").isNotNull().alias("done"), F.col("phi_").alias("reached"))
-        state = materialize(kept.union(ended), "walk")
+        following = materialize(kept.union(ended), "walk")
+        release(state)
+        release(new)
+        state = following
     return Diffusion(graph, state.filter("p > 0").select("run_id", "v", "deg", "p", "reached") if target_phi is not None else state.filter("p > 0").select("run_id", "v", "deg", "p"), None, None, rounds)
 
 
 def truncated_walk_sequential(graph: Graph, seeds: DataFrame, T: int, eps: float) -> Diffusion:  # noqa: N803
     """Baseline: the same updates vertex by vertex."""
-    return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.walk_bulk(b, s, T, eps, one_by_one=True)))
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.walk_bulk(b, s, T, eps, one_by_one=True)))
 
 
 def lazy_walk_exact(graph: Graph, seeds: DataFrame, T: int, mode: str | None = None) -> Diffusion:  # noqa: N803
@@ -262,7 +292,10 @@ def heat_taylor(graph: Graph, seeds: DataFrame, t: float, N: int, eps: float, th
     mode = mode or planner.choose(planner.work_bound("heat", t=t, N=N, eps=eps), graph.total_volume)
     scale = float(np.exp(-t)) if scale_output else 1.0
     if mode == "in_task":
-        return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.heat_bulk(b, s, t, N, eps, threshold, last_level)), scale)
+        try:
+            return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.heat_bulk(b, s, t, N, eps, threshold, last_level)), scale)
+        except TooLarge:
+            pass  # the rounds below need no ball
     weights, levels, rounds = kernels.psi(N, t), [], []
     r = materialize(_start(graph, seeds).select("run_id", "v", "deg", F.col("w").alias("r")), "heat")
     for j in range(N):
@@ -287,7 +320,7 @@ def heat_taylor(graph: Graph, seeds: DataFrame, t: float, N: int, eps: float, th
 
 def heat_taylor_queue(graph: Graph, seeds: DataFrame, t: float, N: int, eps: float, threshold: str = "scaled", last_level: str = "bare") -> Diffusion:  # noqa: N803
     """Baseline: entries (vertex, level) from a queue."""
-    return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.heat_queue(b, s, t, N, eps, threshold, last_level)))
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.heat_queue(b, s, t, N, eps, threshold, last_level)))
 
 
 # ---- heat kernel by random walks -----------------------------------------------------------------------
@@ -319,18 +352,30 @@ def walk_lengths(spark: SparkSession, runs: DataFrame, n_walks: int, t: float, K
     return walks.select("run_id", "walk_id", index.alias("remaining"))
 
 
+def walk_starts(graph: Graph, seeds: DataFrame, lengths: DataFrame, seed: int, rng: str) -> DataFrame:
+    """``(run_id, walk_id, remaining, at)``: each walk starts at a seed drawn by weight among the run's seeds in the graph.
+
+    A run with one such seed draws nothing; a run without any has no walks.
+    """
+    held = seeds.groupBy("run_id", "v").agg(F.sum("w").alias("w")).filter("w > 0").join(graph.degrees.select("v"), "v", "left_semi")
+    run, upto = Window.partitionBy("run_id"), Window.partitionBy("run_id").orderBy("v").rowsBetween(Window.unboundedPreceding, 0)
+    share = held.withColumns({"hi": F.sum("w").over(upto) / F.sum("w").over(run), "place": F.row_number().over(Window.partitionBy("run_id").orderBy("v")), "many": F.count("*").over(run)})
+    share = share.withColumn("lo", F.coalesce(F.lag("hi").over(Window.partitionBy("run_id").orderBy("v")), F.lit(0.0)))
+    share = share.withColumn("hi", F.when(F.col("place") == F.col("many"), F.lit(2.0)).otherwise(F.col("hi"))).select("run_id", F.col("v").alias("at"), "lo", "hi")
+    u = _uniform(rng, F.lit(seed).cast("string") if rng == "md5" else F.lit(seed), F.col("run_id"), F.col("walk_id"), F.lit("start"))
+    return lengths.withColumn("u", u).join(share, "run_id").filter((F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).select("run_id", "walk_id", "remaining", "at")
+
+
 def heat_walks(graph: Graph, seeds: DataFrame, t: float, K: int, n_walks: int, seed: int = 1, overflow: str = "clamp", aggregate: str = "hash", rng: str = "xxhash64") -> Diffusion:  # noqa: N803
     """Heat kernel as the share of random walks of Poisson length that end at each vertex.
 
-    A step is one join with the neighbour lists; finished walks leave the loop. With several seeds per run the
-    start is drawn by weight order. ``aggregate``: "hash" counts by group with map-side partials, "sort" counts
+    A step is one join with the neighbour lists; finished walks leave the loop. With several seeds per run each
+    walk draws its start by weight; seeds outside the graph take no part, so the mass is 1. ``aggregate``: "hash" counts by group with map-side partials, "sort" counts
     by offsets in the sorted list of ends. All choices are functions of (seed, run, walk, step).
     """
     spark = graph.spark
-    starts = seeds.select("run_id", "v").withColumn("at_", F.row_number().over(Window.partitionBy("run_id").orderBy("v")) - 1).withColumn("many", F.count("*").over(Window.partitionBy("run_id")))
     lengths = walk_lengths(spark, seeds, n_walks, t, K, seed, overflow, rng)
-    walkers = lengths.join(starts, "run_id").filter(F.col("walk_id") % F.col("many") == F.col("at_")).select("run_id", "walk_id", "remaining", F.col("v").alias("at"))
-    walkers = materialize(walkers.join(graph.degrees.withColumnRenamed("v", "at"), "at", "left_semi"), "walkers")
+    walkers = materialize(walk_starts(graph, seeds, lengths, seed, rng), "walkers")
     lists = graph.edges.groupBy("src").agg(F.array_sort(F.collect_list("dst")).alias("nbrs")) if rng == "md5" else graph.adjacency.groupBy("v").agg(F.array_sort(F.flatten(F.collect_list(F.transform("nbrs", lambda x: x["v"])))).alias("nbrs")).withColumnRenamed("v", "src")
     lists = materialize(lists, "lists")
     ends = walkers.filter("remaining = 0").select("run_id", "walk_id", "at")
@@ -371,7 +416,8 @@ def heat_walks_grouped(graph: Graph, seeds: DataFrame, t: float, K: int, n_walks
     """The same law with counts for walkers: a row (vertex, remaining, count) splits its count over the neighbours by a multinomial draw."""
     spark = graph.spark
     lengths = walk_lengths(spark, seeds, n_walks, t, K, seed)
-    rows = materialize(lengths.groupBy("run_id", "remaining").agg(F.count("*").alias("count")).join(seeds.select("run_id", F.col("v").alias("at")), "run_id"), "grouped")
+    dealt = walk_starts(graph, seeds, lengths, seed, "xxhash64")
+    rows = materialize(dealt.groupBy("run_id", "remaining", "at").agg(F.count("*").alias("count")), "grouped")
     ends = rows.filter("remaining = 0").select("run_id", "at", "count")
     lists = materialize(graph.edges.groupBy(F.col("src").alias("at")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs")), "lists")
 
@@ -394,15 +440,21 @@ def heat_walks_grouped(graph: Graph, seeds: DataFrame, t: float, K: int, n_walks
 
 def heat_walks_sequential(graph: Graph, seeds: DataFrame, t: float, K: int, n_walks: int, seed: int = 1, overflow: str = "clamp") -> Diffusion:  # noqa: N803
     """Baseline: one walk at a time."""
-    return _result(graph, _in_task(graph, seeds, lambda b, s: kernels.walks_one_by_one(b, s, t, K, n_walks, seed, overflow)))
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.walks_one_by_one(b, s, t, K, n_walks, seed, overflow, run)))
 
 
 # ---- exact vectors -------------------------------------------------------------------------------------
 
 
-def pagerank_exact(graph: Graph, seeds: DataFrame, alpha: float, tol: float = 1e-12, lazy: bool = True, max_rounds: int = 5000) -> Diffusion:
-    """The vector both push rules approximate: they share the fixed point of the lazy walk with teleport alpha."""
-    return residual_push(graph, seeds, alpha, tol, "aggressive" if not lazy else "lazy", mode="in_task", max_rounds=max_rounds)
+def pagerank_exact(graph: Graph, seeds: DataFrame, alpha: float, tol: float = 1e-12, max_rounds: int = 5000) -> Diffusion:
+    """The vector that both push rules approximate, by power iteration of the lazy walk with teleport ``alpha``.
+
+    No push is involved: x ← alpha s + (1 - alpha) x W with W half stay, half move, until a step changes less
+    than ``tol`` in all. For graphs that one task may hold.
+    """
+    if graph.total_volume > planner.IN_TASK_EDGES:
+        raise TooLarge("the exact vector fills its component; use residual_push with a small eps beyond one task")
+    return _result(graph, _in_task(graph, seeds, lambda b, s, run: kernels.power_iteration(b, s, alpha, tol, max_rounds)))
 
 
 def heat_exact(graph: Graph, seeds: DataFrame, t: float, K: int) -> Diffusion:  # noqa: N803

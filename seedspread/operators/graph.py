@@ -55,16 +55,18 @@ class Graph:
 
     @cached_property
     def degrees(self) -> DataFrame:
-        return self.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg"))
+        """Written once per graph, so that no round counts them again."""
+        return materialize(self.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg")), "degrees")
 
     @cached_property
     def adjacency(self) -> DataFrame:
+        """Written once per graph, so that no round builds the lists again."""
         ends = self.edges.join(self.degrees.select(F.col("v").alias("dst"), F.col("deg").alias("ndeg")), "dst")
         cut = ends.withColumn("chunk", F.pmod(F.xxhash64("dst"), F.lit(1 << 30)))
         sized = cut.join(self.degrees.withColumnRenamed("v", "src"), "src")
         piece = F.pmod(F.col("chunk"), F.greatest(F.lit(1), F.ceil(F.col("deg") / CHUNK))).cast("int")
         lists = sized.groupBy(F.col("src").alias("v"), piece.alias("chunk"), "deg")
-        return lists.agg(F.array_sort(F.collect_list(F.struct(F.col("dst").alias("v"), F.col("ndeg").alias("deg")))).alias("nbrs"))
+        return materialize(lists.agg(F.array_sort(F.collect_list(F.struct(F.col("dst").alias("v"), F.col("ndeg").alias("deg")))).alias("nbrs")), "lists")
 
     @cached_property
     def total_volume(self) -> int:

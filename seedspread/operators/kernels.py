@@ -234,12 +234,18 @@ def length_cdf(t: float, longest: int, overflow: str = "clamp") -> list[float]:
     return [float(x) for x in total]
 
 
-def walks_one_by_one(ball, seeds, t, longest, n_walks, seed=1, overflow="clamp") -> Outcome:
-    """Random walks of Poisson length, one after another; p is the share of walks that end at each vertex."""
-    rng, cdf, p = np.random.default_rng(seed), np.array(length_cdf(t, longest, overflow)), np.zeros(len(ball.ids))
-    places = [ball.place(v) for v, _ in seeds]
-    for i in range(n_walks):
-        v = places[i % len(places)]
+def walks_one_by_one(ball, seeds, t, longest, n_walks, seed=1, overflow="clamp", run=0) -> Outcome:
+    """Random walks of Poisson length, one after another; p is the share of walks that end at each vertex.
+
+    Starts are drawn by weight among the seeds in the ball; each run has a random stream of its own.
+    """
+    rng, cdf, p = np.random.default_rng([seed, run & 0xFFFFFFFF]), np.array(length_cdf(t, longest, overflow)), np.zeros(len(ball.ids))
+    weight = _seeded(ball, seeds)
+    places = np.flatnonzero(weight > 0)
+    if len(places) == 0:
+        return Outcome(p, p.copy(), [])
+    starts = rng.choice(places, n_walks, p=weight[places] / weight[places].sum())
+    for v in starts:
         for _ in range(int(np.searchsorted(cdf, rng.random()))):
             near = ball.neighbours(v)
             v = int(near[rng.integers(len(near))])
@@ -247,6 +253,19 @@ def walks_one_by_one(ball, seeds, t, longest, n_walks, seed=1, overflow="clamp")
     return Outcome(p / n_walks, np.zeros(len(p)), [(n_walks, 0, 1.0, 0.0)])
 
 
+def power_iteration(ball, seeds, alpha, tol, max_rounds) -> Outcome:
+    """Fixed point of teleport with ``alpha`` and a lazy step otherwise, by repetition over all vertices."""
+    start = _seeded(ball, seeds)
+    everyone, x = np.arange(len(ball.ids)), start
+    for _ in range(max_rounds):
+        moved = ball.spread(everyone, x / np.maximum(ball.deg, 1))
+        following = alpha * start + (1 - alpha) * (x + moved) / 2
+        change, x = np.abs(following - x).sum(), following
+        if change < tol:
+            break
+    return Outcome(x, np.zeros(len(x)), [])
+
+
 def sweep_order(ids: np.ndarray, p: np.ndarray, deg: np.ndarray) -> np.ndarray:
     """Support of p by p / deg, largest first; ties by id."""
     held = np.flatnonzero(p > 0)

@@ -340,7 +340,7 @@ def push_inflation_geo(spark, sf):
 
 @register("pagerank_exact_geo", full_sql("geo", push_sql({0: [0]}, 0.2, 0.0, "aggressive", 100), select="SELECT run_id::BIGINT AS run_id, v::BIGINT AS v, round(p, 6) AS p FROM pv WHERE round(p, 6) > 0"))
 def pagerank_exact_geo(spark, sf):
-    out = d.pagerank_exact(builders.geo(spark, sf), seeds(spark, 0), 0.2, 1e-13, lazy=False, max_rounds=400)
+    out = d.pagerank_exact(builders.geo(spark, sf), seeds(spark, 0), 0.2, 1e-13)
     return out.p.select("run_id", "v", F.round("p", 6).alias("p")).filter("p > 0")
 
 
@@ -483,7 +483,7 @@ def largest_component_seed(spark, sf):
 @register("vector_error_geo")
 def vector_error_geo(spark, sf):
     g, s = builders.geo(spark, sf), seeds(spark, 0)
-    return measures.vector_error(g, d.residual_push(g, s, 0.2, 1e-5).p, d.pagerank_exact(g, s, 0.2, 1e-13, max_rounds=2000).p)
+    return measures.vector_error(g, d.residual_push(g, s, 0.2, 1e-5).p, d.pagerank_exact(g, s, 0.2, 1e-13).p)
 
 
 @register("jaccard_methods_geo")

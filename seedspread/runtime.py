@@ -61,9 +61,10 @@ def release(df: DataFrame) -> None:
             discard(df.sparkSession, root)
 
 
-def tidy(spark: SparkSession) -> None:
-    """Ask the driver's JVM to collect garbage, so that shuffle files of finished plans leave the disks now rather than at the next periodic collection."""
-    spark.sparkContext._jvm.System.gc()
+def new_folder(spark: SparkSession, path: str) -> None:
+    """Make a folder, unless it is there, through Hadoop's file system API."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).mkdirs(target)
 
 
 def _sweep_scratch() -> None:

@@ -11,7 +11,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from pyspark.sql.types import IntegerType
 
-from seedspread.runtime import discard, scratch_path, table
+from seedspread.runtime import discard, new_folder, scratch_path, table
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -68,20 +68,25 @@ def new_edges(events: DataFrame) -> DataFrame:
 
 
 class EdgeUpkeep:
-    """Keeps the edge set of a growing graph: each batch adds only edges that were not there, in versions."""
+    """Keeps the edge set of a growing graph: each batch adds only edges that no other batch brought.
 
-    def __init__(self, spark: SparkSession):
-        self.spark, self.path, self.version = spark, scratch_path(spark, "edges"), -1
+    What is there is read from storage and a batch never compares with itself, so a replayed batch, or one
+    that a restarted driver repeats, leaves the same edges.
+    """
+
+    def __init__(self, spark: SparkSession, path: str | None = None):
+        self.spark, self.path = spark, path or scratch_path(spark, "edges")
+        new_folder(spark, self.path)
 
     def apply(self, batch: DataFrame, number: int) -> None:
-        fresh = new_edges(batch)
-        if self.version >= 0:
-            fresh = fresh.join(self.edges(), ["src", "dst"], "left_anti")
-        fresh.write.mode("overwrite").parquet(f"{self.path}/batch={number}")
-        self.version = number
+        others = self._stored().filter(F.col("batch") != number).select("src", "dst")
+        new_edges(batch).join(others, ["src", "dst"], "left_anti").write.mode("overwrite").parquet(f"{self.path}/batch={number}")
+
+    def _stored(self) -> DataFrame:
+        return self.spark.read.schema("src long, dst long, batch int").parquet(self.path)
 
     def edges(self) -> DataFrame:
-        return self.spark.read.schema("src long, dst long, batch int").parquet(self.path).select("src", "dst")
+        return self._stored().select("src", "dst").distinct()
 
     def run(self, stream: DataFrame) -> DataFrame:
         place = scratch_path(self.spark, "stream-state")

@@ -8,9 +8,10 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from seedspread.operators import diffusion as d
-from seedspread.operators import kernels, measures, profile
+from seedspread.operators import graph, kernels, measures, profile
 from seedspread.plans import planner
 from seedspread.sources import builders, generators
+from seedspread.streaming import streams
 
 
 @pytest.fixture(scope="module")
@@ -50,11 +51,12 @@ def test_push_frames_equal_in_task(geo, seed):
 
 
 def test_rules_share_the_exact_vector(geo, seed):
-    lazy = d.pagerank_exact(geo, seed, 0.2, 1e-12, lazy=True, max_rounds=3000)
-    fast = d.pagerank_exact(geo, seed, 0.2, 1e-12, lazy=False, max_rounds=3000)
-    assert all(r["worst"] < 1e-8 for r in measures.vector_error(geo, lazy.p, fast.p).collect())
+    exact = d.pagerank_exact(geo, seed, 0.2, 1e-13)
+    for rule in ("lazy", "aggressive"):
+        out = d.residual_push(geo, seed, 0.2, 1e-10, rule)
+        assert all(r["worst"] < 1e-8 for r in measures.vector_error(geo, out.p, exact.p).collect())
     near = d.residual_push(geo, seed, 0.2, 1e-4)
-    assert all(r["worst"] <= 1e-4 for r in measures.vector_error(geo, near.p, fast.p).collect())
+    assert all(r["worst"] <= 1e-4 for r in measures.vector_error(geo, near.p, exact.p).collect())
 
 
 def test_queue_forms_and_inflation(geo, seed):
@@ -104,6 +106,53 @@ def test_heat_walks(geo, spark):
     assert abs(share.get(0, 0) - exact[0] / cut) < 0.05
 
 
+def test_walk_starts_follow_weights(geo, spark):
+    """All three forms: weighted seeds, a seed outside the graph, a stream per run, and 4 sigma around the exact vector."""
+    n, weights = 8000, [(0, 0, 0.9), (0, 4, 0.1), (0, 999_999, 5.0), (1, 0, 0.9), (1, 4, 0.1)]
+    seeds = spark.createDataFrame(weights, "run_id long, v long, w double")
+    still = {k: v for k, v in vector(d.heat_walks(geo, seeds, 0.0, 3, n)).items()}
+    assert still.keys() == {(0, 0), (0, 4), (1, 0), (1, 4)} and abs(still[0, 4] - 0.1) < 4 * (0.09 / n) ** 0.5
+    exact = vector(d.heat_exact(geo, seeds.filter("run_id = 1"), 2, 12))
+    total = sum(exact.values())
+    for form in (d.heat_walks, d.heat_walks_grouped, d.heat_walks_sequential):
+        out = form(geo, seeds, 2, 12, n)
+        assert all(abs(r["mass"] - 1) < 1e-9 for r in out.mass().collect())
+        got = vector(out)
+        assert {k[1]: v for k, v in got.items() if k[0] == 0} != {k[1]: v for k, v in got.items() if k[0] == 1}
+        for (_, v), x in exact.items():
+            want = x / total
+            assert abs(got.get((1, v), 0.0) - want) < 4 * (want * (1 - want) / n) ** 0.5 + 2e-3
+
+
+def test_ball_over_the_limit_goes_in_rounds(spark, monkeypatch):
+    path = graph.Graph.from_edges(spark.createDataFrame([(k, k + 1) for k in range(60)], "src long, dst long"))
+    seed = d.seeds_frame(spark, [30])
+    forms = (lambda mode: d.residual_push(path, seed, 0.1, 1e-3, mode=mode), lambda mode: d.truncated_walk(path, seed, 8, 1e-5, mode=mode), lambda mode: d.heat_taylor(path, seed, 2, 8, 1e-5, mode=mode))
+    want = [vector(f("in_task")) for f in forms]
+    monkeypatch.setattr(planner, "IN_TASK_EDGES", 20)
+    for form, exact in zip(forms, want, strict=True):
+        got = vector(form("in_task"))
+        assert got.keys() == exact.keys() and max(abs(got[k] - exact[k]) for k in got) < 1e-12
+    with pytest.raises(d.TooLarge):
+        d.residual_push_fifo(path, seed, 0.1, 1e-3)
+    inside, cut = d.ball(path, seed, 50, 20)
+    assert cut and inside.join(path.degrees, "v").agg({"deg": "sum"}).first()[0] <= 20
+    monkeypatch.setattr(planner, "IN_TASK_EDGES", 60)
+    assert vector(d.truncated_walk(path, seed, 4, 1e-3, mode="in_task")).keys() == {(0, v) for v in range(26, 35)}
+
+
+def test_edge_upkeep_survives_a_replay(spark):
+    rows = lambda users: spark.createDataFrame([(u, k * 3600) for u, k in users], "user_id long, s long").selectExpr("user_id", "timestamp_seconds(s) as ts")
+    one, two = rows([(1, 5), (2, 5)]), rows([(2, 5), (3, 6)])
+    kept = streams.EdgeUpkeep(spark)
+    assert kept.edges().count() == 0
+    kept.apply(one, 0)
+    kept.apply(one, 0)
+    kept.apply(two, 1)
+    streams.EdgeUpkeep(spark, kept.path).apply(two, 1)
+    assert {tuple(r) for r in kept.edges().collect()} == {(2, 11), (4, 11), (6, 13)}
+
+
 def test_unknown_seed_and_empty_graph(geo, spark):
     lost = d.seeds_frame(spark, [999_999_999])
     assert d.residual_push(geo, lost, 0.1, 1e-3).p.count() == 0
