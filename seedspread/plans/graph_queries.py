@@ -304,10 +304,10 @@ def _push(name, run, alpha, eps, rule, rounds, start=None, beta=1.0):
 
 _push("push_lazy_geo", lambda g, s: d.residual_push(g, s, 0.05, 1e-4, "lazy"), 0.05, 1e-4, "lazy", 100)
 _push("push_aggr_geo", lambda g, s: d.residual_push(g, s, 0.05, 1e-4), 0.05, 1e-4, "aggressive", 60)
-_push("push_frames_geo", lambda g, s: d.residual_push(g, s, 0.05, 1e-4, mode="frames", max_rounds=8), 0.05, 1e-4, "aggressive", 8)
+_push("push_frames_geo", lambda g, s: d.residual_push(g, s, 0.05, 1e-4, mode="frames", chain=4), 0.05, 1e-4, "aggressive", 60)
 _push("push_beta_geo", lambda g, s: d.residual_push(g, s, 0.05, 1e-4, beta=0.25, max_rounds=40), 0.05, 1e-4, "aggressive", 40, beta=0.25)
 _push("push_multi_seed", lambda g, s: d.residual_push(g, s, 0.1, 1e-4), 0.1, 1e-4, "aggressive", 60, {0: [0, 4, 8], 1: [12], 2: [2, 6]})
-_push("push_dense_geo", lambda g, s: d.residual_push_dense(g, s, 0.05, 1e-3, max_rounds=8), 0.05, 1e-3, "aggressive", 8)
+_push("push_dense_geo", lambda g, s: d.residual_push_dense(g, s, 0.05, 1e-3), 0.05, 1e-3, "aggressive", 40)
 
 
 @register("push_round_stats_geo", full_sql("geo", push_sql({0: [0]}, 0.05, 1e-4, "aggressive", 60), select="""SELECT s.k::INTEGER AS round, count(*)::BIGINT AS frontier, sum(g.d)::BIGINT AS edges,
