@@ -1,19 +1,24 @@
 """Near-duplicate vectors by randomised-rotation binary codes with stored correction factors.
 
 A vector is scaled to unit length, rotated by a seeded random orthogonal matrix and reduced to the signs of
-its coordinates. Beside the code stands the factor f = <code, rotated vector>; then <code, other> / f is an
-unbiased estimate of the inner product with any other vector, with an error of about
-sqrt((1 - f²) / f² / (dim - 1)) standard deviations' unit. Only pairs whose estimate plus ``Z`` such units
-reaches the threshold are recomputed exactly, in double precision; the exact value alone makes a link.
+its coordinates; a short vector is padded with zeros to ``CODE_BITS`` first, so its code is longer than itself.
+Beside the packed code stand the factor f = <code, rotated vector>, and the vector in four bits a coordinate:
+a second rotation, rounded up or down by a seeded dither, so that the rounding has mean zero. For two vectors,
+<code of one, four-bit form of the other> / f is an unbiased estimate of their inner product; its error has a
+standard deviation of about sqrt((1 - f²) / (bits - 1) + step² / 4) / f. These packed columns are stored once,
+and they alone go to the tables of buckets. Only pairs whose estimate plus ``Z`` deviations reaches the threshold
+are recomputed: vectors are fetched for the rows of such pairs, and the exact value, in double precision, alone
+makes a link.
 
 Which pairs meet at all is decided by sign bits of further rotations, cut into tables of ``bits`` bits. At
 cosine c a bit agrees with probability 1 - acos(c) / pi, so the number of tables follows from the wanted
 chance, ``MISS``, that a pair exactly at the threshold shares no table; closer pairs are missed less. ``bits``
 grows with the logarithm of the number of vectors, so buckets keep their size as data grow.
 
-Equal vectors of a label are collapsed first. A pair counts in the first table it shares, so counts need no
-list of pairs; a bucket emits per vector one count and the smallest vector of its local component. Buckets
-above ``hot_bucket`` vectors are dealt in pairs of chunks to many tasks.
+Equal vectors of a label are collapsed first. A pair counts in the first table it shares, so a row carries the
+words of the tables up to its own and counts need no list of pairs: a bucket names its rows that need exact
+values, then emits per vector one count and the smallest vector of its local component. Buckets above
+``hot_bucket`` vectors are dealt in pairs of chunks to many tasks.
 
 Cases: null, empty, zero or non-finite vectors, null labels and null ids link with nothing; vectors of
 different length never meet; repeated rows link with each other; an empty table gives an empty result.
@@ -35,6 +40,9 @@ from seedspread.runtime import materialize
 
 THRESHOLD, MISS, Z, HOT_BUCKET = 0.98, 2e-5, 5.0, 4096
 
+#: Least length of a code in bits; vectors of more coordinates have a bit for each.
+CODE_BITS = 256
+
 
 def plan_tables(n: int, threshold: float = THRESHOLD, miss: float = MISS) -> tuple[int, int]:
     """(bits of a table, number of tables) for ``n`` vectors."""
@@ -44,9 +52,9 @@ def plan_tables(n: int, threshold: float = THRESHOLD, miss: float = MISS) -> tup
 
 
 def rotations(dim: int, n_bits: int, seed: int = 7) -> np.ndarray:
-    """Enough stacked random orthogonal matrices for ``n_bits`` signs; the first one makes the code."""
+    """Enough stacked random orthogonal matrices for ``n_bits`` signs."""
     rng = np.random.default_rng([seed, dim])
-    blocks = [np.linalg.qr(rng.standard_normal((dim, dim)))[0] for _ in range(math.ceil(n_bits / dim) + 1)]
+    blocks = [np.linalg.qr(rng.standard_normal((dim, dim)))[0] for _ in range(math.ceil(n_bits / dim))]
     return np.concatenate(blocks)
 
 
@@ -85,59 +93,77 @@ def encode(vectors: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "vec_id long, label string, digest binary, unit binary")
 
 
+class Coder:
+    """Packed codes of unit vectors of one length, and estimates from them."""
+
+    def __init__(self, dim: int, seed: int = 11):
+        self.dim, self.bits = dim, max(CODE_BITS, dim)
+        rng = np.random.default_rng([seed, dim])
+        self.spin = np.linalg.qr(rng.standard_normal((self.bits, self.bits)))[0][:, :dim]
+        self.smooth = np.linalg.qr(rng.standard_normal((dim, dim)))[0]
+        self.dither = rng.random(dim)
+        self.code_bytes, self.half_bytes = (self.bits + 7) // 8, (dim + 1) // 2
+
+    def pack(self, x: np.ndarray) -> np.ndarray:
+        """One row of bytes per vector: signs, four-bit coordinates, then factor, low and step as floats."""
+        turned = x @ self.spin.T
+        factor = np.abs(turned).sum(1) / math.sqrt(self.bits)
+        smooth = x @ self.smooth.T
+        low = smooth.min(1)
+        step = np.maximum((smooth.max(1) - low) / 14, 1e-12)
+        level = np.floor((smooth - low[:, None]) / step[:, None] + self.dither).clip(0, 15).astype(np.uint8)
+        if self.dim % 2:
+            level = np.concatenate([level, np.zeros((len(x), 1), np.uint8)], 1)
+        numbers = np.stack([factor, low, step], 1).astype(np.float32)
+        return np.concatenate([np.packbits(turned > 0, axis=1), level[:, ::2] << 4 | level[:, 1::2], numbers.view(np.uint8)], 1)
+
+    def unpack(self, packed: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(codes over f, rotated four-bit forms, deviation of the estimate's first and second part squared, stacked)."""
+        signs = np.unpackbits(packed[:, : self.code_bytes], axis=1, count=self.bits).astype(np.float32)
+        half = packed[:, self.code_bytes : self.code_bytes + self.half_bytes]
+        level = np.stack([half >> 4, half & 15], 2).reshape(len(packed), -1)[:, : self.dim]
+        factor, low, step = np.ascontiguousarray(packed[:, self.code_bytes + self.half_bytes :]).view(np.float32).T
+        rough = (low[:, None] + level * step[:, None]) @ self.smooth @ self.spin.T
+        codes = (2 * signs - 1) / math.sqrt(self.bits) / factor[:, None]
+        spread = np.maximum(1 - factor**2, 0) / factor**2 / (self.bits - 1)
+        return codes, rough.astype(np.float32), np.stack([spread, 1 / factor, step / 2])
+
+    def candidates(self, packed: np.ndarray, threshold: float, z: float) -> tuple[np.ndarray, np.ndarray]:
+        """Index pairs (i < j) whose upper bound reaches the threshold; blocks keep memory bounded."""
+        codes, rough, (spread, inverse, noise) = self.unpack(packed)
+        out_i, out_j = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
+        for lo in range(0, len(packed), 1024):
+            estimate = codes[lo : lo + 1024] @ rough[lo:].T
+            error = np.sqrt(spread[lo : lo + 1024, None] + (inverse[lo : lo + 1024, None] * noise[None, lo:]) ** 2)
+            i, j = np.nonzero(estimate + z * error >= threshold)
+            out_i.append(i[i < j] + lo)
+            out_j.append(j[i < j] + lo)
+        return np.concatenate(out_i), np.concatenate(out_j)
+
+
 def table_keys(heads: DataFrame, bits: int, tables: int) -> DataFrame:
-    """Heads with ``words``: the sign bits of each table."""
+    """Heads with ``code``, the packed code, and ``words``, the sign bits of each table (four bytes a table)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        turns: dict[int, np.ndarray] = {}
+        turns: dict[int, tuple[np.ndarray, Coder]] = {}
         weights = (1 << np.arange(bits)).astype(np.int64)
         for batch in batches:
             units = batch.column(3).to_pylist()
-            words = np.zeros((len(units), tables), np.int64)
+            codes: list = [None] * len(units)
+            words = np.zeros((len(units), tables), ">u4")
             for size in {len(u) for u in units}:
                 dim, mine = size // 8, [k for k, u in enumerate(units) if len(u) == size]
                 if dim not in turns:
-                    turns[dim] = rotations(dim, bits * tables)[dim:][: bits * tables]
+                    turns[dim] = rotations(dim, bits * tables)[: bits * tables], Coder(dim)
+                turn, coder = turns[dim]
                 x = np.frombuffer(b"".join(units[k] for k in mine), np.float64).reshape(-1, dim)
-                signs = (x @ turns[dim].T) > 0
-                words[mine] = signs.reshape(len(mine), tables, bits) @ weights
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(units) + 1, dtype=np.int32) * tables), pa.array(words.reshape(-1)))
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(4)), lists], names=["rep", "label", "c", "unit", "words"])
-
-    return heads.select("rep", "label", "c", "unit").mapInArrow(run, "rep long, label string, c long, unit binary, words array<long>")
-
+                words[mine] = ((x @ turn.T) > 0).reshape(len(mine), tables, bits) @ weights
+                for k, row in zip(mine, coder.pack(x), strict=True):
+                    codes[k] = row.tobytes()
+            packed = pa.array([w.tobytes() for w in words], pa.binary())
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(4)), pa.array(codes, pa.binary()), packed], names=["rep", "label", "c", "unit", "code", "words"])
 
-class BucketLinks:
-    """Links inside one bucket: estimates decide which pairs are computed exactly."""
-
-    def __init__(self, threshold: float, z: float):
-        self.threshold, self.z, self.turns = threshold, z, {}
-        self.estimated = self.exact = 0
-
-    def links(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Index pairs (i < j) of rows of unit vectors ``x`` at or above the threshold."""
-        dim = x.shape[1]
-        if dim not in self.turns:
-            self.turns[dim] = rotations(dim, 1)[:dim]
-        turned = x @ self.turns[dim].T
-        code = np.where(turned > 0, 1.0, -1.0) / math.sqrt(dim)
-        factor = np.maximum((code * turned).sum(1), 1e-9)
-        slack = self.z * np.sqrt(np.maximum(1 - factor**2, 0) / factor**2 / max(dim - 1, 1))
-        out_i, out_j = [], []
-        for lo in range(0, len(x), 1024):
-            hi = min(lo + 1024, len(x))
-            estimate = (code[lo:hi] @ turned[lo:].T) / factor[lo:hi, None]
-            i, j = np.nonzero(estimate + slack[lo:hi, None] >= self.threshold)
-            forward = i < j
-            i, j = i[forward] + lo, j[forward] + lo
-            self.estimated += (hi - lo) * (len(x) - lo)
-            self.exact += len(i)
-            for k in range(0, len(i), 65536):
-                a, b = i[k : k + 65536], j[k : k + 65536]
-                good = np.einsum("ij,ij->i", x[a], x[b]) >= self.threshold
-                out_i.append(a[good])
-                out_j.append(b[good])
-        return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (np.empty(0, np.int64),) * 2
+    return heads.select("rep", "label", "c", "unit").mapInArrow(run, "rep long, label string, c long, unit binary, code binary, words binary")
 
 
 def _local_components(n: int, i: np.ndarray, j: np.ndarray, ids: np.ndarray) -> np.ndarray:
@@ -151,66 +177,125 @@ def _local_components(n: int, i: np.ndarray, j: np.ndarray, ids: np.ndarray) ->
             return low
 
 
-def bucket_links(rows: DataFrame, threshold: float, z: float) -> DataFrame:
-    """Sorted bucket rows → ``(v, linked, low)``: copies linked in this bucket first, and the local component."""
+def _cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Sorted rows cut where ``(t, label, cell)`` changes; an empty table after each batch, for the caller to flush."""
+    import pyarrow.compute as pc
+
+    held: list[pa.Table] = []
+    for batch in batches:
+        if batch.num_rows == 0:
+            continue
+        rows = pa.Table.from_batches([batch])
+        change = np.zeros(batch.num_rows - 1, bool)
+        for name in ("t", "label", "cell"):
+            column = batch.column(batch.schema.get_field_index(name))
+            change |= np.array(pc.not_equal(column[1:], column[:-1]), bool)
+        cuts = [0, *(np.flatnonzero(change) + 1).tolist(), batch.num_rows]
+        if held and any(held[-1][n][-1].as_py() != rows[n][0].as_py() for n in ("t", "label", "cell")):
+            yield pa.concat_tables(held)
+            held = []
+        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+            held.append(rows.slice(lo, hi - lo))
+            if hi < batch.num_rows:
+                yield pa.concat_tables(held)
+                held = []
+        yield rows.slice(0, 0)
+    if held:
+        yield pa.concat_tables(held)
+        yield held[0].slice(0, 0)
+
+
+def _bytes(column: list, mine: np.ndarray, kind: type) -> np.ndarray:
+    return np.frombuffer(b"".join(column[k] for k in mine), kind).reshape(len(mine), -1)
+
+
+class CellPairs:
+    """Pairs of one cell that this cell has to compute exactly; counts what it estimated."""
 
-    def solve(solver, table, ids, copies, words, units, side):
-        sizes = np.array([len(u) for u in units])
-        for size in np.unique(sizes):
-            mine = np.flatnonzero(sizes == size)
+    def __init__(self, threshold: float, z: float):
+        self.threshold, self.z, self.coders = threshold, z, {}
+        self.estimated = 0
+
+    def pairs(self, cell: pa.Table) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(dim, i, j) per vector length: bound reached, across the two sides, and no earlier table shared."""
+        t = cell["t"][0].as_py()
+        codes, words = cell["code"].to_pylist(), cell["words"].to_pylist()
+        dims, ids, side = (cell[n].to_numpy() for n in ("dim", "rep", "side"))
+        for dim in np.unique(dims):
+            mine = np.flatnonzero(dims == dim)
             if len(mine) < 2:
                 continue
-            x = np.frombuffer(b"".join(units[k] for k in mine), np.float64).reshape(len(mine), -1)
-            i, j = solver.links(x)
+            coder = self.coders.setdefault(int(dim), None) or Coder(int(dim))
+            self.coders[int(dim)] = coder
+            i, j = coder.candidates(_bytes(codes, mine, np.uint8), self.threshold, self.z)
+            self.estimated += len(mine) * (len(mine) - 1) // 2
+            word = _bytes(words, mine, np.uint32)
+            take = [np.empty(0, bool)]
+            for k in range(0, len(i), 65536):  # blocks bound the memory of the comparison of words
+                a, b = i[k : k + 65536], j[k : k + 65536]
+                take.append((word[a, t] == word[b, t]) & ~(word[a, :t] == word[b, :t]).any(1))
             i, j = mine[i], mine[j]
-            first = np.ones(len(i), bool)
-            if table:
-                first = ~(words[i, :table] == words[j, :table]).any(1)
-            crossing = (side[i] != side[j]) | (side[i] < 0)
-            i, j = i[first & crossing & (ids[i] != ids[j])], j[first & crossing & (ids[i] != ids[j])]
-            if len(i) == 0:
-                continue
-            linked = np.bincount(i, copies[j], len(ids)) + np.bincount(j, copies[i], len(ids))
-            low = _local_components(len(ids), i, j, ids)
-            touched = np.flatnonzero(linked)
-            yield ids[touched], linked[touched].astype(np.int64), low[touched]
+            good = np.concatenate(take) & ((side[i] != side[j]) | (side[i] < 0)) & (ids[i] != ids[j])
+            if good.any():
+                yield int(dim), i[good], j[good]
+
+
+def needed_rows(rows: DataFrame, threshold: float, z: float) -> DataFrame:
+    """Sorted bucket rows → those that stand in a pair to be computed exactly, without code or vector."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        solver, held, key = BucketLinks(threshold, z), [], None
-        done: list = []
+        solver, done = CellPairs(threshold, z), []
+        for cell in _cells(batches):
+            if cell.num_rows == 0 and done:
+                yield from pa.concat_tables(done).combine_chunks().to_batches()
+                done = []
+            elif cell.num_rows > 1:
+                needed = np.zeros(cell.num_rows, bool)
+                for _, i, j in solver.pairs(cell):
+                    needed[i] = needed[j] = True
+                if needed.any():
+                    done.append(cell.select(["t", "label", "cell", "rep", "side"]).filter(pa.array(needed)))
 
-        def close():
-            if len(held) < 2:
-                return
-            ids, copies, side = (np.array([r[k] for r in held], np.int64) for k in (0, 1, 5))
-            words = np.array([r[2] for r in held], np.int64)
-            done.extend(solve(solver, key[0], ids, copies, words, [r[3] for r in held], side))
+    return rows.mapInArrow(run, "t int, label string, cell long, rep long, side long")
 
-        def flush():
-            parts = [np.concatenate([d[k] for d in done]) if done else np.empty(0, np.int64) for k in range(3)]
-            done.clear()
-            return pa.RecordBatch.from_arrays([pa.array(p) for p in parts], names=["v", "linked", "low"])
 
-        for batch in batches:
-            keys = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True))
-            lists = batch.column(5)
-            width = len(lists[0]) if batch.num_rows else 0
-            words = lists.flatten().to_numpy(zero_copy_only=False).reshape(-1, width) if width else None
-            cols = [batch.column(k).to_pylist() for k in (3, 4, 6, 7)]
-            for k, at in enumerate(keys):
-                if at != key:
-                    close()
-                    held, key = [], at
-                held.append((cols[0][k], cols[1][k], words[k], cols[2][k], None, cols[3][k]))
-            yield flush()
-        close()
-        yield flush()
-
-    return rows.mapInArrow(run, "v long, linked long, low long")
-
-
-def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, z: float = Z, hot_bucket: int = HOT_BUCKET) -> DataFrame:
-    """``vectors(vec_id, embedding, label)`` → ``(vec_id, n_links, component_id, kept)``, one row per row."""
+def bucket_links(rows: DataFrame, threshold: float, z: float) -> DataFrame:
+    """Sorted rows with vectors → ``(v, linked, low, exact)``: copies linked first in this table, the smallest
+    vector of the local component, and the pairs computed exactly (counted at their smaller index)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        solver, done = CellPairs(threshold, z), []
+        for cell in _cells(batches):
+            if cell.num_rows == 0:
+                if done:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([d[k] for d in done])) for k in range(4)], names=["v", "linked", "low", "exact"])
+                    done = []
+                continue
+            ids, copies = cell["rep"].to_numpy(), cell["c"].to_numpy()
+            units, n = cell["unit"].to_pylist(), cell.num_rows
+            for dim, i, j in solver.pairs(cell):
+                sides = np.unique(np.concatenate([i, j]))
+                x, at = _bytes(units, sides, np.float64), np.zeros(n, np.int64)
+                at[sides] = np.arange(len(sides))
+                good = [np.empty(0, bool)]
+                for k in range(0, len(i), 65536):
+                    a, b = x[at[i[k : k + 65536]]], x[at[j[k : k + 65536]]]
+                    good.append(np.einsum("ij,ij->i", a, b) >= threshold)
+                exact = np.bincount(i, minlength=n)
+                i, j = i[np.concatenate(good)], j[np.concatenate(good)]
+                linked = np.bincount(i, copies[j], n) + np.bincount(j, copies[i], n)
+                low = _local_components(n, i, j, ids)
+                touched = np.flatnonzero((linked > 0) | (exact > 0))
+                done.append((ids[touched], linked[touched].astype(np.int64), low[touched], exact[touched].astype(np.int64)))
+
+    return rows.mapInArrow(run, "v long, linked long, low long, exact long")
+
+
+def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, z: float = Z, hot_bucket: int = HOT_BUCKET, counts: bool = False) -> DataFrame:
+    """``vectors(vec_id, embedding, label)`` → ``(vec_id, n_links, component_id, kept)``, one row per row.
+
+    With ``counts`` also ``n_exact``: pairs computed exactly for the row's class, each counted at one of its ends.
+    """
     coded = materialize(encode(vectors), "vectors")
     usable = coded.filter("unit is not null")
     classes = usable.groupBy("label", "digest").agg(F.min("vec_id").alias("rep"), F.count("*").alias("c"))
@@ -219,24 +304,30 @@ def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, z: float = Z,
     heads = named.join(classes, ["label", "digest", "rep"])
     bits, tables = plan_tables(classes.count(), threshold)
     keyed = materialize(table_keys(heads, bits, tables), "keys")
-    at = keyed.select("label", "rep", "c", "unit", "words", F.posexplode("words").alias("t", "word"))
-    counts = at.groupBy("t", "label", "word").agg(F.count("*").alias("in_bucket")).filter("in_bucket > 1")
-    met = at.join(counts, ["t", "label", "word"])
+    # only codes and the words of the tables so far go to the buckets, not the vectors
+    dim = (F.octet_length("unit") / 8).cast("int")
+    at = keyed.select("label", "rep", "code", "words", dim.alias("dim"), F.explode(F.sequence(F.lit(0), F.lit(tables - 1))).alias("t"))
+    at = at.select("t", "label", "rep", "code", "dim", F.expr("substring(words, 4 * t + 1, 4)").alias("word"), F.expr("substring(words, 1, 4 * t + 4)").alias("words"))
+    counts_of = at.groupBy("t", "label", "word").agg(F.count("*").alias("in_bucket")).filter("in_bucket > 1")
+    met = at.join(counts_of, ["t", "label", "word"])
     chunks = F.ceil(F.col("in_bucket") / hot_bucket).cast("int")
     own = F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")
     met = met.withColumn("chunks", chunks).withColumn("own", own)
     dealt = met.withColumn("with_", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    cell = F.concat_ws("/", "label", "word", F.least("own", "with_"), F.greatest("own", "with_"))
     # in a cell of two chunks only pairs across them count; a cell of one chunk counts all of its pairs
-    dealt = dealt.withColumn("cell", F.xxhash64(cell))
+    cell = F.xxhash64("label", "word", F.least("own", "with_"), F.greatest("own", "with_"))
     side = F.when(F.col("own") == F.col("with_"), F.lit(-1)).otherwise(F.col("own"))
-    rows = dealt.select("t", "label", "cell", "rep", "c", "words", "unit", side.cast("long").alias("side"))
-    dealt = rows.repartition("t", "label", "cell").sortWithinPartitions("t", "label", "cell")
-    found = materialize(bucket_links(dealt, threshold, z), "links")
+    rows = dealt.select("t", "label", cell.alias("cell"), "rep", "code", "words", "dim", side.cast("long").alias("side"))
+    place = ["t", "label", "cell"]
+    needed = materialize(needed_rows(rows.repartition(*place).sortWithinPartitions(*place), threshold, z), "needed")
+    full = needed.join(keyed.select("rep", "label", "c", "unit", "code", "words", dim.alias("dim")), ["rep", "label"])
+    full = full.withColumn("words", F.expr("substring(words, 1, 4 * t + 4)")).repartition(*place).sortWithinPartitions(*place)
+    found = materialize(bucket_links(full, threshold, z), "links")
     edges = found.filter("v <> low").select(F.col("v").alias("a"), F.col("low").alias("b")).distinct()
     comps = connected_components(edges).withColumnRenamed("v", "rep")
-    linked = found.groupBy(F.col("v").alias("rep")).agg(F.sum("linked").alias("linked"))
+    linked = found.groupBy(F.col("v").alias("rep")).agg(F.sum("linked").alias("linked"), F.sum("exact").alias("exact"))
     known = classes.join(linked, "rep", "left").join(comps, "rep", "left").select(
-        "label", "digest", (F.col("c") - 1 + F.coalesce("linked", F.lit(0))).alias("links"), F.coalesce("component", "rep").alias("found"))
-    out = coded.join(known, ["label", "digest"], "left").select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("found", "vec_id").alias("component_id"))
+        "label", "digest", (F.col("c") - 1 + F.coalesce("linked", F.lit(0))).alias("links"), F.coalesce("component", "rep").alias("found"), F.coalesce("exact", F.lit(0)).alias("exact"))
+    out = coded.join(known, ["label", "digest"], "left").select(
+        "vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("found", "vec_id").alias("component_id"), *([F.coalesce("exact", F.lit(0)).alias("n_exact")] if counts else []))
     return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

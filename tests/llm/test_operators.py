@@ -261,13 +261,37 @@ def test_estimates_are_unbiased_and_bounds_hold():
     rng = np.random.default_rng(7)
     x = rng.standard_normal((300, 64))
     x /= np.linalg.norm(x, axis=1, keepdims=True)
-    turned = x @ embeddings.rotations(64, 1)[:64].T
-    code = np.where(turned > 0, 1, -1) / 8
-    factor = (code * turned).sum(1)
-    gap = ((code @ turned.T) / factor[:, None] - x @ x.T)[~np.eye(300, dtype=bool)]
-    assert abs(gap.mean()) < 0.003
-    slack = np.sqrt((1 - factor**2) / factor**2 / 63)
-    assert (np.abs(gap).reshape(300, -1) <= embeddings.Z * slack[:, None]).all()
+    coder = embeddings.Coder(64)
+    packed = coder.pack(x)
+    assert packed.shape == (300, 256 // 8 + 64 // 2 + 12)
+    codes, rough, (spread, inverse, noise) = coder.unpack(packed)
+    slack = embeddings.Z * np.sqrt(spread[:, None] + (inverse[:, None] * noise[None]) ** 2)
+    gap = codes @ rough.T - x @ x.T
+    off = ~np.eye(300, dtype=bool)
+    assert abs(gap[off].mean()) < 0.003
+    assert (np.abs(gap) <= slack)[off].all()
+    near = x + 0.02 * rng.standard_normal(x.shape)  # close pairs too, where errors of both forms could add up
+    near /= np.linalg.norm(near, axis=1, keepdims=True)
+    gap = (codes * coder.unpack(coder.pack(near))[1]).sum(1) - (x * near).sum(1)
+    assert abs(gap.mean()) < 0.01 and (np.abs(gap) <= np.diag(slack)).all()
+    i, j = coder.candidates(np.concatenate([packed, coder.pack(near)]), 0.98, embeddings.Z)
+    found = set(zip(i.tolist(), j.tolist(), strict=True))
+    assert {(k, 300 + k) for k in range(300) if x[k] @ near[k] >= 0.98} <= found and len(found) < 400
+
+
+def test_embeddings_odd_lengths_recall_and_exact_counts(spark):
+    rng = np.random.default_rng(8)
+    base = rng.standard_normal((300, 33))
+    x = np.concatenate([base, base + 0.17 * rng.standard_normal(base.shape)])
+    rows = [(k, [float(v) for v in r], 0, "mine") for k, r in enumerate(x)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int, code string")
+    got = embeddings.near_vectors(frame, counts=True).collect()
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    close = (unit @ unit.T >= 0.98) & ~np.eye(600, dtype=bool)
+    assert {r["vec_id"]: r["n_links"] for r in got} == dict(enumerate(close.sum(1).tolist()))
+    exact = sum(r["n_exact"] for r in got)
+    assert close.sum() // 2 <= exact < 600 * 599 // 2 // 100
+    assert embeddings.near_vectors(frame.limit(0)).count() == 0
 
 
 def brute_spans(text):
