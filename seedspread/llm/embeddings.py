@@ -43,6 +43,9 @@ THRESHOLD, MISS, Z, HOT_BUCKET = 0.98, 2e-5, 5.0, 4096
 #: Least length of a code in bits; vectors of more coordinates have a bit for each.
 CODE_BITS = 256
 
+#: Rows of a cell up to which its pairs are listed together with those of other cells.
+SMALL_RUN = 16
+
 
 def plan_tables(n: int, threshold: float = THRESHOLD, miss: float = MISS) -> tuple[int, int]:
     """(bits of a table, number of tables) for ``n`` vectors."""
@@ -128,16 +131,29 @@ class Coder:
         spread = np.maximum(1 - factor**2, 0) / factor**2 / (self.bits - 1)
         return codes, rough.astype(np.float32), np.stack([spread, 1 / factor, step / 2])
 
-    def candidates(self, packed: np.ndarray, threshold: float, z: float) -> tuple[np.ndarray, np.ndarray]:
-        """Index pairs (i < j) whose upper bound reaches the threshold; blocks keep memory bounded."""
+    def candidates(self, packed: np.ndarray, starts: np.ndarray, sizes: np.ndarray, threshold: float, z: float) -> tuple[np.ndarray, np.ndarray]:
+        """Index pairs (i < j) inside runs of rows whose upper bound reaches the threshold.
+
+        Pairs of small runs are listed for all runs of a size at once; larger runs go by blocks of a product."""
         codes, rough, (spread, inverse, noise) = self.unpack(packed)
         out_i, out_j = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        for lo in range(0, len(packed), 1024):
-            estimate = codes[lo : lo + 1024] @ rough[lo:].T
-            error = np.sqrt(spread[lo : lo + 1024, None] + (inverse[lo : lo + 1024, None] * noise[None, lo:]) ** 2)
-            i, j = np.nonzero(estimate + z * error >= threshold)
-            out_i.append(i[i < j] + lo)
-            out_j.append(j[i < j] + lo)
+        for size in np.unique(sizes[(sizes > 1) & (sizes <= SMALL_RUN)]):
+            one, two = np.triu_indices(size, 1)
+            at = starts[sizes == size][:, None]
+            i, j = (at + one).ravel(), (at + two).ravel()
+            for k in range(0, len(i), 16384):
+                a, b = i[k : k + 16384], j[k : k + 16384]
+                bound = np.einsum("ij,ij->i", codes[a], rough[b]) + z * np.sqrt(spread[a] + (inverse[a] * noise[b]) ** 2)
+                out_i.append(a[bound >= threshold])
+                out_j.append(b[bound >= threshold])
+        for start, size in zip(starts[sizes > SMALL_RUN], sizes[sizes > SMALL_RUN], strict=True):
+            end = start + size
+            for lo in range(start, end, 1024):
+                hi = min(lo + 1024, end)
+                error = np.sqrt(spread[lo:hi, None] + (inverse[lo:hi, None] * noise[None, lo:end]) ** 2)
+                i, j = np.nonzero(codes[lo:hi] @ rough[lo:end].T + z * error >= threshold)
+                out_i.append(i[i < j] + lo)
+                out_j.append(j[i < j] + lo)
         return np.concatenate(out_i), np.concatenate(out_j)
 
 
@@ -177,32 +193,35 @@ def _local_components(n: int, i: np.ndarray, j: np.ndarray, ids: np.ndarray) ->
             return low
 
 
-def _cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
-    """Sorted rows cut where ``(t, label, cell)`` changes; an empty table after each batch, for the caller to flush."""
+def _cells(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, np.ndarray]]:
+    """Sorted rows in tables of whole ``(t, label, cell)`` groups, with the number of each row's group."""
     import pyarrow.compute as pc
 
     held: list[pa.Table] = []
+
+    def whole(parts: list[pa.Table]) -> tuple[pa.Table, np.ndarray]:
+        rows = pa.concat_tables(parts).combine_chunks()
+        change = np.zeros(rows.num_rows, np.int64)
+        for name in ("t", "label", "cell"):
+            column = rows[name].combine_chunks()
+            change[1:] |= np.array(pc.not_equal(column[1:], column[:-1]), bool)
+        return rows, np.cumsum(change)
+
     for batch in batches:
         if batch.num_rows == 0:
             continue
         rows = pa.Table.from_batches([batch])
-        change = np.zeros(batch.num_rows - 1, bool)
+        last = np.ones(batch.num_rows, bool)
         for name in ("t", "label", "cell"):
-            column = batch.column(batch.schema.get_field_index(name))
-            change |= np.array(pc.not_equal(column[1:], column[:-1]), bool)
-        cuts = [0, *(np.flatnonzero(change) + 1).tolist(), batch.num_rows]
-        if held and any(held[-1][n][-1].as_py() != rows[n][0].as_py() for n in ("t", "label", "cell")):
-            yield pa.concat_tables(held)
+            last &= np.array(pc.equal(rows[name], rows[name][-1]), bool)
+        cut = int(np.flatnonzero(~last).max(initial=-1)) + 1
+        ended = held and any(held[-1][n][-1].as_py() != rows[n][-1].as_py() for n in ("t", "label", "cell"))
+        if cut or ended:
+            yield whole([*held, rows.slice(0, cut)])
             held = []
-        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-            held.append(rows.slice(lo, hi - lo))
-            if hi < batch.num_rows:
-                yield pa.concat_tables(held)
-                held = []
-        yield rows.slice(0, 0)
+        held.append(rows.slice(cut))
     if held:
-        yield pa.concat_tables(held)
-        yield held[0].slice(0, 0)
+        yield whole(held)
 
 
 def _bytes(column: list, mine: np.ndarray, kind: type) -> np.ndarray:
@@ -210,83 +229,70 @@ def _bytes(column: list, mine: np.ndarray, kind: type) -> np.ndarray:
 
 
 class CellPairs:
-    """Pairs of one cell that this cell has to compute exactly; counts what it estimated."""
+    """Pairs inside cells that their cell has to compute exactly."""
 
     def __init__(self, threshold: float, z: float):
         self.threshold, self.z, self.coders = threshold, z, {}
-        self.estimated = 0
-
-    def pairs(self, cell: pa.Table) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-        """(dim, i, j) per vector length: bound reached, across the two sides, and no earlier table shared."""
-        t = cell["t"][0].as_py()
-        codes, words = cell["code"].to_pylist(), cell["words"].to_pylist()
-        dims, ids, side = (cell[n].to_numpy() for n in ("dim", "rep", "side"))
-        for dim in np.unique(dims):
-            mine = np.flatnonzero(dims == dim)
-            if len(mine) < 2:
-                continue
-            coder = self.coders.setdefault(int(dim), None) or Coder(int(dim))
-            self.coders[int(dim)] = coder
-            i, j = coder.candidates(_bytes(codes, mine, np.uint8), self.threshold, self.z)
-            self.estimated += len(mine) * (len(mine) - 1) // 2
-            word = _bytes(words, mine, np.uint32)
-            take = [np.empty(0, bool)]
-            for k in range(0, len(i), 65536):  # blocks bound the memory of the comparison of words
-                a, b = i[k : k + 65536], j[k : k + 65536]
-                take.append((word[a, t] == word[b, t]) & ~(word[a, :t] == word[b, :t]).any(1))
-            i, j = mine[i], mine[j]
-            good = np.concatenate(take) & ((side[i] != side[j]) | (side[i] < 0)) & (ids[i] != ids[j])
-            if good.any():
-                yield int(dim), i[good], j[good]
+
+    def pairs(self, rows: pa.Table, cell: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(i, j) per table and vector length: bound reached, across the two sides, and no earlier table shared."""
+        codes, words = rows["code"].to_pylist(), rows["words"].to_pylist()
+        tables, dims, ids, side = (rows[n].to_numpy() for n in ("t", "dim", "rep", "side"))
+        for t in np.unique(tables):
+            for dim in np.unique(dims[tables == t]).tolist():
+                mine = np.flatnonzero((tables == t) & (dims == dim))
+                if dim not in self.coders:
+                    self.coders[dim] = Coder(dim)
+                _, starts, sizes = np.unique(cell[mine], return_index=True, return_counts=True)
+                i, j = self.coders[dim].candidates(_bytes(codes, mine, np.uint8), starts, sizes, self.threshold, self.z)
+                word = _bytes(words, mine, np.uint32)
+                take = [np.empty(0, bool)]
+                for k in range(0, len(i), 65536):  # blocks bound the memory of the comparison of words
+                    a, b = i[k : k + 65536], j[k : k + 65536]
+                    take.append((word[a, t] == word[b, t]) & ~(word[a, :t] == word[b, :t]).any(1))
+                i, j = mine[i], mine[j]
+                good = np.concatenate(take) & ((side[i] != side[j]) | (side[i] < 0)) & (ids[i] != ids[j])
+                if good.any():
+                    yield i[good], j[good]
 
 
 def needed_rows(rows: DataFrame, threshold: float, z: float) -> DataFrame:
     """Sorted bucket rows → those that stand in a pair to be computed exactly, without code or vector."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        solver, done = CellPairs(threshold, z), []
-        for cell in _cells(batches):
-            if cell.num_rows == 0 and done:
-                yield from pa.concat_tables(done).combine_chunks().to_batches()
-                done = []
-            elif cell.num_rows > 1:
-                needed = np.zeros(cell.num_rows, bool)
-                for _, i, j in solver.pairs(cell):
-                    needed[i] = needed[j] = True
-                if needed.any():
-                    done.append(cell.select(["t", "label", "cell", "rep", "side"]).filter(pa.array(needed)))
+        solver = CellPairs(threshold, z)
+        for part, cell in _cells(batches):
+            needed = np.zeros(part.num_rows, bool)
+            for i, j in solver.pairs(part, cell):
+                needed[i] = needed[j] = True
+            yield from part.select(["t", "label", "cell", "rep", "side"]).filter(pa.array(needed)).to_batches()
 
     return rows.mapInArrow(run, "t int, label string, cell long, rep long, side long")
 
 
 def bucket_links(rows: DataFrame, threshold: float, z: float) -> DataFrame:
     """Sorted rows with vectors → ``(v, linked, low, exact)``: copies linked first in this table, the smallest
-    vector of the local component, and the pairs computed exactly (counted at their smaller index)."""
+    vector of the local component, and the pairs computed exactly (counted at one of their ends)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        solver, done = CellPairs(threshold, z), []
-        for cell in _cells(batches):
-            if cell.num_rows == 0:
-                if done:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([d[k] for d in done])) for k in range(4)], names=["v", "linked", "low", "exact"])
-                    done = []
-                continue
-            ids, copies = cell["rep"].to_numpy(), cell["c"].to_numpy()
-            units, n = cell["unit"].to_pylist(), cell.num_rows
-            for dim, i, j in solver.pairs(cell):
-                sides = np.unique(np.concatenate([i, j]))
-                x, at = _bytes(units, sides, np.float64), np.zeros(n, np.int64)
-                at[sides] = np.arange(len(sides))
-                good = [np.empty(0, bool)]
+        solver = CellPairs(threshold, z)
+        for part, cell in _cells(batches):
+            ids, copies = part["rep"].to_numpy(), part["c"].to_numpy()
+            units, n = part["unit"].to_pylist(), part.num_rows
+            for i, j in solver.pairs(part, cell):
+                sides, at = np.unique(np.concatenate([i, j]), return_inverse=True)
+                x = _bytes(units, sides, np.float64)
+                good = np.zeros(len(i), bool)
                 for k in range(0, len(i), 65536):
-                    a, b = x[at[i[k : k + 65536]]], x[at[j[k : k + 65536]]]
-                    good.append(np.einsum("ij,ij->i", a, b) >= threshold)
+                    a, b = x[at[: len(i)][k : k + 65536]], x[at[len(i) :][k : k + 65536]]
+                    good[k : k + 65536] = np.einsum("ij,ij->i", a, b) >= threshold
                 exact = np.bincount(i, minlength=n)
-                i, j = i[np.concatenate(good)], j[np.concatenate(good)]
+                i, j = i[good], j[good]
                 linked = np.bincount(i, copies[j], n) + np.bincount(j, copies[i], n)
                 low = _local_components(n, i, j, ids)
                 touched = np.flatnonzero((linked > 0) | (exact > 0))
-                done.append((ids[touched], linked[touched].astype(np.int64), low[touched], exact[touched].astype(np.int64)))
+                columns = [ids[touched], linked[touched].astype(np.int64), low[touched], exact[touched].astype(np.int64)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["v", "linked", "low", "exact"])
 
     return rows.mapInArrow(run, "v long, linked long, low long, exact long")
 

@@ -274,7 +274,7 @@ def test_estimates_are_unbiased_and_bounds_hold():
     near /= np.linalg.norm(near, axis=1, keepdims=True)
     gap = (codes * coder.unpack(coder.pack(near))[1]).sum(1) - (x * near).sum(1)
     assert abs(gap.mean()) < 0.01 and (np.abs(gap) <= np.diag(slack)).all()
-    i, j = coder.candidates(np.concatenate([packed, coder.pack(near)]), 0.98, embeddings.Z)
+    i, j = coder.candidates(np.concatenate([packed, coder.pack(near)]), np.array([0]), np.array([600]), 0.98, embeddings.Z)
     found = set(zip(i.tolist(), j.tolist(), strict=True))
     assert {(k, 300 + k) for k in range(300) if x[k] @ near[k] >= 0.98} <= found and len(found) < 400
 
