@@ -39,3 +39,15 @@ def test_stream_answers_every_customer_of_the_nation(spark):
     asked = spark.read.parquet(f"{sf}/customer.parquet").filter("c_nationkey = 0").select("c_custkey")
     answered = stream_queries.QUERIES["stream_cluster_queries"](spark, sf)
     assert sorted(r[0] for r in answered.select("run_id").collect()) == sorted(r[0] for r in asked.collect())
+
+
+def same_as_sql(duck, df, sql):
+    columns = ", ".join(sorted(df.columns))
+    assert tidy(map(tuple, df.selectExpr(*sorted(df.columns)).collect())) == tidy(duck.sql(f"SELECT {columns} FROM ({sql})").fetchall())
+
+
+def test_lists_of_hubs_are_whole(spark, sf, duck, monkeypatch):
+    from seedspread.operators import graph
+
+    monkeypatch.setattr(graph, "CHUNK", 3)
+    same_as_sql(duck, graph_queries.QUERIES["adjacency_geo"](spark, sf), graph_queries.ORACLES["adjacency_geo"])
