@@ -51,3 +51,11 @@ def test_lists_of_hubs_are_whole(spark, sf, duck, monkeypatch):
 
     monkeypatch.setattr(graph, "CHUNK", 3)
     same_as_sql(duck, graph_queries.QUERIES["adjacency_geo"](spark, sf), graph_queries.ORACLES["adjacency_geo"])
+
+
+def test_equal_balances_give_the_smallest_key(spark, tmp_path):
+    rows = [(k, n, float(b)) for k, n, b in [(1, 0, 5), (2, 0, 5), (3, 0, 1), (4, 0, 1), (5, 1, 2), (6, 1, 2)]] + [(7, 0, None), (None, 1, 9.0), (8, 2, None)]
+    frame = spark.createDataFrame(rows[::-1], "c_custkey long, c_nationkey int, c_acctbal double")
+    frame.write.parquet(f"{tmp_path}/customer.parquet")
+    got = {tuple(r) for r in relational.QUERIES["agg_min_by"](spark, str(tmp_path)).collect()}
+    assert got == {(0, 3, 1), (1, 5, 5), (2, None, None)}
