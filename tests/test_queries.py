@@ -59,3 +59,14 @@ def test_equal_balances_give_the_smallest_key(spark, tmp_path):
     frame.write.parquet(f"{tmp_path}/customer.parquet")
     got = {tuple(r) for r in relational.QUERIES["agg_min_by"](spark, str(tmp_path)).collect()}
     assert got == {(0, 3, 1), (1, 5, 5), (2, None, None)}
+
+
+def test_dearer_parts_are_counted_without_pairs(spark, tmp_path):
+    rows = [(k, "a" if k % 2 else "b", "t" if k % 3 else None, float(k % 7) if k % 5 else None) for k in range(200)]
+    spark.createDataFrame(rows, "p_partkey long, p_brand string, p_type string, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW part AS SELECT * FROM '{tmp_path}/part.parquet/*.parquet'")
+    mine = relational.QUERIES["join_theta_price"](spark, str(tmp_path))
+    same_as_sql(con, mine, relational.ORACLES["join_theta_price"])
+    joins = [x for x in mine._jdf.queryExecution().optimizedPlan().toString().split("\n") if "Join" in x]
+    assert joins and not any("<" in x for x in joins)
