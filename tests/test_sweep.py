@@ -46,3 +46,19 @@ def test_empty_and_whole_graph(toy, spark):
     assert sweep.sweep_cut(toy, none).members().count() == 0
     everything = toy.degrees.select(F.lit(0).cast("long").alias("run_id"), "v", F.col("deg").cast("double").alias("p"))
     assert rows(sweep.sweep_profile(toy, everything))[-1][4] is None
+
+
+def test_naive_prefixes_are_few_disjoint_blocks(spark):
+    rows = spark.range(1, 101).select(F.lit(0).cast("long").alias("run_id"), F.col("id").alias("rank"), F.col("id").alias("x"))
+    parts = sweep.blocks_of_prefixes(rows, 100)
+    assert parts.groupBy("rank").count().agg(F.max("count")).first()[0] == 6  # 63 has six binary ones
+    sums = parts.join(sweep.whole_blocks(rows, 100, "x"), ["run_id", "level", "block"]).groupBy("rank").agg(F.sum("x").alias("s"))
+    assert {r["rank"]: r["s"] for r in sums.collect()} == {i: i * (i + 1) // 2 for i in range(1, 101)}
+
+
+def test_naive_profile_of_several_runs(spark):
+    graph = generators.torus3d(spark, 4)
+    p = graph.degrees.select((F.col("v") % 3).alias("run_id"), "v", (F.col("v") % 11 + 1.0).alias("p"))
+    key = lambda df: sorted(tuple(r) for r in df.select("run_id", "rank", "v", "vol", "cut", "phi").collect())
+    assert key(sweep.sweep_cut_naive(graph, p)) == key(sweep.sweep_profile(graph, p))
+    assert sweep.sweep_cut_naive(graph, p.filter("p < 0")).count() == 0
