@@ -88,3 +88,10 @@ def thinned(spark, sf, tmp_path_factory):
 def test_rows_follow_the_given_tables(spark, thinned, name):
     path, con = thinned
     same_as_sql(con, graph_queries.QUERIES[name](spark, path), graph_queries.ORACLES[name])
+
+
+def test_id_local_joins_the_given_customers(spark, thinned):
+    path, con = thinned
+    row = graph_queries.QUERIES["id_local_graph"](spark, path).first()
+    assert row["n"] == con.sql("SELECT count(*) FROM customer").fetchall()[0][0] and row["min_deg"] >= 1
+    assert row["m"] <= 5 * row["n"]
