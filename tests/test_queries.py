@@ -84,7 +84,7 @@ def thinned(spark, sf, tmp_path_factory):
     return str(path), con
 
 
-@pytest.mark.parametrize("name", ["gen_torus_degree", "heat_psi_table", "torus_edges_6", "toy_sweep_profile"])
+@pytest.mark.parametrize("name", ["gen_torus_degree", "heat_psi_table", "torus_edges_6", "toy_sweep_profile", "walk_lengths_clamped"])
 def test_rows_follow_the_given_tables(spark, thinned, name):
     path, con = thinned
     same_as_sql(con, graph_queries.QUERIES[name](spark, path), graph_queries.ORACLES[name])
