@@ -1,9 +1,11 @@
 """License scan: phrase labels plus an exact set-similarity join of text blocks against license templates.
 
 A template has a sentence, the words that make it that license (``marks``) and words that make it another one
-(``bars``). A block is a window of words around a place where the template's first mark stands: as many words on
+(``bars``). A block is a window of words around a place where one of the template's anchors stands: its first mark
+and so many of its longest words that whatever meets the threshold holds one of them. It has as many words on
 either side as the sentence has, across line breaks. A template is met where a block holds all marks, no bar and at
-least ``threshold`` of the sentence's distinct words (containment).
+least ``threshold`` of the sentence's distinct words (containment). Marks are names; a sentence that is told by its
+wording alone has none.
 
 Template words are put in one global order, rarest first, by the number of documents of the scanned corpus that
 hold them. A block that meets n words at threshold t misses at most ``n - ceil(t n)`` of them, so it holds one of
@@ -42,8 +44,8 @@ TEMPLATES = [
     ("apache", "licensed under the apache license version 2 0", "apache", ""),
     ("apache", "licensed under the apache license version 2 0 the license you may not use this file except in compliance with the license", "apache", ""),
     ("mit", "released under the mit license", "mit", ""),
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files to deal in the software without restriction", "granted charge", ""),
-    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met", "redistribution binary", ""),
+    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files to deal in the software without restriction", "", ""),
+    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met", "", ""),
     ("mpl", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla", ""),
     ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution", "noncommercial sharealike"),
     ("cc-by-nc", "licensed under cc by nc 4 0", "nc cc by", ""),
@@ -77,26 +79,46 @@ def _texts(found: list[str]) -> Column:
     return F.array(*map(F.lit, found)) if found else F.array().cast("array<string>")
 
 
-def cut_blocks(template: tuple[str, str, str, str]) -> Column:
-    """Distinct words of every block of the columns ``w`` and ``joined`` for one template."""
+def _split(words_: str) -> list[str]:
+    return words_.split(" ") if words_ else []
+
+
+def needed(n: int, percent: int) -> int:
+    """Smallest number of n words that meets the threshold."""
+    return -(-percent * n // 100)
+
+
+def anchors(template: tuple[str, str, str, str], percent: int = PERCENT) -> list[str]:
+    """Words of which every block that meets the template holds one: at least ``n - need + 1`` of its n distinct words."""
     _, sentence, marks, _ = template
-    reach, anchor = len(sentence.split(" ")), marks.split(" ")[0]
-    at = F.filter(F.transform("w", lambda x, i: F.when(x == anchor, i)), lambda i: i.isNotNull())
+    own = sorted(set(sentence.split(" ")), key=lambda x: (-len(x), x))
+    return sorted({*_split(marks)[:1], *own[: len(own) - needed(len(own), percent) + 1]})
+
+
+def cut_blocks(template: tuple[str, str, str, str], percent: int = PERCENT) -> Column:
+    """Distinct words of every block of the columns ``w`` and ``joined`` for one template."""
+    reach, around = len(template[1].split(" ")), anchors(template, percent)
+    at = F.filter(F.transform("w", lambda x, i: F.when(x.isin(around), i)), lambda i: i.isNotNull())
     block = lambda i: F.array_distinct(F.slice("w", F.greatest(i - reach, F.lit(0)) + 1, i + reach + 1 - F.greatest(i - reach, F.lit(0))))
-    return F.when(F.contains("joined", F.lit(anchor)), F.transform(at, block)).otherwise(F.array().cast("array<array<string>>"))
+    stands = F.lit(False)
+    for x in around:
+        stands = stands | F.contains("joined", F.lit(x))
+    for x in _split(template[2]):
+        stands = stands & F.contains("joined", F.lit(x))
+    return F.when(stands, F.transform(at, block)).otherwise(F.array().cast("array<array<string>>"))
 
 
 def met(blocks: Column, template: tuple[str, str, str, str], ranks: dict[str, int], percent: int) -> Column:
     """Containments of the blocks that meet the template, by marks, prefix, length and position, then exactly."""
     _, sentence, marks, bars = template
     ordered = sorted(set(sentence.split(" ")), key=ranks.__getitem__)
-    need = -(-percent * len(ordered) // 100)
+    need = needed(len(ordered), percent)
     prefix, whole = ordered[: len(ordered) - need + 1], _texts(ordered)
     shared = lambda b: F.size(F.array_intersect(whole, b))
     # the block's words from its first prefix word on, for each word that can be the first
     later = lambda b: F.coalesce(*[F.when(F.array_contains(b, p), F.size(F.array_intersect(b, _texts(ordered[k:])))) for k, p in enumerate(prefix)], F.lit(0))
     good = lambda b: (
-        (F.size(F.array_intersect(b, _texts(marks.split(" ")))) == len(marks.split(" "))) & ~F.arrays_overlap(b, _texts(bars.split(" ") if bars else []))
+        (F.size(F.array_intersect(b, _texts(_split(marks)))) == len(_split(marks))) & ~F.arrays_overlap(b, _texts(_split(bars)))
         & (F.size(b) >= need) & F.arrays_overlap(b, _texts(prefix)) & (later(b) >= need) & (shared(b) >= need)
     )
     return F.transform(F.filter(blocks, good), lambda b: shared(b) / F.lit(float(len(ordered))))
@@ -120,7 +142,7 @@ def license_scan(docs: DataFrame, templates: list[tuple[str, str, str, str]] | N
     pass_ = materialize(found.select(
         "doc_id", F.size("w").cast("long").alias("n_words"), F.size(every).cast("long").alias("n_base"),
         F.array_min(every).cast("long").alias("first_word"), F.array_max(every).cast("long").alias("last_word"), F.array_sort(F.array_distinct(labels)).alias("base"),
-        F.array_intersect("w", _texts(vocabulary)).alias("vocabulary"), *[cut_blocks(t).alias(f"b{k}") for k, t in enumerate(templates)],
+        F.array_intersect("w", _texts(vocabulary)).alias("vocabulary"), *[cut_blocks(t, percent).alias(f"b{k}") for k, t in enumerate(templates)],
     ), "licenses")
     ranks = word_ranks(pass_, vocabulary)
     hits = F.array(*[F.struct(F.lit(t[0]).alias("label"), F.array_max(met(F.col(f"b{k}"), t, ranks, percent)).alias("best")) for k, t in enumerate(templates)])

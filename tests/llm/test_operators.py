@@ -218,6 +218,19 @@ def test_license_scan(spark):
     assert licenses.license_scan(documents(spark, ["word " * 300_000 + "released under the mit license"])).first()["labels"] == "mit"
 
 
+def test_license_blocks_stand_around_every_anchor(spark):
+    grant = "Permission is hereby given, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the software without restriction"
+    spread = "This Source Code Form " + "filler " * 10 + "is subject to the terms of the Mozilla Public License, v. 2.0."
+    bsd = "Redistributions and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"
+    texts = [grant, spread, bsd, grant.replace("software", "thing").replace("any person", "you").replace("free of charge", "gratis").replace("documentation files", "papers"), spread.replace("Mozilla", "")]
+    rows = {r["doc_id"]: r for r in licenses.license_scan(documents(spark, texts)).collect()}
+    assert [rows[k]["labels"] for k in range(5)] == ["mit", "mpl", "bsd", "", ""]
+    assert all(0.8 <= rows[k]["score"] <= 1 for k in range(3)) and rows[3]["score"] == rows[4]["score"] == 0
+    for t in licenses.TEMPLATES:
+        own = set(t[1].split(" "))
+        assert len(own & set(licenses.anchors(t))) > len(own) - licenses.needed(len(own), licenses.PERCENT)
+
+
 def test_mixing_targets(spark):
     rng = np.random.default_rng(5)
     sizes = rng.integers(1, 60, 400)
