@@ -4,13 +4,13 @@ The tokens of a line are its distinct runs of five words (its whole word sequenc
 goes when an earlier line, in order of doc_id and line number, has a Jaccard similarity of at least
 ``percent`` percent with it. Every line that holds a word takes part (``MIN_WORDS``).
 
-Tokens are put in one global order, rarest first, by counts over the whole corpus kept for 65,536 groups of
+Tokens are put in one global order, rarest first, by counts of lines over the whole corpus kept for 65,536 groups of
 tokens; ties go by the token itself, so the order is total and the filters are exact however tokens share a
 group. A line of n tokens can only match through its first ``n - ceil(t n) + 1`` tokens (prefix filter),
 with lines of n t to n / t tokens (length filter), and only if the tokens left after the shared one could
 still reach the needed overlap (positional filter). What is left is verified on the lines themselves.
 
-Texts are read three times (counts, line digests, prefixes), so that prefixes are shuffled once, by token, and
+Texts are read twice (counts with line digests, prefixes), so that prefixes are shuffled once, by token, and
 never written. Equal token sets are found by their digests; a task passes on the prefix of the first of each
 only, and the rest are dropped where a token's lines meet. A line then needs one earlier match, so each group
 of lines that share a prefix token gives every line its first candidate only; lines for which none of those is
@@ -68,31 +68,36 @@ def _line_sets(texts: pa.Array, width: int, min_words: int, unique: bool = True)
             yield row + doc, number, values, owner
 
 
-def token_ranks(docs: DataFrame, width: int = WIDTH, min_words: int = MIN_WORDS) -> np.ndarray:
-    """Rarity rank of each token group, from counts over all lines."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        yield hashing.count_groups(values for batch in batches for _, _, values, _ in _line_sets(batch.column(0), width, min_words, unique=False))
-
-    return setjoin.ranks_of(docs.select("text").mapInArrow(run, "group int, n long"))
-
-
 def line_sets(docs: DataFrame, width: int, min_words: int) -> DataFrame:
-    """``docs(doc, th, text)`` → one row per compared line: its number, size and set digest."""
+    """``docs(doc, th, text)`` → one row per compared line: its number, size and set digest.
+
+    The same pass counts the lines' tokens: rows of size 0 hold a token group in ``doc`` and its count in ``tail``.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["doc", "th", "tail", "n", "d1", "d2"]
+        total = np.zeros(hashing.RANK_GROUPS, np.int64)
         for batch in batches:
             for row, number, values, of in _line_sets(batch.column(2), width, min_words):
+                total += np.bincount((values >> np.uint64(48)).astype(np.int64), minlength=hashing.RANK_GROUPS)
                 one, two = hashing.set_digest(values, of, len(row))
                 rows = pa.array(row)
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(hashing.line_name(number, one)), pa.array(np.bincount(of, minlength=len(row)).astype(np.int32)),
                      pa.array(one.view(np.int64)), pa.array(two.view(np.int64))],
-                    names=["doc", "th", "tail", "n", "d1", "d2"])
+                    names=names)
+        group = np.flatnonzero(total)
+        none = pa.array(np.zeros(len(group), np.int64))
+        yield pa.RecordBatch.from_arrays([pa.array(group.astype(np.int64)), none, pa.array(total[group]), pa.array(np.zeros(len(group), np.int32)), none, none], names=names)
 
     return docs.mapInArrow(run, "doc long, th long, tail long, n int, d1 long, d2 long")
 
 
+def token_ranks(sets: DataFrame) -> np.ndarray:
+    """Rarity rank of each token group, from the counts that ``line_sets`` made over all lines."""
+    return setjoin.ranks_of(sets.filter("n = 0").select(F.col("doc").cast("int").alias("group"), F.col("tail").alias("n")))
+
+
 def line_prefixes(docs: DataFrame, ranks: np.ndarray, percent: int, width: int, min_words: int) -> DataFrame:
     """``docs(doc, text)`` → prefix rows ``(cell, doc, tail, place)`` of the first of each task's equal lines."""
 
@@ -169,8 +174,8 @@ def _node(doc, tail):
 def repeated_lines(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, min_words: int = MIN_WORDS, hot_group: int = HOT_GROUP) -> DataFrame:
     """``(doc, th, gone)``: the numbers of the lines to remove from each document that has any; ``doc`` is doc_id, or ``NO_ID``, ``th`` xxhash64 of the text."""
     keyed = docs.select(_doc(), F.xxhash64("text").alias("th"), "text")
-    ranks = token_ranks(keyed, width, min_words)
-    lines = materialize(line_sets(keyed, width, min_words), "lines")
+    sets = materialize(line_sets(keyed, width, min_words), "lines")
+    ranks, lines = token_ranks(sets), sets.filter("n > 0")
     same = ["d1", "d2", "n"]
     found = setjoin.candidate_pairs(line_prefixes(keyed.select("doc", "text"), ranks, percent, width, min_words), percent, hot_group, False)
     first = materialize(setjoin.pairs_of(found), "pairs")
