@@ -1,5 +1,7 @@
 """Registered queries against DuckDB on the smallest tables."""
 
+import math
+
 import duckdb
 import pytest
 
@@ -72,6 +74,20 @@ def test_dearer_parts_are_counted_without_pairs(spark, tmp_path):
     assert joins and not any("<" in x for x in joins)
 
 
+def test_poisson_table_is_cumulative(spark, sf, duck, tmp_path):
+    want = lambda k: round(math.fsum(math.exp(-5.0) * (5**j / math.factorial(j)) for j in range(k + 1)), 9)
+    given = relational.QUERIES["math_poisson_cdf"](spark, sf)
+    assert dict(map(tuple, given.collect())) == {k: want(k) for k in range(5)}
+    same_as_sql(duck, given, relational.ORACLES["math_poisson_cdf"])
+    keys = [7, 0, 2, 7, 4, 12, 30, 500, -1, None]
+    spark.createDataFrame([(k,) for k in keys], "r_regionkey int").write.parquet(f"{tmp_path}/region.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW region AS SELECT * FROM '{tmp_path}/region.parquet/*.parquet'")
+    mine = relational.QUERIES["math_poisson_cdf"](spark, str(tmp_path))
+    assert dict(map(tuple, mine.collect())) == {k: None if k is None else want(k) for k in keys}
+    same_as_sql(con, mine, relational.ORACLES["math_poisson_cdf"])
+
+
 @pytest.fixture(scope="module")
 def thinned(spark, sf, tmp_path_factory):
     """The smallest tables with rows left out, so that a query that ignores them shows."""
